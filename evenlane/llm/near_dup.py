@@ -4,7 +4,8 @@ Plan
 1. One Arrow pass per document: distinct 5-word shingles (64-bit), a 128-bit digest of the set,
    MinHash band keys, and an odd sketch (MinHash samples folded into a parity bitmap).
 2. Equal sets collapse to their smallest doc_id, so groups of copies never meet in a bucket.
-3. Every band bucket names a pseudo-random centre and pairs its members with it: linear in rows.
+3. Every band bucket names a pseudo-random centre, the same one wherever it occurs, and pairs its
+   members with it: linear in rows, and about one pair a document in a tight group.
    Sketch XOR population counts drop hopeless pairs, full sets confirm the rest, components follow.
 4. Only buckets that still hold several components are searched in full, in blocks of bounded size,
    on sketches; first each member's best partners per component, then all that remain. Pairs inside
@@ -246,7 +247,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     reps = feats.where("n > 0 and doc_id is not null").join(many, ["hi", "lo"], "left").where("rep is null or rep = doc_id")
     banded = reps.select("doc_id", F.explode("bands").alias("key"))
 
-    buckets = banded.groupBy("key").agg(F.min(F.struct(F.xxhash64("doc_id", "key").alias("h"), F.col("doc_id").alias("center"))).alias("c"), F.count("*").alias("size"))
+    buckets = banded.groupBy("key").agg(F.min(F.struct(F.xxhash64("doc_id").alias("h"), F.col("doc_id").alias("center"))).alias("c"), F.count("*").alias("size"))
     buckets = buckets.where("size > 1").select("key", F.col("c.center").alias("center"), "size")
     members = stage(banded.join(buckets, "key"), "dup-members")
     busy = members.select("doc_id").distinct()
