@@ -3,13 +3,17 @@
 from __future__ import annotations
 
 from evenlane.llm.near_dup import NEAR_DUP_SQL, near_dup_query
+from evenlane.llm.packing import packing_query
 from evenlane.llm.quality import QUALITY_SQL, quality_query
 from evenlane.llm.secrets import SECRETS_SQL, secrets_query
+from evenlane.llm.token_files import token_files_query
 
 QUERIES = {
     "op1_minhash_near_dup": near_dup_query,
     "op2_secret_scan": secrets_query,
     "op5_quality_rules": quality_query,
+    "op6_token_files": token_files_query,
+    "op10_packing": packing_query,
 }
 ORACLE_SQL = {
     "op1_minhash_near_dup": NEAR_DUP_SQL,
