@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from evenlane.llm.common import mix64, ship, stage
-from evenlane.llm.token_files import partitions_for, widen
+from evenlane.llm.token_files import id_blobs, partitions_for, widen
 from evenlane.llm.tokenizing import default_path, encoder
 
 U64 = np.uint64
@@ -26,16 +26,19 @@ DIMS, BITS = 4, 8
 _SIGNS: dict[int, np.ndarray] = {}
 
 
-def projection(ids: list[np.ndarray], dims: int = DIMS, bits: int = BITS) -> np.ndarray:
-    """Quantised points (documents x dims): mean sign vector of the ids, scaled by a fixed factor."""
-    flat = np.concatenate(ids)
+def projection(ids: list[np.ndarray], end: int, dims: int = DIMS, bits: int = BITS) -> np.ndarray:
+    """Quantised points (documents x dims): mean sign vector of the ids and the end id, scaled by a fixed factor."""
+    sizes = np.array([len(x) + 1 for x in ids], np.int64)
+    stops = np.cumsum(sizes)
+    flat = np.full(int(stops[-1]), end, np.int64)
+    inner = np.ones(len(flat), bool)
+    inner[stops - 1] = False
+    flat[inner] = np.concatenate(ids)
     top = int(flat.max()) + 1
-    if dims not in _SIGNS or len(_SIGNS[dims]) < top:
+    if dims not in _SIGNS or _SIGNS[dims].shape[1] < top:
         h = mix64(np.arange(max(top, 65_536), dtype=U64)[:, None] * U64(dims) + np.arange(dims, dtype=U64)[None, :] + U64(0x9E3779B97F4A7C15))
-        _SIGNS[dims] = (1 - 2 * (h >> U64(63)).astype(np.int8)).astype(np.int8)
-    starts = np.concatenate([[0], np.cumsum([len(x) for x in ids])[:-1]])
-    signs = _SIGNS[dims]
-    mean = np.stack([np.add.reduceat(signs[:, d][flat], starts, dtype=np.int64) for d in range(dims)], 1) / np.array([len(x) for x in ids])[:, None]
+        _SIGNS[dims] = np.ascontiguousarray((1 - 2 * (h >> U64(63)).astype(np.int8)).astype(np.int8).T)
+    mean = np.stack([np.add.reduceat(_SIGNS[dims][d][flat], stops - sizes, dtype=np.int64) for d in range(dims)], 1) / sizes[:, None]
     side = 1 << bits
     return np.clip((mean * 1.5 + 0.5) * side, 0, side - 1).astype(np.int64)
 
@@ -76,14 +79,14 @@ def _keyed(path: str, end: int):
     def run(batches):
         enc = encoder(path)
         for whole in batches:
-            for at in range(0, whole.num_rows, 512):
-                b = whole.slice(at, 512)
-                ids = [np.append(x, np.uint32(end)) for x in enc.encode([t or "" for t in b.column(1).to_pylist()])]
+            for at in range(0, whole.num_rows, 1024):
+                b = whole.slice(at, 1024)
+                ids = enc.encode_column(b.column(1))
+                counts, blobs = id_blobs(ids, end)
                 names = b.column(0).fill_null(-1).to_numpy().astype(np.int64).view(U64)
                 tail = (mix64(names * U64(0x9E3779B97F4A7C15)) >> U64(64 - spread)).astype(np.int64)
-                key = (hilbert_key(projection(ids)) << spread) | tail
-                narrow = [x.astype("<u2").tobytes() if x.max() < 65_536 else b"\xff" + x.tobytes() for x in ids]
-                yield pa.RecordBatch.from_arrays([b.column(0), pa.array([len(x) for x in ids], pa.int64()), pa.array(key), pa.array(narrow, pa.binary())], schema=schema)
+                key = (hilbert_key(projection(ids, end)) << spread) | tail
+                yield pa.RecordBatch.from_arrays([b.column(0), counts, pa.array(key), blobs], schema=schema)
 
     return run
 

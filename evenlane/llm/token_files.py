@@ -1,6 +1,6 @@
 """Token-id files compressed by a Re-Pair grammar, a block at a time, with random access.
 
-A shard is one range of doc_id and one partition; its blocks hold whole runs of ids in doc_id order.
+A shard is one range of doc_id, its bounds approximate quantiles of that column; its blocks hold whole runs of ids in doc_id order.
 In each block the frequent adjacent pairs become nonterminals, round after round: a round counts all
 pairs, gives the most frequent ones names, and replaces every occurrence that no more frequent pair
 overlaps. A block stores the rules, how many ids each nonterminal stands for, and the remaining
@@ -15,66 +15,76 @@ import zlib
 import numpy as np
 import pyarrow as pa
 import zstandard
-from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from evenlane.llm.common import discard, fresh_path, ship, stage
+from evenlane.llm.common import fresh_path, ship
 from evenlane.llm.tokenizing import default_path, encoder
 
 MAGIC = b"RPB1"
 HEAD = struct.Struct("<4sIIIIB")  # magic, ids, terminals, rules, symbols, bytes a symbol
-LEAST = 4  # a pair must occur so often to get a rule
+LEAST = 6  # a pair must occur so often to get a rule
 ROUNDS = 3
-ROUND_RULES = 2048
+ROUND_RULES = 4096
+COUNTER_BITS = 20
 
 
 def re_pair(ids: np.ndarray, rounds: int = ROUNDS, least: int = LEAST, most: int = ROUND_RULES) -> tuple[int, np.ndarray, np.ndarray]:
-    """(first nonterminal, rules as rows of two symbols, remaining symbols) of ids."""
+    """(first nonterminal, rules as rows of two symbols, remaining symbols) of ids.
+
+    Pairs are counted by a hash into 2^COUNTER_BITS counters; of pairs that share a counter the last one
+    stands for it, so a rule may miss a better rival in its counter but never replaces a wrong pair.
+    """
     first = int(ids.max()) + 1 if len(ids) else 0
-    seq = ids.astype(np.uint64)
+    seq = ids.astype(np.uint32)
     rules: list[np.ndarray] = []
     name = first
     for _ in range(rounds):
-        if len(seq) < 2:
+        n = len(seq) - 1
+        if n < 1:
             break
-        keys = (seq[:-1] << np.uint64(32)) | seq[1:]
-        s = np.sort(keys)
-        cut = np.flatnonzero(np.concatenate([[True], s[1:] != s[:-1]]))
-        count = np.diff(np.append(cut, len(s)))
-        good = np.flatnonzero(count >= least)
+        a, b = seq[:-1], seq[1:]
+        h = ((a * np.uint32(0x9E3779B1) + b * np.uint32(0x85EBCA77)) >> np.uint32(32 - COUNTER_BITS)).astype(np.int32)
+        counts = np.bincount(h, minlength=1 << COUNTER_BITS)
+        good = np.flatnonzero(counts >= least)
         if not len(good):
             break
-        good = good[np.lexsort((s[cut[good]], -count[good]))][:most]
-        pairs = s[cut[good]]
-        by = np.argsort(pairs)
-        at = np.searchsorted(pairs[by], keys)
-        at[at == len(by)] = 0
-        rank = np.where(pairs[by][at] == keys, by[at], len(by)).astype(np.int64)
-        none = len(by)
-        ok = rank < none
-        ok[1:] &= rank[1:] < np.where(ok[:-1], rank[:-1], none)  # ties run on from the left: only the first is taken
-        ok[:-1] &= rank[:-1] <= rank[1:]
-        ok[1:] &= ~ok[:-1]
-        used = np.bincount(rank[ok], minlength=none)
-        keep = used >= 3
-        ok &= np.append(keep, False)[rank]
-        if not ok.any():
+        order = np.lexsort((good, -counts[good]))[:most]
+        good = good[order]
+        none = len(good)
+        rank_of = np.full(1 << COUNTER_BITS, none, np.int32)
+        rank_of[good] = np.arange(none, dtype=np.int32)
+        rank = rank_of[h]
+        at = np.flatnonzero(rank < none)
+        stands = np.zeros(none, np.int64)
+        stands[rank[at]] = at
+        rep = stands[rank[at]]
+        wrong = (a[at] != a[rep]) | (b[at] != b[rep])
+        rank[at[wrong]] = none
+        at = at[~wrong]
+        # an occurrence is taken where its pair ranks before both neighbours; of a run of one pair, the first
+        left = np.full(n + 2, none, np.int32)
+        left[1:-1] = rank
+        ok = at[(rank[at] < left[at]) & (rank[at] <= left[at + 2])]
+        ok = ok[np.concatenate([[True], np.diff(ok) > 1])] if len(ok) else ok
+        keep = np.bincount(rank[ok], minlength=none) >= 3
+        ok = ok[keep[rank[ok]]]
+        if not len(ok):
             break
-        new = np.full(none, -1, np.int64)
-        new[keep] = name + np.arange(int(keep.sum()))
-        rules.append(np.stack([pairs[keep] >> np.uint64(32), pairs[keep] & np.uint64(0xFFFFFFFF)], 1).astype(np.uint32))
-        where = np.flatnonzero(ok)
+        new = np.full(none, 0, np.uint32)
+        new[keep] = name + np.arange(int(keep.sum()), dtype=np.uint32)
+        rules.append(np.stack([a[stands[keep]], b[stands[keep]]], 1))
+        seq = seq.copy()
+        seq[ok] = new[rank[ok]]
+        stays = np.ones(len(seq), bool)
+        stays[ok + 1] = False
         before = len(seq)
-        seq[where] = new[rank[where]].astype(np.uint64)
-        gone = np.ones(len(seq), bool)
-        gone[where + 1] = False
-        seq = seq[gone]
+        seq = seq[stays]
         name += int(keep.sum())
         if before - len(seq) < before // 50:
             break
     table = np.concatenate(rules) if rules else np.empty((0, 2), np.uint32)
-    return first, table, seq.astype(np.uint32)
+    return first, table, seq
 
 
 def expansion_lengths(first: int, rules: np.ndarray) -> np.ndarray:
@@ -121,17 +131,30 @@ def unpack_block(block: bytes, start: int = 0, stop: int | None = None) -> np.nd
     return seq[skip : skip + stop - start]
 
 
-def _ids(path: str, end: int, text_at: int, id_at: int):
-    schema = pa.schema([("doc_id", pa.int64()), ("n", pa.int64()), ("ids", pa.binary())])
+def id_blobs(encoded: list[np.ndarray], end: int) -> tuple[pa.Array, pa.Array]:
+    """(counts, blobs) of ids with the end id: two bytes an id, or a marker byte and four where one is large."""
+    blobs, counts = [], []
+    tail2, tail4 = np.array([end], "<u2").tobytes() if end < 65_536 else b"", np.array([end], "<u4").tobytes()
+    for x in encoded:
+        wide = end >= 65_536 or (len(x) and int(x.max()) >= 65_536)
+        blobs.append(b"\xff" + x.astype("<u4").tobytes() + tail4 if wide else x.astype("<u2").tobytes() + tail2)
+        counts.append(len(x) + 1)
+    return pa.array(counts, pa.int64()), pa.array(blobs, pa.binary())
+
+
+def _ids(path: str, end: int, bounds: np.ndarray):
+    schema = pa.schema([("shard", pa.int32()), ("doc_id", pa.int64()), ("ids", pa.binary())])
 
     def run(batches):
         enc = encoder(path)
         for whole in batches:
-            for at in range(0, whole.num_rows, 512):
-                b = whole.slice(at, 512)
-                ids = [np.append(x, np.uint32(end)) for x in enc.encode([t or "" for t in b.column(text_at).to_pylist()])]
-                narrow = [x.astype("<u2").tobytes() if x.max() < 65_536 else b"\xff" + x.tobytes() for x in ids]
-                yield pa.RecordBatch.from_arrays([b.column(id_at), pa.array([len(x) for x in ids], pa.int64()), pa.array(narrow, pa.binary())], schema=schema)
+            for at in range(0, whole.num_rows, 1024):
+                b = whole.slice(at, 1024)
+                _, blobs = id_blobs(enc.encode_column(b.column(1)), end)
+                null = np.asarray(b.column(0).is_null())
+                shard = np.searchsorted(bounds, b.column(0).fill_null(0).to_numpy(zero_copy_only=False), side="left")
+                shard[null] = 0
+                yield pa.RecordBatch.from_arrays([pa.array(shard.astype(np.int32)), b.column(0), blobs], schema=schema)
 
     return run
 
@@ -141,12 +164,6 @@ def widen(blob: bytes) -> np.ndarray:
     return np.frombuffer(blob[1:], "<u4") if len(blob) % 2 else np.frombuffer(blob, "<u2").astype("<u4")
 
 
-def token_rows(docs: DataFrame, path: str, end: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Rows (doc_id, n, ids): ids of each whole text and the end id; null text counts as empty."""
-    ship(docs.sparkSession)
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(_ids(path, end, 1, 0), "doc_id long, n long, ids binary")
-
-
 def partitions_for(total: int, each: int, most: int = 20_000) -> int:
     return max(1, min(most, -(-total // each)))
 
@@ -155,7 +172,7 @@ def _blocks(block_ids: int):
     schema = pa.schema([("shard", pa.int32()), ("block", pa.int32()), ("block_start", pa.int64()), ("n_ids", pa.int64()), ("doc_ids", pa.list_(pa.int64())), ("lengths", pa.list_(pa.int64())), ("data", pa.binary())])
 
     def run(batches):
-        shard, block, start = TaskContext.get().partitionId(), 0, 0
+        shard, block, start = None, 0, 0
         docs, sizes, held, n = [], [], [], 0
 
         def flush():
@@ -165,7 +182,11 @@ def _blocks(block_ids: int):
             return pa.RecordBatch.from_arrays([pa.array(v, f.type) for v, f in zip(row, schema, strict=True)], schema=schema)
 
         for b in batches:
-            for d, blob in zip(b.column(0).to_pylist(), b.column(2).to_pylist(), strict=True):
+            for k, d, blob in zip(*(b.column(i).to_pylist() for i in range(3)), strict=True):
+                if k != shard:
+                    if docs:
+                        yield flush()
+                    shard, block, start = k, 0, 0
                 ids = widen(blob)
                 docs.append(d)
                 sizes.append(len(ids))
@@ -179,19 +200,22 @@ def _blocks(block_ids: int):
     return run
 
 
-def write_token_files(docs: DataFrame, out_path: str, tokenizer_path: str | None = None, end: int = 2, shard_ids: int = 4_000_000, block_ids: int = 262_144, id_col: str = "doc_id", text_col: str = "text") -> None:
+def write_token_files(docs: DataFrame, out_path: str, tokenizer_path: str | None = None, end: int = 2, shard_docs: int = 4_096, block_ids: int = 1 << 20, id_col: str = "doc_id", text_col: str = "text") -> None:
     """Write the ids of docs to out_path in ascending doc_id order, nulls first.
 
     One row of the files is one block (its shard, number, first id within the shard, ids, documents and
     their lengths, and the packed data). A document never spans blocks; one longer than block_ids makes
     a larger block. Repeated doc_ids keep one entry for each row. An empty table writes no blocks.
     """
-    rows = stage(token_rows(docs, tokenizer_path or default_path("byte_bpe_50k.json"), end, id_col, text_col), "ids")
-    total = rows.agg(F.sum("n")).first()[0] or 0
-    dealt = rows.repartitionByRange(partitions_for(total, shard_ids), "doc_id").sortWithinPartitions("doc_id")
+    ship(docs.sparkSession)
+    src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    n = partitions_for(src.count(), shard_docs)
+    cuts = [i / n for i in range(1, n)]
+    bounds = src.agg(F.percentile_approx("doc_id", cuts, 10 * n).alias("b")).first()["b"] if cuts else None
+    rows = src.mapInArrow(_ids(tokenizer_path or default_path("byte_bpe_50k.json"), end, np.unique(np.array(bounds or [], np.int64))), "shard int, doc_id long, ids binary")
+    dealt = rows.repartitionById(n, "shard").sortWithinPartitions("shard", "doc_id")
     schema = "shard int, block int, block_start long, n_ids long, doc_ids array<long>, lengths array<long>, data binary"
     dealt.mapInArrow(_blocks(block_ids), schema).write.parquet(out_path)
-    discard(rows)
 
 
 def _read(batches):
