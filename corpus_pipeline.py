@@ -1,10 +1,55 @@
-"""Corpus pipeline: quality rules, near-duplicate removal, secret redaction, packing."""
+"""Corpus pipeline: quality rules, near-duplicate removal, secret redaction, packing.
+
+Each stage takes (spark, docs, sf_dir) and returns a DataFrame; all but the last return the columns of docs.
+"""
 
 from __future__ import annotations
 
-STAGES: list = []
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from evenlane.llm.common import stage
+from evenlane.llm.near_dup import near_duplicates
+from evenlane.llm.packing import pack
+from evenlane.llm.quality import quality_verdicts
+from evenlane.llm.secrets import redact
+
+
+def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The documents that the base rules and the limits of their language and source let through."""
+    return quality_verdicts(docs).where("__kept").select(*docs.columns)
+
+
+def near_dup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near copies; of rows with the same doc_id one; rows without a doc_id stay."""
+    ids = stage(near_duplicates(docs).where("kept").select("doc_id"), "pipeline-kept")
+    kept = docs.join(ids.distinct(), "doc_id", "left_semi")
+    if not ids.groupBy("doc_id").count().where("count > 1").isEmpty():
+        kept = kept.dropDuplicates(["doc_id"])
+    return kept.select(*docs.columns).union(docs.where("doc_id is null"))
+
+
+def secret_scan(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """All documents, secrets replaced by a mark and n_chars counted again."""
+    return redact(docs).withColumn("n_chars", F.coalesce(F.length("text").cast("long"), F.col("n_chars"))).select(*docs.columns)
+
+
+def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces of the documents in training sequences."""
+    return pack(docs)
+
+
+STAGES = [("quality_rules", quality_rules), ("near_dup", near_dup), ("secret_scan", secret_scan), ("packing", packing)]
+
+#: Tokenisation has no SQL: the pipeline is tested against a brute-force version.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    raise NotImplementedError
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The stages over documents, each written to the shared folder and read again."""
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    for i, (name, f) in enumerate(STAGES):
+        docs = f(spark, docs, sf_dir)
+        if i < len(STAGES) - 1:
+            docs = stage(docs, f"pipeline-{name}")
+    return docs
