@@ -8,7 +8,7 @@ Plan
    members with it: linear in rows, and about one pair a document in a tight group.
    Sketch XOR population counts drop hopeless pairs, full sets confirm the rest, components follow.
 4. Only buckets that still hold several components are searched in full, in blocks of bounded size,
-   on sketches; first each member's best partners per component, then all that remain. For the
+   on sketches; first for each member's best partners, twice, then for all that remain. For the
    latter, members without any promising partner leave, and the others compare sketches of five times
    the samples. Pairs inside one component are skipped, since they cannot change the result.
 
@@ -44,7 +44,8 @@ class NearDupParams:
     deep_samples: int = 2048
     deep_bits: int = 8192
     deep_screen: float = 0.705
-    best: int = 4  # partners per bucket and component in the first full search
+    best: int = 4  # partners of a member and bucket in each of the first full searches
+    tries: int = 2  # such searches
     block: int = 20_000  # members of a bucket compared in one task
 
 
@@ -177,8 +178,8 @@ def xor_count(a: Column, b: Column) -> Column:
 def _search(limit: int, best: int | None, mark: bool = False):
     """Pairs of different components inside blocks of buckets, by XOR of sketches; rows sorted by (key, part).
 
-    Emits all pairs within the limit, or each member's best of each component, or with mark, instead
-    of pairs, the rows of the members that have any such partner.
+    Emits each member's best pairs within the limit, or, where best is None, all of them, each in the
+    first band that it shares alone; or with mark, instead of pairs, the rows of the members in any.
     """
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
@@ -188,6 +189,9 @@ def _search(limit: int, best: int | None, mark: bool = False):
         comp = rows.column("component").to_numpy()
         side = rows.column("side").to_numpy()
         bits = np.frombuffer(b"".join(rows.column("sketch").to_pylist()), U64).reshape(len(ids), -1)
+        if best is None and not mark:
+            bands = rows.column("bands").combine_chunks().flatten().to_numpy().reshape(len(ids), -1)
+            band = int(np.argmax(bands[0] == rows.column("key")[0].as_py()))
         names, comp = np.unique(comp, return_inverse=True)
         if len(names) < 2:
             return
@@ -212,11 +216,12 @@ def _search(limit: int, best: int | None, mark: bool = False):
             if not len(hit):
                 continue
             if best is not None and len(hit) > best:
-                o = hit[np.lexsort((ids[e:][hit], x[hit], turn[e:][hit]))]
-                t = turn[e:][o]
-                first = np.searchsorted(t, t, side="left")
-                hit = o[np.arange(len(o)) - first < best]
-            yield by[i], by[e:][hit]
+                hit = hit[np.lexsort((ids[e:][hit], x[hit]))[:best]]
+            js = by[e:][hit]
+            if best is None and not mark and band:
+                js = js[~(bands[js, :band] == bands[by[i], :band]).any(1)]
+            if len(js):
+                yield by[i], js
 
     def results(rows: pa.Table):
         if mark:
@@ -225,7 +230,7 @@ def _search(limit: int, best: int | None, mark: bool = False):
                 seen[i] = True
                 seen[js] = True
             if seen.any():
-                yield from rows.filter(pa.array(seen)).drop_columns(["sketch"]).to_batches()
+                yield from rows.filter(pa.array(seen)).drop_columns(["sketch", "bands"]).to_batches()
             return
         ids = rows.column("doc_id").to_numpy()
         for i, js in hits(rows):
@@ -279,7 +284,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     members = stage(banded.join(buckets, "key"), "dup-members")
     busy = members.select("doc_id").distinct()
     words = [F.conv(F.hex(F.substring("sketch", 8 * i + 1, 8)), 16, -10).cast("long") for i in range(p.bits // 64)]
-    sketches = stage(reps.join(busy, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select("doc_id", "sketch", F.array(*words).alias("words")), "dup-sketches")
+    sketches = stage(reps.join(busy, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select("doc_id", "sketch", "bands", F.array(*words).alias("words")), "dup-sketches")
 
     limit = largest_xor(p.samples, p.bits, p.screen)
     a, b = sketches.select(F.col("doc_id").alias("a"), F.col("words").alias("wa")), sketches.select(F.col("doc_id").alias("b"), F.col("words").alias("wb"))
@@ -307,17 +312,17 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     place = ["key", "part", "side", "doc_id", "component"]
 
     def together(rows: DataFrame, sketch: DataFrame) -> DataFrame:
-        return rows.join(sketch, "doc_id").select(*place, "sketch").repartition("key", "part").sortWithinPartitions("key", "part")
+        return rows.join(sketch, "doc_id").select(*place, "sketch", "bands").repartition("key", "part").sortWithinPartitions("key", "part")
 
-    for best in (p.best, None):
+    for best in (*[p.best] * p.tries, None):
         named = members.join(labels.withColumnRenamed("node", "doc_id"), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
         named = stage(named.select("key", "doc_id", "component", "size"), "dup-named")
         mixed = named.groupBy("key").agg(F.min("component").alias("c0"), F.max("component").alias("c1")).where("c0 <> c1").select("key")
         rows = named.join(mixed, "key", "left_semi").withColumn("cell", F.explode(cell)).select("*", "cell.part", "cell.side")
-        rows = together(rows, sketches.select("doc_id", "sketch"))
+        rows = together(rows, sketches.select("doc_id", "sketch", F.array().cast("array<long>").alias("bands")))
         if best is None:
             rows = stage(rows.mapInArrow(_search(limit, None, True), "key long, part int, side int, doc_id long, component long"), "dup-marked")
-            rows = together(rows, full["sets"].select("doc_id", F.col("deep").alias("sketch")))
+            rows = together(rows, full["sets"].select("doc_id", F.col("deep").alias("sketch")).join(sketches.select("doc_id", "bands"), "doc_id"))
             search = _search(largest_xor(p.deep_samples, p.deep_bits, p.deep_screen), None)
         else:
             search = _search(limit, best)
