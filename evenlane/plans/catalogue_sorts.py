@@ -83,12 +83,16 @@ def _regular(name: str, table: str, keys: tuple, options: dict) -> None:
     sql = regular_sql(table, spec, p, R, layout, options.get("spacing", "even"), options.get("dup", True))
     if table == "documents":  # long texts are shown by their digest
         sql = f"SELECT doc_id, md5(k0) AS k0, lane, pos, bucket, rank FROM ({sql})"
+    if "nulls" in name:
+        sql = f"SELECT * REPLACE (coalesce(k0, 0) AS k0) FROM ({sql})"
     if not options.get("dup", True):
         sql = regular_sql(table, spec, p, R, layout, tagged=False, tail=oracle.ranks(source(table), spec).replace("ORDER BY kr, lane, pos", "ORDER BY bucket, kr, lane, pos"))
 
     def run(spark, sf_dir):
         res = regular_sort(read(spark, sf_dir, table), spec, Lanes(p, IDS[table], layout), r=R, **extra)
         out = shown(res.with_rank(), table, spec, "bucket")
+        if "nulls" in name:  # null keys are shown as 0, which no key is
+            out = out.withColumn("k0", F.coalesce("k0", F.lit(0)))
         return out.withColumn("k0", F.md5("k0")) if table == "documents" else out
 
     QUERIES[name], ORACLE_SQL[name] = run, sql
@@ -166,8 +170,8 @@ def step(name: str, table: str, key: str, run_: Callable, sql_tail: str, random:
     QUERIES[name], ORACLE_SQL[name] = run, oracle.runs(source(table), spec, P) + sample + sql_tail
 
 
-_REAL = " SELECT run.k0, smp.lane, smp.pos, smp.j, smp.pad FROM smp LEFT JOIN run ON run.lane = smp.lane AND run.pos = smp.pos"
-_cols = lambda d: d.select("k0", F.col("lane").cast("int").alias("lane"), "pos", F.col("j").cast("long").alias("j"), F.col("pad").cast("int").alias("pad"))
+_REAL = " SELECT coalesce(run.k0, -1) AS k0, smp.lane, smp.pos, smp.j, smp.pad FROM smp LEFT JOIN run ON run.lane = smp.lane AND run.pos = smp.pos"
+_cols = lambda d: d.select(F.coalesce("k0", F.lit(-1)).alias("k0"), F.col("lane").cast("int").alias("lane"), "pos", F.col("j").cast("long").alias("j"), F.col("pad").cast("int").alias("pad"))
 step("regular_sample", "lineitem", "l_partkey", lambda r: _cols(sampling.sample_regular(r, R * P)), _REAL)
 step("regular_sample_padded", "lineitem", "l_partkey", lambda r: _cols(sampling.sample_regular(r, R * P, "padded")), _REAL, spacing="padded")
 step("random_sample_exact", "lineitem", "l_partkey", lambda r: _cols(sampling.sample_random(r, 504)), _REAL, random=True, s=504)

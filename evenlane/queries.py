@@ -6,11 +6,11 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from evenlane.plans import catalogue_sorts
+from evenlane.plans import catalogue_measures, catalogue_sorts
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLE_SQL: dict[str, str] = {}
 
-for _part in (catalogue_sorts,):
+for _part in (catalogue_sorts, catalogue_measures):
     QUERIES |= _part.QUERIES
     ORACLE_SQL |= _part.ORACLE_SQL
