@@ -2,11 +2,9 @@
 
 from __future__ import annotations
 
-import atexit
-import os
-import shutil
+import contextlib
+import ctypes
 import tempfile
-import uuid
 import zipfile
 from pathlib import Path
 
@@ -15,8 +13,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from evenlane.staging import discard, stage
+
 _SHIPPED: set[str] = set()
-_OWN_DIRS: dict[str, str] = {}
 
 
 def ship(spark: SparkSession) -> None:
@@ -33,38 +32,18 @@ def ship(spark: SparkSession) -> None:
     _SHIPPED.add(sc.applicationId)
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The cluster's shared folder (spark.checkpoint.dir); a temporary one where it is unset, as in tests."""
-    base = spark.conf.get("spark.checkpoint.dir", "") or ""
-    if base:
-        return f"{base.rstrip('/')}/evenlane"
-    app = spark.sparkContext.applicationId
-    if app not in _OWN_DIRS:
-        _OWN_DIRS[app] = tempfile.mkdtemp(prefix="evenlane-")
-        atexit.register(shutil.rmtree, _OWN_DIRS[app], True)
-    return f"file://{_OWN_DIRS[app]}"
-
-
-def fresh_path(spark: SparkSession, tag: str) -> str:
-    return f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex[:12]}"
-
-
-def stage(df: DataFrame, tag: str) -> DataFrame:
-    """Write df to the shared folder and read it back: cuts lineage, survives lost executors."""
-    path = fresh_path(df.sparkSession, tag)
-    df.write.parquet(path)
-    out = df.sparkSession.read.schema(df.schema).parquet(path)
-    out._staged_path = path
-    return out
+def trimmed(run):
+    """run for mapInArrow, giving freed memory back to the system at the end of each partition."""
 
+    def inner(batches):
+        try:
+            yield from run(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            with contextlib.suppress(OSError, AttributeError):  # another C library than glibc
+                ctypes.CDLL(None).malloc_trim(0)
 
-def discard(df: DataFrame) -> None:
-    """Delete a staged table that nothing will read again."""
-    path = getattr(df, "_staged_path", None)
-    if path:
-        jvm = df.sparkSession.sparkContext._jvm
-        where = jvm.org.apache.hadoop.fs.Path(path)
-        where.getFileSystem(df.sparkSession.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+    return inner
 
 
 def utf8(column: pa.Array) -> list[bytes]:

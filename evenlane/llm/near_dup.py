@@ -27,7 +27,8 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from evenlane.llm.common import components, discard, mix64, ship, stage, utf8
+from evenlane.llm.common import components, mix64, ship, trimmed, utf8
+from evenlane.staging import discard, stage
 
 U64 = np.uint64
 
@@ -51,7 +52,7 @@ class NearDupParams:
 
 class _WordHash(dict):
     def __missing__(self, w: bytes) -> int:
-        if len(self) > 400_000:
+        if len(self) > 150_000:
             self.clear()
         h = self[w] = xxhash.xxh3_64_intdigest(w)
         return h
@@ -145,7 +146,7 @@ def _features(p: NearDupParams):
                 d = np.frombuffer(b"".join(d), np.int64).reshape(-1, 2)
                 yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n), pa.array(d[:, 0]), pa.array(d[:, 1]), pa.array(keys, pa.list_(pa.int64())), pa.array(sketch, pa.binary())], schema=schema)
 
-    return run
+    return trimmed(run)
 
 
 def _sets(p: NearDupParams):
@@ -167,7 +168,7 @@ def _sets(p: NearDupParams):
                 lists = pa.ListArray.from_arrays(pa.array(offsets), pa.array(values.view(np.int64)))
                 yield pa.RecordBatch.from_arrays([b.column(0), lists, pa.array(deep, pa.binary())], schema=schema)
 
-    return run
+    return trimmed(run)
 
 
 def xor_count(a: Column, b: Column) -> Column:
@@ -258,7 +259,7 @@ def _search(limit: int, best: int | None, mark: bool = False):
                 held.append(pa.Table.from_batches([b.slice(s, e - s)]))
         yield from flush()
 
-    return run
+    return trimmed(run)
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", params: NearDupParams | None = None) -> DataFrame:

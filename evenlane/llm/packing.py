@@ -17,9 +17,10 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from evenlane.llm.common import mix64, ship, stage
+from evenlane.llm.common import mix64, ship, trimmed
 from evenlane.llm.token_files import id_blobs, partitions_for, widen
 from evenlane.llm.tokenizing import default_path, encoder
+from evenlane.staging import stage
 
 U64 = np.uint64
 DIMS, BITS = 4, 8
@@ -88,7 +89,7 @@ def _keyed(path: str, end: int):
                 key = (hilbert_key(projection(ids, end)) << spread) | tail
                 yield pa.RecordBatch.from_arrays([b.column(0), counts, pa.array(key), blobs], schema=schema)
 
-    return run
+    return trimmed(run)
 
 
 def _packed(length: int):
@@ -140,7 +141,7 @@ def _packed(length: int):
         if used:
             yield rows(held, [1 << k for k in range(used.bit_length() - 1, -1, -1) if used >> k & 1])
 
-    return run
+    return trimmed(run)
 
 
 def pack(docs: DataFrame, tokenizer_path: str | None = None, end: int = 2, length: int = 4096, shard_ids: int = 4_000_000, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -18,8 +18,9 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from evenlane.llm.common import mix64, ship, stage, utf8
+from evenlane.llm.common import mix64, ship, trimmed, utf8
 from evenlane.llm.near_dup import _WORDS
+from evenlane.staging import stage
 
 U64 = np.uint64
 SYMBOLS = b"#*$%&|<>"
@@ -75,13 +76,15 @@ def count_text(text: bytes, window: int = 5) -> tuple[int, ...]:
 
 def _counted(text_at: int, window: int):
     def run(batches):
-        for b in batches:
-            rows = [count_text(t, window) for t in utf8(b.column(text_at))]
-            values = np.array(rows, np.int64).reshape(-1, len(COUNTS))
-            counts = pa.StructArray.from_arrays([pa.array(values[:, i]) for i in range(len(COUNTS))], names=list(COUNTS))
-            yield pa.RecordBatch.from_arrays([*b.columns, counts], names=[*b.schema.names, "__counts"])
-
-    return run
+        for whole in batches:
+            for at in range(0, whole.num_rows, 512):
+                b = whole.slice(at, 512)
+                rows = [count_text(t, window) for t in utf8(b.column(text_at))]
+                values = np.array(rows, np.int64).reshape(-1, len(COUNTS))
+                counts = pa.StructArray.from_arrays([pa.array(values[:, i]) for i in range(len(COUNTS))], names=list(COUNTS))
+                yield pa.RecordBatch.from_arrays([*b.columns, counts], names=[*b.schema.names, "__counts"])
+
+    return trimmed(run)
 
 
 def with_counts(docs: DataFrame, text_col: str = "text", window: int = 5) -> DataFrame:

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from evenlane.llm.common import ship
+from evenlane.llm.common import ship, trimmed
 from evenlane.llm.tokenizing import default_path
 
 MARK = "▁"
@@ -231,7 +231,7 @@ def _coded(path: str, scores: str):
                 flat = np.concatenate([*ids, np.empty(0, "<u4")]).astype(np.int32)
                 yield pa.RecordBatch.from_arrays([b.column(0), pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat))], schema=schema)
 
-    return run
+    return trimmed(run)
 
 
 def encode_pieces(docs: DataFrame, path: str | None = None, scores: str = "zipf", id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -274,7 +274,7 @@ def _checked(path: str, scores: str):
                 cols = list(zip(*rows, strict=True)) or [[]] * 5
                 yield pa.RecordBatch.from_arrays([b.column(0), *[pa.array(c, f.type) for c, f in zip(cols, list(schema)[1:], strict=True)]], schema=schema)
 
-    return run
+    return trimmed(run)
 
 
 def sentence_pieces_query(spark, sf_dir: str) -> DataFrame:

@@ -13,8 +13,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evenlane.llm.common import discard, fresh_path, ship, stage
+from evenlane.llm.common import ship, trimmed
 from evenlane.llm.tokenizing import default_path
+from evenlane.staging import discard, fresh_path, stage
 
 CACHE = "tokenizer binary, content binary, n_tokens long"
 _LOADED: dict[str, object] = {}
@@ -52,7 +53,7 @@ def _encode(path: str, version: bytes):
                 n = count(b.column(1).to_pylist())
                 yield pa.RecordBatch.from_arrays([pa.array([version] * len(n), pa.binary()), b.column(0), pa.array(n, pa.int64())], schema=schema)
 
-    return run
+    return trimmed(run)
 
 
 def read_cache(spark: SparkSession, cache_path: str) -> DataFrame:

@@ -18,8 +18,9 @@ import zstandard
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from evenlane.llm.common import fresh_path, ship
+from evenlane.llm.common import ship, trimmed
 from evenlane.llm.tokenizing import default_path, encoder
+from evenlane.staging import fresh_path
 
 MAGIC = b"RPB1"
 HEAD = struct.Struct("<4sIIIIB")  # magic, ids, terminals, rules, symbols, bytes a symbol
@@ -156,7 +157,7 @@ def _ids(path: str, end: int, bounds: np.ndarray):
                 shard[null] = 0
                 yield pa.RecordBatch.from_arrays([pa.array(shard.astype(np.int32)), b.column(0), blobs], schema=schema)
 
-    return run
+    return trimmed(run)
 
 
 def widen(blob: bytes) -> np.ndarray:
@@ -197,7 +198,7 @@ def _blocks(block_ids: int):
         if docs:
             yield flush()
 
-    return run
+    return trimmed(run)
 
 
 def write_token_files(docs: DataFrame, out_path: str, tokenizer_path: str | None = None, end: int = 2, shard_docs: int = 4_096, block_ids: int = 1 << 20, id_col: str = "doc_id", text_col: str = "text") -> None:

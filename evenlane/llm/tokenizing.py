@@ -9,7 +9,6 @@ go to the library whole.
 
 from __future__ import annotations
 
-import json
 import os
 
 import numpy as np
@@ -18,7 +17,7 @@ import pyarrow as pa
 from evenlane.llm.common import mix64
 
 U64 = np.uint64
-CHUNK = 1 << 21  # bytes of text worked on at once, if no single text is longer
+CHUNK = 1 << 20  # bytes of text worked on at once, if no single text is longer
 _LOADED: dict[str, PieceTable] = {}
 
 # Byte classes: white space, letter, digit, other; 9 marks bytes that make a text not plain.
@@ -41,14 +40,14 @@ def default_path(name: str) -> str:
 class IdTable:
     """Open addressing from 64-bit keys to runs of ids, cleared when more than half full."""
 
-    def __init__(self, bits: int = 21) -> None:
+    def __init__(self, bits: int = 20) -> None:
         self.bits = bits
         self.clear()
 
     def clear(self) -> None:
         size = 1 << self.bits
         self.keys, self.start, self.count = np.zeros(size, U64), np.zeros(size, np.int32), np.zeros(size, np.int32)
-        self.ids, self.used, self.filled = np.zeros(1 << 20, np.uint32), 0, 0
+        self.ids, self.used, self.filled = np.zeros(1 << 18, np.uint32), 0, 0
 
     def find(self, h: np.ndarray) -> np.ndarray:
         """Slot of each key, -1 where it is missing."""
@@ -110,11 +109,9 @@ class PieceTable:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        with open(path, encoding="utf-8") as f:
-            spec = json.load(f)
-        self.special = [x["content"].encode() for x in spec.get("added_tokens", [])]
+        self.special = [x.content.encode() for x in self.tokenizer.get_added_tokens_decoder().values()]
         # byte-level pre-tokenisation keeps a space with the next word; the splitting kind drops white space
-        self.glued = spec["pre_tokenizer"]["type"] == "ByteLevel"
+        self.glued = type(self.tokenizer.pre_tokenizer).__name__ == "ByteLevel"
         self.table = IdTable()
         self.byte_hash = mix64(np.arange(1, 257, dtype=U64) * U64(0xD6E8FEB86659FD93))
         if not self.glued:  # letters are lower-cased before anything else

@@ -14,7 +14,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from evenlane.llm.common import discard, ship, stage
+from evenlane.llm.common import ship, trimmed
+from evenlane.staging import discard, stage
 
 LEVEL_BITS = 12
 
@@ -63,7 +64,7 @@ def _histogram(range_bits: int, width_bits: int):
                 if len(v):
                     yield pa.RecordBatch.from_arrays([pa.array(np.full(len(v), q_ids[i])), pa.array(v), pa.array(n)], schema=schema)
 
-    return run
+    return trimmed(run)
 
 
 def _above(batches):
