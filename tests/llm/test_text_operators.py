@@ -1,0 +1,132 @@
+from __future__ import annotations
+
+import hashlib
+import random
+import re
+
+import pytest
+from pyspark.sql import functions as F
+
+from evenlane.llm.chat import CHAT_SQL, chat_query, link_tool_calls
+from evenlane.llm.quality import QUALITY_SQL, count_text, quality_query, quality_verdicts
+from evenlane.llm.secrets import SECRETS_SQL, find_secrets, listed, redact, secrets_query
+from evenlane.llm.url_filter import _GOOD, LABELS, filter_urls, fit, split_url, url_filter_query, url_filter_sql
+from tests.compare import assert_same, tables
+
+
+@pytest.mark.parametrize(("query", "sql"), [(secrets_query, SECRETS_SQL), (quality_query, QUALITY_SQL), (url_filter_query, url_filter_sql()), (chat_query, CHAT_SQL)])
+def test_sql(spark, data, query, sql):
+    assert_same(query(spark, data), tables(data), sql)
+
+
+# ----- secrets
+
+
+def test_secret_kinds(spark):
+    key = "aB3dE6gH9jK2mN5pQ8sT1vW4xY7zR0uC"
+    texts = [
+        "password = abcdefghijkl and token: short", "API-KEY api_key='abcdefghijklmnop' x", "é AKIAABCDEFGHIJKLMN z AKIA1", "deadbeefdeadbeef0 0123456789abcde", f"see {key} here", "a-long-hyphenated-name-of-a-thing-here",
+        "password: token: abcdefghijklmnop", None, "", "550e8400-e29b-41d4-a716-446655440000",
+    ]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r.doc_id: r.s for r in find_secrets(df).withColumn("s", listed(F.col("__spans"))).collect()}
+    assert got[0] == "assign:0:23"
+    assert got[1] == f"assign:8:{8 + len(chr(39).join(['api_key=', 'abcdefghijklmnop']))}"
+    assert got[2] == "access:2:20"
+    assert got[3] == "hex:0:17"
+    assert got[4] == f"entropy:4:{4 + len(key)}"
+    assert got[5] == got[6] == got[7] == got[8] == got[9] == ""
+    clean = {r.doc_id: r.text for r in redact(df).collect()}
+    assert clean[4] == "see [SECRET] here" and clean[7] is None and clean[5] == texts[5]
+
+
+def test_secrets_against_python(spark):
+    rng = random.Random(2)
+    bits = ["token=", "secret: ", "Passwd='", "AKIA", "0123456789abcdef", "é", " ", "\n", "ABCDEFGHIJ", "xyz_=/+.-", "api_key=\"", "password:", "'"]
+    texts = ["".join(rng.choice(bits) for _ in range(rng.randrange(25))) for _ in range(300)]
+    assign = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.I | re.A)
+
+    def want(t):
+        spans = [(m.start(), 0, m.end()) for m in assign.finditer(t) if len(m[2]) >= 12]
+        spans += [(m.start(), 1, m.end()) for m in re.finditer("AKIA[A-Z0-9]+", t) if len(m[0]) >= 18]
+        spans += [(m.start(), 2, m.end()) for m in re.finditer("[0-9a-f]+", t) if len(m[0]) >= 16]
+        return ",".join(f"{('assign', 'access', 'hex')[k]}:{s}:{e}" for s, k, e in sorted(spans))
+
+    df = find_secrets(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"))
+    got = {r.doc_id: r.h for r in df.select("doc_id", listed(F.filter("__spans", lambda x: x["kind"] < 3)).alias("h")).collect()}
+    assert got == {i: want(t) for i, t in enumerate(texts)}
+    assert hashlib.sha256(b"").hexdigest().startswith("e3b0c442")
+
+
+def test_secrets_empty_table(spark):
+    assert redact(spark.createDataFrame([], "doc_id long, text string")).count() == 0
+
+
+# ----- quality
+
+
+def test_counts():
+    assert count_text(b"a b c d e a b c d e x")[:5] == (11, 11, 0, 0, 10)
+    assert count_text("é# $x\nq\n\nq\n \n ".encode())[:5] == (4, 6, 2, 1, 0)
+    assert count_text(b"")[:5] == (0, 0, 0, 0, 0)
+    assert count_text(b"a a a a a a")[4] == 6
+
+
+def test_quality_keeps_labelled_good(spark, data):
+    v = quality_query(spark, data).join(spark.read.parquet(f"{data}/labels.parquet"), "doc_id").toPandas()
+    good, bad = v[(v.quality == 1) & ~v.base_failed], v[v.quality == 0]
+    assert good.kept.all()
+    assert (~bad.kept).mean() > 0.95
+
+
+def test_quality_edges(spark):
+    rows = [(1, None, None, None, 5), (2, "", "en", "s", 6), (3, "w " * 12, "en", None, 7), (3, "w " * 12, "en", None, 7)]
+    got = quality_verdicts(spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_words int")).collect()
+    assert len(got) == 4 and not any(r["__kept"] for r in got if r.doc_id < 3) and [r.n_words for r in sorted(got)][:2] == [5, 6]
+    assert quality_verdicts(spark.createDataFrame([], "doc_id long, text string, lang string, source string")).count() == 0
+
+
+# ----- urls
+
+
+def test_url_parts_and_rules(spark):
+    urls = [
+        "https://A.Example.COM/en/7?x#y", "http://com/en/1", "http://example.com/en/12", "ftp://x.example.net/de/8", "http://example.net/de/9", "http://x.org/es/", "no scheme", None, "x://", "http://h?q://z/p", "http://é.com/en/#a", "http://notcom/en/",
+    ]
+    got = {r.i: r for r in filter_urls(spark.createDataFrame(list(enumerate(urls)), "i long, url string")).collect()}
+    for i, u in enumerate(urls):
+        assert (got[i]["__host"], got[i]["__path"]) == split_url(u)
+    assert [got[i]["__rule"] for i in range(12)] == ["example.com/en/7", "com/en/", "com/en/", "example.net/de/8", "net/de/", "org/es/", None, None, None, None, "com/en/", None]
+    assert [got[i]["__verdict"] for i in (0, 1, 3, 4, 5)] == ["allow", "block", "block", "allow", "block"]
+
+
+def test_url_model_held_out(spark):
+    hosts = sorted({split_url(u)[0] for u, _ in LABELS})
+    held = tuple(x for i, x in enumerate(LABELS) if i % 4 == 0)
+    m = fit(tuple(x for i, x in enumerate(LABELS) if i % 4))
+    hits = sum((m.score(*split_url(u)) > 0) == bool(y) for u, y in held)
+    assert hits / len(held) > 0.9 and len(hosts) > len(_GOOD)
+    df = filter_urls(spark.createDataFrame([(u,) for u, _ in LABELS], "url string"), rules=())
+    assert {r.url: r["__verdict"] for r in df.collect()} == {u: "block" if fit().score(*split_url(u)) > 0 else "allow" for u, _ in LABELS}
+
+
+# ----- tool calls
+
+
+def test_tool_calls(spark):
+    schemas = {"add": {"a": ("integer", True), "b": ("number", False)}}
+    rows = [
+        (1, 1, "call", "c1", "add", '{"b": 1.5, "a": 2}', None, None, []), (1, 2, "result", "c1", None, None, "3.5", None, []), (1, 3, "call", "c2", "add", '{"a": "x"}', None, None, ["c1"]),
+        (1, 4, "call", "c3", "add", '{"a": 1, "z": 2}', None, None, ["c2"]), (1, 5, "call", "c4", "sub", "{}", None, None, []), (1, 6, "result", "nope", None, None, "?", None, []), (1, 7, "call", "c1", "add", '{"a": 2}', None, None, []),
+        (1, 8, "call", "x", "add", '{"a": 2}', None, None, ["y"]), (1, 9, "call", "y", "add", '{"a": 2}', None, None, ["x"]), (1, 10, "message", None, None, None, 'hi "you"\n', "system", []), (None, None, "call", None, "add", "not json", None, None, []),
+        (1, 11, "call", "c5", "add", '{"a": 7}', None, None, ["c3", "gone"]), (1, 12, "result", "c5", None, None, None, None, []),
+    ]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, kind string, call_id string, name string, arguments string, content string, role string, after array<string>")
+    got = {r.turn: r for r in link_tool_calls(df, schemas).collect()}
+    assert [got[t].status for t in range(1, 13)] == ["ok", "ok", "bad_arguments", "bad_arguments", "unknown_tool", "orphan", "duplicate_id", "cycle", "cycle", "ok", "ok", "ok"]
+    assert got[None].status == "no_id"
+    assert [got[t].level for t in (1, 2, 3, 4, 11, 12)] == [0, 1, 2, 4, 6, 7]
+    assert got[1].json == '{"arguments":{"a":2,"b":1.5},"id":"c1","name":"add","type":"call"}'
+    assert got[10].json == '{"content":"hi \\"you\\"\\n","role":"system","type":"message"}'
+    assert got[12].json == '{"content":null,"id":"c5","type":"result"}'
+    assert link_tool_calls(df.limit(0), schemas).count() == 0
