@@ -2,7 +2,7 @@
 
 Each document's token counts are projected by a fixed pseudo-random sign matrix to a few dimensions;
 the Hilbert key of the quantised point, continued by a hash of the doc_id so that copies spread over
-the range, orders the corpus. Range partitions of that order are packed independently: the ids run on
+the range, orders the corpus. Ranges of that order with about equally many ids are packed independently: the ids run on
 end to end, cut wherever a sequence is full, and what is left at a partition's end goes into sequences
 whose lengths are powers of two, which need no padding.
 """
@@ -13,8 +13,7 @@ import zlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark import TaskContext
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from evenlane.llm.common import mix64, ship, trimmed
@@ -92,11 +91,40 @@ def _keyed(path: str, end: int):
     return trimmed(run)
 
 
+def key_bounds(rows: DataFrame, n: int, unit: int = 1024) -> list[int]:
+    """Up to n - 1 keys that cut the rows (key, n) into ranges of like numbers of ids.
+
+    A row weighs its ids: it stands floor((ids + its hash mod unit) / unit) times in a mergeable quantile summary.
+    """
+    if n < 2:
+        return []
+    times = F.expr(f"cast((n + pmod(xxhash64(key), {unit})) div {unit} as int)")
+    weighed = rows.select("key", F.explode(F.array_repeat(F.lit(0), times)))
+    found = weighed.agg(F.percentile_approx("key", [i / n for i in range(1, n)], 10 * n).alias("b")).first()["b"]
+    return sorted(set(found or []))
+
+
+def place(key: str, bounds: list[int]) -> Column:
+    """How many of the sorted bounds lie below the key, by binary search."""
+    if not bounds:
+        return F.lit(0)
+    steps = len(bounds).bit_length()
+    state = F.struct(F.lit(0).alias("lo"), F.lit(len(bounds)).alias("hi"))
+
+    def step(s: Column, _: Column) -> Column:
+        mid = F.shiftright(s["lo"] + s["hi"], 1)
+        open_ = s["lo"] < s["hi"]
+        below = open_ & (F.get(F.lit(bounds), mid) < F.col(key))
+        return F.struct(F.when(below, mid + 1).otherwise(s["lo"]).alias("lo"), F.when(open_ & ~below, mid).otherwise(s["hi"]).alias("hi"))
+
+    return F.aggregate(F.sequence(F.lit(0), F.lit(steps)), state, step, lambda s: s["lo"])
+
+
 def _packed(length: int):
     schema = pa.schema([("doc_id", pa.int64()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64()), ("doc_tokens", pa.int64()), ("sequence_id", pa.int64()), ("offset", pa.int64())])
 
     def run(batches):
-        base, local = TaskContext.get().partitionId() << 32, 0
+        base, local = 0, 0
         #: The open sequence's pieces: its sequences' lengths are known only when it fills or the input ends.
         held: list[tuple] = []
         used = 0
@@ -120,6 +148,8 @@ def _packed(length: int):
 
         for b in batches:
             ready: list[tuple] = []
+            if b.num_rows:
+                base = b.column(4)[0].as_py() << 32  # a partition holds one shard
             for doc, blob in zip(b.column(0).to_pylist(), b.column(3).to_pylist(), strict=True):
                 ids = widen(blob)
                 held.append((doc, 0, ids, len(ids)))
@@ -149,13 +179,14 @@ def pack(docs: DataFrame, tokenizer_path: str | None = None, end: int = 2, lengt
 
     Null text counts as empty and packs the end id alone; repeated rows are packed each; a null doc_id
     stays null; an empty table packs nothing. Other columns are ignored. A sequence is full, or its
-    length is a power of two; sequence_id holds the partition in its upper half.
+    length is a power of two; sequence_id holds the range's number in its upper half.
     """
     ship(docs.sparkSession)
     src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     rows = stage(src.mapInArrow(_keyed(tokenizer_path or default_path("word_bpe_49k.json"), end), "doc_id long, n long, key long, ids binary"), "pack-ids")
     total = rows.agg(F.sum("n")).first()[0] or 0
-    dealt = rows.repartitionByRange(partitions_for(total, shard_ids), "key").sortWithinPartitions("key", "doc_id", F.crc32("ids"))
+    bounds = key_bounds(rows, partitions_for(total, shard_ids))
+    dealt = rows.withColumn("shard", place("key", bounds)).repartitionById(len(bounds) + 1, "shard").sortWithinPartitions("key", "doc_id", F.crc32("ids"))
     return dealt.mapInArrow(_packed(length), "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long")
 
 
