@@ -15,7 +15,12 @@ MASK = (1 << 33) - 1
 
 @dataclass(frozen=True)
 class Lanes:
-    """p lanes; layout block, deal or hash places rows by content order over ids, physical by Spark's partitions."""
+    """p buckets, and the lanes that rows start in.
+
+    block, deal and hash place rows in p lanes by content order over ids. physical deals them over p partitions
+    and writes the runs. inplace takes the input's own partitions as lanes, however many, and moves and
+    writes nothing: the way for large inputs, whose partitions must hold the same rows at each reading.
+    """
 
     p: int
     ids: tuple[str, ...] = ()
@@ -24,7 +29,7 @@ class Lanes:
     def __post_init__(self) -> None:
         if self.p < 1:
             raise ValueError("there must be at least one lane")
-        if self.layout != "physical" and not self.ids:
+        if self.layout not in ("physical", "inplace") and not self.ids:
             raise ValueError("a layout by content needs identity columns")
 
 
@@ -95,9 +100,16 @@ class Run:
 def sorted_run(df: DataFrame, spec: SortSpec, lanes: Lanes, presort: bool = True) -> Run:
     """Place the rows in lanes, sort each lane stably, and tag every row with (lane, pos).
 
-    A physical layout takes one shuffle, a layout by content two. Without presort, pos is the input order of the lane.
+    A layout in place takes no shuffle, a physical one takes one, one by content two. Without presort, pos is
+    the input order of the lane.
     """
     keyed = spec.add(df)
+    if lanes.layout == "inplace":
+        counts = {r["lane"]: r["rows"] for r in keyed.groupBy(F.spark_partition_id().alias("lane")).agg(F.count("*").alias("rows")).collect()}
+        order = spec.order() if presort else []
+        tagged = (keyed.sortWithinPartitions(*order) if order else keyed).withColumn("__id", F.monotonically_increasing_id())
+        out = tagged.withColumns({"lane": F.shiftright("__id", 33).cast("int"), "pos": F.col("__id").bitwiseAND(F.lit(MASK))}).drop("__id")
+        return Run(out, spec, lanes, [counts.get(i, 0) for i in range(max(counts, default=0) + 1)])
     if lanes.layout == "physical":
         placed, order = keyed.repartition(lanes.p), spec.order() if presort else []
         dealt = placed.sortWithinPartitions(*order) if order else placed

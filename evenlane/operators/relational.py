@@ -10,6 +10,7 @@ from evenlane.operators.fences import FenceSet
 from evenlane.operators.layout import Lanes, by_number, sorted_run, starts
 from evenlane.operators.sorts import SortResult
 from evenlane.operators.split import with_bucket
+from evenlane.staging import stage
 
 
 def _base(result: SortResult) -> tuple[list[int], list[int]]:
@@ -55,6 +56,7 @@ def with_rank(result: SortResult, kind: str = "rank") -> DataFrame:
     numbered = result.with_rank("row_number")
     if kind == "row_number":
         return numbered
+    numbered = stage(numbered, "ranked")  # read three times below
     # what crosses bucket boundaries: a bucket's last key and the rank at which that key began
     ends = numbered.groupBy("bucket").agg(F.max_by(_keys(spec), "row_number").alias("last"), F.min_by(_keys(spec), "row_number").alias("first"), F.count_distinct(_keys(spec)).alias("distinct"))
     heads = numbered.groupBy("bucket", *spec.names).agg(F.min("row_number").alias("began"))

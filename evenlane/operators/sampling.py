@@ -44,7 +44,7 @@ def sample_regular(run: Run, s: int, spacing: str = "even") -> DataFrame:
     even: sample j stands at floor((j+1) len / s) - 1, and short lanes give fewer. padded: lanes count as
     equally long and segments as x = ceil(ceil(n/p)/s); positions past the run are pads, which sort last.
     """
-    p, n = run.lanes.p, run.n
+    p, n = len(run.lengths), run.n
     size = by_number(run.lengths, F.col("lane"))
     keys = run.df.select(*sample_keys(run))
     if spacing == "even":
@@ -82,7 +82,7 @@ def sample_random(run: Run, s: int, mode: str = "exact", seed: int = 42) -> Data
     exact: the s smallest hashes of a lane. two_step: each of p s draws first chooses a lane, then that many
     of the lane's smallest hashes are taken. bernoulli: every row whose hash is under s / len.
     """
-    p = run.lanes.p
+    p = len(run.lengths)
     h = F.md5(text(seed, "lane", "pos"))
     keys = run.df.select(*sample_keys(run))
     quota = [s] * p if mode != "two_step" else lane_quotas(p, s * p, seed)

@@ -119,7 +119,7 @@ def regular_sort(
         warnings.warn(w, stacklevel=2)
     s = r * p
     sample = sampling.sample_regular(run, s, spacing)
-    whole = spacing == "padded" or all(run.lengths)
+    whole = len(run.lengths) == p and (spacing == "padded" or all(run.lengths))
     fences = pick(sort_sample(sample, run, sample_sort, s), spec, p, s if whole else None) if p > 1 and run.n else FenceSet(spec, ())
     t = _timed(phases, "sampling", t)
     out = SortResult(run, fences, with_bucket(run.df, fences, split, dup), {"method": "regular", "p": p, "r": r, "s": s, "spacing": spacing, "split": split, "sample_sort": sample_sort, "dup": dup}, tagged=dup)
@@ -128,7 +128,7 @@ def regular_sort(
 
 
 def local_run(df: DataFrame, spec: SortSpec, lanes: Lanes, local: str, presort: bool = True) -> Run:
-    """The sorted run, with Spark's radix sort of key prefixes on or off while it is made."""
+    """The sorted run, with Spark's radix sort of key prefixes on or off while it is written (a run in place is not)."""
     if local not in ("radix", "cmp"):
         raise ValueError(f"unknown local sort {local}")
     conf, name = df.sparkSession.conf, "spark.sql.sort.enableRadixSort"
@@ -162,7 +162,7 @@ def random_fences(run: Run, s: int, mode: str, seed: int, sample_sort: str = "dr
     if p == 1 or not run.n:
         return FenceSet(run.spec, ())
     sample = sampling.sample_random(run, s, mode, seed)
-    whole = mode != "bernoulli" and min(run.lengths) >= s and mode == "exact"
+    whole = mode == "exact" and len(run.lengths) == p and min(run.lengths) >= s
     return pick(sort_sample(sample, run, sample_sort, s), run.spec, p, s if whole else None)
 
 
@@ -174,7 +174,7 @@ def classic_random_sort(df: DataFrame, spec: SortSpec, lanes: Lanes, s: int | No
     run = sorted_run(df, spec, lanes, presort=False)
     s = s or sampling.random_size(run.n)
     fences = random_fences(run, s, "exact", seed)
-    return SortResult(run, fences, with_bucket(run.df, fences, "search", dup), {"method": "classic_random", "p": lanes.p, "s": s, "seed": seed, "dup": dup}, tagged=dup)
+    return SortResult(run, fences, with_bucket(run.df, fences, "tree", dup), {"method": "classic_random", "p": lanes.p, "s": s, "seed": seed, "dup": dup}, tagged=dup)
 
 
 def iterated_sort(df: DataFrame, spec: SortSpec, lanes: Lanes, k: int, rounds: int, r: int = 4, method: str = "regular", seed: int = 42) -> SortResult:
