@@ -79,6 +79,21 @@ def _imbalance_equal_samples(spark, sf_dir):
 QUERIES["imbalance_equal_samples"] = _imbalance_equal_samples
 ORACLE_SQL["imbalance_equal_samples"] = _most("'regular'", "method", regular_sql("orders", _price, tail=oracle.sizes(P))) + " UNION ALL " + _most("'random'", "method", random_sql("orders", _price, R * P, tail=oracle.sizes(P)))
 
+_OMEGAS = (12, 48, 192, 768)  # samples a lane
+
+
+def _imbalance_by_samples(spark, sf_dir):
+    rows = []
+    for s in _OMEGAS:
+        for seed in (1, 2, 3):
+            sizes = presorted_random_sort(read(spark, sf_dir, "orders"), _price, Lanes(P, IDS["orders"]), s=s, seed=seed).bucket_sizes()
+            rows.append((s, seed, max(sizes), round(measure.imbalance(sizes), 6)))
+    return spark.createDataFrame(rows, "s int, seed int, n_max long, imbalance double")
+
+
+QUERIES["imbalance_by_samples"] = _imbalance_by_samples
+ORACLE_SQL["imbalance_by_samples"] = " UNION ALL ".join(_most(f"CAST({s} AS INTEGER) AS s, CAST({seed} AS INTEGER)", "seed", random_sql("orders", _price, s, seed, tail=oracle.sizes(P))) for s in _OMEGAS for seed in (1, 2, 3))
+
 _part = SortSpec.of("l_partkey")
 QUERIES["h_relation"] = lambda spark, sf_dir: measure.h_relation(regular_sort(read(spark, sf_dir, "lineitem"), _part, Lanes(P, _ids), r=R))
 ORACLE_SQL["h_relation"] = regular_sql(

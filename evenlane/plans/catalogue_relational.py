@@ -195,13 +195,13 @@ _SQL_OPS = {
     "anti_join": "SELECT c_custkey FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey)",
     "hash_aggregate": "SELECT l_returnflag, l_linestatus, count(*) AS n, CAST(sum(CAST(l_quantity AS BIGINT)) AS BIGINT) AS quantity, min(l_shipdate) AS first_day, max(l_extendedprice) AS dearest FROM lineitem GROUP BY 1, 2",
     "count_distinct": "SELECT l_returnflag, count(DISTINCT l_partkey) AS parts, count(DISTINCT l_suppkey) AS suppliers FROM lineitem GROUP BY 1",
-    "window_ranks": "SELECT o_orderkey, row_number() OVER w AS rn, rank() OVER w AS rk, dense_rank() OVER w AS dr, CAST(ntile(4) OVER w AS INTEGER) AS quarter, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_totalprice, o_orderkey)",
+    "window_ranks": "SELECT o_orderkey, CAST(row_number() OVER w AS BIGINT) AS rn, CAST(rank() OVER w AS BIGINT) AS rk, CAST(dense_rank() OVER w AS BIGINT) AS dr, CAST(ntile(4) OVER w AS INTEGER) AS quarter, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_totalprice, o_orderkey)",
     "window_neighbours": "SELECT event_id, coalesce(lag(event_id) OVER w, -1) AS before_id, coalesce(lead(event_id) OVER w, -1) AS after_id, first_value(event_id) OVER w AS first_id, coalesce(nth_value(event_id, 2) OVER w, -1) AS second_id FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)",
     "window_frames": "SELECT o_orderkey, CAST(sum(o_custkey) OVER (PARTITION BY o_custkey ORDER BY o_orderkey ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS BIGINT) AS last_three, count(*) OVER (PARTITION BY o_custkey ORDER BY o_orderkey RANGE BETWEEN 100 PRECEDING AND 100 FOLLOWING) AS near FROM orders",
     "set_operations": "SELECT o_custkey FROM orders WHERE o_orderkey % 2 = 0 INTERSECT ALL SELECT o_custkey FROM orders WHERE o_orderkey % 3 = 0 UNION ALL (SELECT o_custkey FROM orders WHERE o_orderkey % 5 = 0 EXCEPT ALL SELECT o_custkey FROM orders WHERE o_orderkey % 7 = 0)",
     "limit_offset": "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 20 OFFSET 10",
-    "string_functions": "SELECT doc_id, length(text) AS chars, md5(lower(substr(text, 1, 40))) AS head, concat_ws('-', lang, source) AS place, CAST(length(text) - length(replace(text, 'e', '')) AS BIGINT) AS letters_e FROM documents",
-    "date_functions": "SELECT o_orderkey, date_trunc('month', o_orderdate) AS month, CAST(extract(year FROM o_orderdate) AS INTEGER) AS year, o_orderdate + INTERVAL 3 DAY AS due FROM orders",
+    "string_functions": "SELECT doc_id, CAST(length(text) AS BIGINT) AS chars, md5(lower(substr(text, 1, 40))) AS head, concat_ws('-', lang, source) AS place, CAST(length(text) - length(replace(text, 'e', '')) AS BIGINT) AS letters_e FROM documents",
+    "date_functions": "SELECT o_orderkey, CAST(date_trunc('month', o_orderdate) AS DATE) AS month, CAST(extract(year FROM o_orderdate) AS INTEGER) AS year, o_orderdate + INTERVAL 3 DAY AS due FROM orders",
     "math_functions": "SELECT o_orderkey, CAST(ceil(log2(o_orderkey + 1)) AS BIGINT) AS bits, CAST(floor(sqrt(o_custkey)) AS BIGINT) AS root, greatest(o_orderkey, o_custkey) AS larger, o_orderkey % 7 AS rest FROM orders",
 }
 for _n, _sql in _SQL_OPS.items():
