@@ -201,7 +201,7 @@ _SQL_OPS = {
     "set_operations": "SELECT o_custkey FROM orders WHERE o_orderkey % 2 = 0 INTERSECT ALL SELECT o_custkey FROM orders WHERE o_orderkey % 3 = 0 UNION ALL (SELECT o_custkey FROM orders WHERE o_orderkey % 5 = 0 EXCEPT ALL SELECT o_custkey FROM orders WHERE o_orderkey % 7 = 0)",
     "limit_offset": "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 20 OFFSET 10",
     "string_functions": "SELECT doc_id, CAST(length(text) AS BIGINT) AS chars, md5(lower(substr(text, 1, 40))) AS head, concat_ws('-', lang, source) AS place, CAST(length(text) - length(replace(text, 'e', '')) AS BIGINT) AS letters_e FROM documents",
-    "date_functions": "SELECT o_orderkey, CAST(date_trunc('month', o_orderdate) AS DATE) AS month, CAST(extract(year FROM o_orderdate) AS INTEGER) AS year, o_orderdate + INTERVAL 3 DAY AS due FROM orders",
+    "date_functions": "SELECT o_orderkey, CAST(CAST(date_trunc('month', o_orderdate) AS DATE) AS STRING) AS month, CAST(extract(year FROM o_orderdate) AS INTEGER) AS year, o_orderdate + INTERVAL 3 DAY AS due FROM orders",
     "math_functions": "SELECT o_orderkey, CAST(ceil(log2(o_orderkey + 1)) AS BIGINT) AS bits, CAST(floor(sqrt(o_custkey)) AS BIGINT) AS root, greatest(o_orderkey, o_custkey) AS larger, o_orderkey % 7 AS rest FROM orders",
 }
 for _n, _sql in _SQL_OPS.items():
