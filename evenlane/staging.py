@@ -16,7 +16,7 @@ def shared_dir(spark: SparkSession) -> str:
     """The cluster's shared folder (spark.checkpoint.dir); a temporary one where it is unset, as in tests."""
     base = spark.conf.get("spark.checkpoint.dir", "") or ""
     if base:
-        return f"{base.rstrip('/')}/evenlane"
+        return f"{base.rstrip('/')}/evenlane/{spark.sparkContext.applicationId}"
     app = spark.sparkContext.applicationId
     if app not in _OWN_DIRS:
         _OWN_DIRS[app] = tempfile.mkdtemp(prefix="evenlane-")
@@ -37,10 +37,19 @@ def stage(df: DataFrame, tag: str) -> DataFrame:
     return out
 
 
+def _delete(spark: SparkSession, path: str) -> None:
+    sc = spark.sparkContext
+    where = sc._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(sc._jsc.hadoopConfiguration()).delete(where, True)
+
+
 def discard(df: DataFrame) -> None:
     """Delete a staged table that nothing will read again."""
     path = getattr(df, "_staged_path", None)
     if path:
-        sc = df.sparkSession.sparkContext
-        where = sc._jvm.org.apache.hadoop.fs.Path(path)
-        where.getFileSystem(sc._jsc.hadoopConfiguration()).delete(where, True)
+        _delete(df.sparkSession, path)
+
+
+def clear(spark: SparkSession) -> None:
+    """Delete all that this application staged: to be called once its results are written elsewhere."""
+    _delete(spark, shared_dir(spark))
