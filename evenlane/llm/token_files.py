@@ -147,7 +147,7 @@ def _ids(path: str, end: int, bounds: np.ndarray):
     schema = pa.schema([("shard", pa.int32()), ("doc_id", pa.int64()), ("ids", pa.binary())])
 
     def run(batches):
-        enc = encoder(path)
+        enc = encoder(path, 21)
         for whole in batches:
             for at in range(0, whole.num_rows, 1024):
                 b = whole.slice(at, 1024)

@@ -18,7 +18,7 @@ from evenlane.llm.common import mix64
 
 U64 = np.uint64
 CHUNK = 1 << 20  # bytes of text worked on at once, if no single text is longer
-_LOADED: dict[str, PieceTable] = {}
+_LOADED: dict[tuple[str, int], PieceTable] = {}
 
 # Byte classes: white space, letter, digit, other; 9 marks bytes that make a text not plain.
 _SPACE, _LETTER, _DIGIT, _OTHER, _ODD = 0, 1, 2, 3, 9
@@ -104,7 +104,7 @@ def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
 class PieceTable:
     """Encoder for one tokenizers file."""
 
-    def __init__(self, path: str) -> None:
+    def __init__(self, path: str, bits: int = 20) -> None:
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -112,7 +112,7 @@ class PieceTable:
         self.special = [x.content.encode() for x in self.tokenizer.get_added_tokens_decoder().values()]
         # byte-level pre-tokenisation keeps a space with the next word; the splitting kind drops white space
         self.glued = type(self.tokenizer.pre_tokenizer).__name__ == "ByteLevel"
-        self.table = IdTable()
+        self.table = IdTable(bits)
         self.byte_hash = mix64(np.arange(1, 257, dtype=U64) * U64(0xD6E8FEB86659FD93))
         if not self.glued:  # letters are lower-cased before anything else
             self.byte_hash[65:91] = self.byte_hash[97:123]
@@ -234,8 +234,8 @@ class PieceTable:
         return self.encode_column(pa.array(texts, pa.string()))
 
 
-def encoder(path: str) -> PieceTable:
-    """The encoder of a file, one a worker process."""
-    if path not in _LOADED:
-        _LOADED[path] = PieceTable(path)
-    return _LOADED[path]
+def encoder(path: str, bits: int = 20) -> PieceTable:
+    """The encoder of a file with a table of 2^bits slots, one a worker process."""
+    if (path, bits) not in _LOADED:
+        _LOADED[path, bits] = PieceTable(path, bits)
+    return _LOADED[path, bits]
