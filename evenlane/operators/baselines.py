@@ -14,6 +14,7 @@ from evenlane.operators.fences import FenceSet, pick, ranked_sample
 from evenlane.operators.layout import Lanes, Run, by_number, indexed, sorted_run, starts
 from evenlane.operators.sorts import SortResult, classic_random_sort, iterated_sort, local_run, regular_sort
 from evenlane.operators.split import with_bucket
+from evenlane.shipping import ship
 
 
 def plain_regular(df: DataFrame, spec: SortSpec, lanes: Lanes) -> SortResult:
@@ -103,6 +104,7 @@ def sequential(df: DataFrame, spec: SortSpec, ids: tuple[str, ...], algo: str =
 
 def callback_sort(df: DataFrame, spec: SortSpec, lanes: Lanes) -> DataFrame:
     """Routed as usual, each bucket sorted in Python through a comparison callback: rows with their rank."""
+    ship(df.sparkSession)
     res = regular_sort(df, spec, lanes)
     names, keys = spec.names, spec.keys
     base = starts(list(enumerate(res.bucket_sizes())), lanes.p)

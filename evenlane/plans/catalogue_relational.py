@@ -14,6 +14,7 @@ from evenlane.operators.layout import Lanes
 from evenlane.operators.networks import bitonic_schedule
 from evenlane.operators.sorts import regular_sort
 from evenlane.plans.catalogue_sorts import P, R
+from evenlane.shipping import ship
 from evenlane.sources import tables
 from evenlane.sources.tables import IDS, read
 from evenlane.staging import fresh_path, stage
@@ -341,6 +342,7 @@ def reservoir_sample(spark, sf_dir):
 @query("SELECT CAST(i AS INTEGER) AS low, CAST(i + 1 AS INTEGER) AS high FROM (SELECT unnest([0, 2, 4, 6]) AS i) WHERE i % 4 = 0 UNION ALL SELECT CAST(i + 1 AS INTEGER), CAST(i AS INTEGER) FROM (SELECT unnest([2, 6]) AS i)")
 def udtf_schedule(spark, sf_dir):
     """The first step of the bitonic network on 8 lanes, as a table function."""
+    ship(spark)
 
     @F.udtf(returnType="step int, low int, high int")
     class Schedule:
