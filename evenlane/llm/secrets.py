@@ -4,6 +4,9 @@ A pattern's matches come from one extract and one split, whose piece lengths giv
 Candidate runs of a character class are walked once: the window's character counts and the sum of
 c * log2(c) over them change by one incoming and one outgoing character, so each step costs two
 updates. Windows at or above the class's entropy mark the span from the first to the last of them.
+Key classes come on top, one for each alphabet that keys are drawn from: a window of 16 characters for
+runs of 16 to 23 and one of 24 for longer runs, hot from three standard deviations under the entropy that
+a window of uniformly random characters of that alphabet has. A run of letters and digits is marked whole.
 Entropy spans that an allow-list pattern covers, or that touch a span of the fixed patterns, are dropped.
 """
 
@@ -25,13 +28,20 @@ KINDS = ("assign", "access", "hex", "entropy")
 
 @dataclass(frozen=True)
 class CharClass:
-    """Runs of alphabet of at least window characters; a window is hot at bits or more of entropy."""
+    """Runs of alphabet of at least window characters; a window is hot at bits or more of entropy.
+
+    With whole, a hot window marks its run from end to end; runs longer than longest or without a match
+    of one of needs are no candidates.
+    """
 
     name: str
     pattern: str
     alphabet: str
     window: int
     bits: float
+    whole: bool = False
+    longest: int | None = None
+    needs: tuple[str, ...] = ()
 
 
 _UPPER, _LOWER, _DIGITS = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz", "0123456789"
@@ -39,6 +49,41 @@ CLASSES = (
     CharClass("base64", "[A-Za-z0-9+/_=-]{24,}", _UPPER + _LOWER + _DIGITS + "+/_=-", 24, 4.1),
     CharClass("hexupper", "[0-9A-F]{24,}", _DIGITS + "ABCDEF", 24, 3.2),
 )
+KEY_WINDOWS = (16, 24)
+
+
+def likely_bits(symbols: int, window: int) -> float:
+    """Entropy that lies three standard deviations under the mean of a window of uniformly random symbols.
+
+    Mean and variance are exact for the sum of c * log2(c), over the binomial count of one symbol and the
+    joint counts of two.
+    """
+    f = [0.0, *[c * math.log2(c) for c in range(1, window + 1)]]
+    p, rest = 1 / symbols, 1 - 2 / symbols
+    one = [math.comb(window, c) * p**c * (1 - p) ** (window - c) for c in range(window + 1)]
+    both = sum(math.comb(window, c) * math.comb(window - c, d) * p ** (c + d) * rest ** (window - c - d) * f[c] * f[d] for c in range(2, window + 1) for d in range(2, window - c + 1))
+    mean = symbols * sum(x * y for x, y in zip(one, f, strict=True))
+    var = symbols * sum(x * y * y for x, y in zip(one, f, strict=True)) + symbols * (symbols - 1) * both - mean**2
+    return math.log2(window) - (mean + 3 * math.sqrt(var)) / window
+
+
+def key_classes(name: str, chars: str, alphabet: str, symbols: int, whole: bool = True, needs: tuple[str, ...] = ()) -> tuple[CharClass, ...]:
+    """A class for each window of KEY_WINDOWS over runs of chars, of keys with so many symbols."""
+    least, wide = KEY_WINDOWS
+    return tuple(CharClass(f"{name}{w}", f"[{chars}]{{{least},}}", alphabet, w, likely_bits(symbols, w), whole, wide - 1 if w < wide else None, needs) for w in KEY_WINDOWS)
+
+
+#: Alphabets of bare keys. With joining signs, a run needs both cases and a digit: paths and joined words have runs too.
+KEY_CLASSES = (
+    *key_classes("lower", "a-z0-9", _LOWER + _DIGITS, 36),
+    *key_classes("upper", "A-Z0-9", _UPPER + _DIGITS, 36),
+    *key_classes("base32", "A-Z2-7", _UPPER + "234567", 32),
+    *key_classes("hexupper", "0-9A-F", _DIGITS + "ABCDEF", 16),
+    *key_classes("mixed", "A-Za-z0-9", _UPPER + _LOWER + _DIGITS, 62),
+    *key_classes("base64", "A-Za-z0-9+/_=-", _UPPER + _LOWER + _DIGITS + "+/_=-", 64, False, ("[a-z]", "[A-Z]", "[0-9]")),
+)
+#: In a run of under 24 characters, a word and a number of up to four digits is a name, not a key.
+NAMED = "^(?=.{16,23}$)[A-Za-z]?([a-z]+|[A-Z]+)[0-9]{1,4}$"
 #: Candidates that one of these matches as a whole or, without anchors, in part are left alone.
 ALLOW = (
     "^[A-Za-z]+([+/_=-]+[A-Za-z]+)*[+/_=-]*$",
@@ -94,13 +139,23 @@ def hot_range(s: Column, c: CharClass) -> Column:
 
 def _hot_spans(runs: Column, c: CharClass, allow: tuple[str, ...]) -> Column:
     """array<struct<start, end>> of the hot ranges of the runs that no allow-list pattern matches."""
-    wild = F.filter(runs, lambda x: ~F.greatest(*[x["value"].rlike(a) for a in (*allow, "^$", "^$")]))
+    def fits(x: Column) -> Column:
+        fit = ~F.greatest(*[x["value"].rlike(a) for a in (*allow, "^$", "^$")]) & (F.length(x["value"]) >= c.window)
+        fit = fit & (F.length(x["value"]) <= c.longest) if c.longest else fit
+        for n in c.needs:
+            fit = fit & x["value"].rlike(n)
+        return fit
+
+    wild = F.filter(runs, fits)
+    if c.whole:
+        kept = F.filter(wild, lambda x: hot_range(x["value"], c)["first"].isNotNull())
+        return F.transform(kept, lambda x: F.struct(x["start"].alias("start"), x["end"].alias("end")))
     ranged = F.transform(wild, lambda x: F.struct(x["start"].alias("start"), hot_range(x["value"], c).alias("r")))
     ranged = F.filter(ranged, lambda x: x["r"]["first"].isNotNull())
     return F.transform(ranged, lambda x: F.struct((x["start"] + x["r"]["first"]).alias("start"), (x["start"] + x["r"]["last"] + c.window).alias("end")))
 
 
-def find_secrets(docs: DataFrame, text_col: str = "text", classes: tuple[CharClass, ...] = CLASSES, allow: tuple[str, ...] = ALLOW) -> DataFrame:
+def find_secrets(docs: DataFrame, text_col: str = "text", classes: tuple[CharClass, ...] = CLASSES, allow: tuple[str, ...] = ALLOW, keys: tuple[CharClass, ...] = KEY_CLASSES) -> DataFrame:
     """docs with __spans: array<struct<start, kind, end, name, value>> in order of start, then kind.
 
     kind is the index in KINDS; start and end are code points, end exclusive. Null text counts as empty
@@ -109,7 +164,8 @@ def find_secrets(docs: DataFrame, text_col: str = "text", classes: tuple[CharCla
     """
     text = F.coalesce(F.col(text_col), F.lit(""))
     d = docs.withColumn("__t", text)
-    plan = [("assign", ASSIGN, 2), ("access", ACCESS, 0), ("hex", HEX, 0), *[(f"class{i}", c.pattern, 0) for i, c in enumerate(classes)]]
+    runs = {r: f"class{i}" for i, r in enumerate(dict.fromkeys(c.pattern for c in (*classes, *keys)))}
+    plan = [("assign", ASSIGN, 2), ("access", ACCESS, 0), ("hex", HEX, 0), *[(n, r, 0) for r, n in runs.items()]]
     d = d.withColumns({f"__m_{n}": F.regexp_extract_all("__t", F.lit(r), F.lit(0)) for n, r, _ in plan})
     none = F.array().cast("array<string>")
     some = lambda n, x: F.when(F.size(f"__m_{n}") > 0, x).otherwise(none)
@@ -122,8 +178,9 @@ def find_secrets(docs: DataFrame, text_col: str = "text", classes: tuple[CharCla
         return F.transform(col, lambda x: F.struct(x["start"].alias("start"), F.lit(kind).alias("kind"), x["end"].alias("end"), F.lit(KINDS[kind]).alias("name")))
 
     d = d.withColumn("__base", F.array_sort(F.concat(*[spans(i, F.col(f"__l_{KINDS[i]}")) for i in range(3)])))
-    hot = [_hot_spans(F.col(f"__l_class{i}"), c, allow) for i, c in enumerate(classes)]
+    hot = [_hot_spans(F.col(f"__l_{runs[c.pattern]}"), c, a) for cs, a in ((classes, allow), (keys, (*allow, NAMED))) for c in cs]
     d = d.withColumn("__hot", F.array_distinct(F.concat(*hot)) if hot else F.from_json(F.lit("[]"), "array<struct<start:int,end:int>>"))
+    d = d.withColumn("__hot", F.filter("__hot", lambda h: ~F.exists("__hot", lambda g: (g != h) & (g["start"] <= h["start"]) & (h["end"] <= g["end"]))))
     clear = F.filter("__hot", lambda h: ~F.exists("__base", lambda b: (b["start"] < h["end"]) & (h["start"] < b["end"])))
     d = d.withColumn("__spans", F.array_sort(F.concat("__base", spans(3, clear))))
     return d.drop("__t", "__base", "__hot", "__g_assign", *[f"__{k}_{n}" for n, _, _ in plan for k in "mpl"])

@@ -58,6 +58,34 @@ def test_secrets_against_python(spark):
     assert hashlib.sha256(b"").hexdigest().startswith("e3b0c442")
 
 
+def test_secrets_recall_on_random_keys(spark):
+    low, digits = "abcdefghijklmnopqrstuvwxyz", "0123456789"
+    alphabets = {"lower": low + digits, "upper": low.upper() + digits, "base32": low.upper() + "234567", "mixed": low + low.upper() + digits, "hexupper": digits + "ABCDEF"}
+    rng = random.Random(7)
+    rows, of = [], []
+    for name, a in alphabets.items():
+        for n in (16, 20, 24, 32, 40, 64):
+            for _ in range(80):
+                key = "".join(rng.choice(a) for _ in range(n))
+                if re.search("[0-9]", key) and re.search("[A-Za-z]", key):  # letters alone are on the allow-list
+                    rows.append((len(rows), f"see {key} here"))
+                    of.append((name, n, key))
+    clean = {r.doc_id: r.text for r in redact(spark.createDataFrame(rows, "doc_id long, text string").repartition(4)).collect()}
+    hit, total = {}, {}
+    for i, (name, n, _) in enumerate(of):
+        total[name, n] = total.get((name, n), 0) + 1
+        hit[name, n] = hit.get((name, n), 0) + (clean[i] == "see [SECRET] here")
+    share = {k: hit[k] / total[k] for k in total}
+    assert min(share.values()) >= 0.93, share
+    assert min(x for (_, n), x in share.items() if n >= 24) >= 0.96, share
+
+
+def test_secrets_leave_names_alone(spark):
+    texts = ["the configuration2024 of internationalization and INTERNATIONALIZATION", "the 2024-11-26-10-20-30-40", "zzzzzzzzyyyyyyyy11111111", "en/articles/2024/some-title-here", "a state-of-the-art-2024 thing"]
+    got = redact(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()
+    assert {r.doc_id: r.text for r in got} == dict(enumerate(texts))
+
+
 def test_secrets_empty_table(spark):
     assert redact(spark.createDataFrame([], "doc_id long, text string")).count() == 0
 
