@@ -6,7 +6,9 @@ from bucket to count, so sketches merge by adding counts, and groups roll up int
 into the whole table. A group with too few documents takes the limits of its language, then of the table.
 A limit is the median plus a multiple of the spread of the clean half (median to 10th percentile for
 upper limits, 90th percentile to median for lower ones) plus a slack that no clean document reaches;
-half of a group may be junk without moving it.
+half of a group may be junk without moving it. Of a group's limits and those of its language and of the
+whole table the strictest holds, so a group that is mostly junk does not set its own; the price is that a
+source may not lie beyond what its language and the table allow.
 """
 
 from __future__ import annotations
@@ -127,11 +129,13 @@ def limits(counted: DataFrame, p: QualityParams, lang: str = "lang", source: str
 
     own, by_lang, whole = quantiles(["lang", "source"]), quantiles(["lang"]), quantiles([])
     j = own.join(by_lang.select("lang", "feature", F.col("total").alias("lang_total"), F.col("q").alias("lang_q")), ["lang", "feature"]).join(whole.select("feature", F.col("q").alias("all_q")), "feature")
-    q = F.when(F.col("total") >= p.min_group, F.col("q")).when(F.col("lang_total") >= p.min_group, F.col("lang_q")).otherwise(F.col("all_q"))
-    j = j.select("lang", "source", "feature", q.alias("q"))
+    lang_q = F.when(F.col("lang_total") >= p.min_group, F.col("lang_q")).otherwise(F.col("all_q"))
+    q = F.when(F.col("total") >= p.min_group, F.col("q")).otherwise(lang_q)
+    j = j.select("lang", "source", "feature", q.alias("q"), lang_q.alias("lang_q"), "all_q")
     high, low = F.create_map(*[F.lit(x) for k, (u, _) in FEATURES.items() for x in (k, u)]), F.create_map(*[F.lit(x) for k, (_, d) in FEATURES.items() if d is not None for x in (k, d)])
-    up = F.col("q.q50") + p.spread * (F.col("q.q50") - F.col("q.q10")) + high[F.col("feature")]
-    down = F.col("q.q50") - p.spread * (F.col("q.q90") - F.col("q.q50")) - low[F.col("feature")]
+    levels = [F.col(k) for k in ("q", "lang_q", "all_q")]
+    up = F.least(*[x["q50"] + p.spread * (x["q50"] - x["q10"]) for x in levels]) + high[F.col("feature")]
+    down = F.greatest(*[x["q50"] - p.spread * (x["q90"] - x["q50"]) for x in levels]) - low[F.col("feature")]
     return j.groupBy("lang", "source").agg(F.map_from_entries(F.collect_list(F.struct("feature", F.struct(up.alias("up"), down.alias("down"))))).alias("limits"))
 
 

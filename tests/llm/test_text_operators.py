@@ -114,6 +114,22 @@ def test_quality_edges(spark):
     assert quality_verdicts(spark.createDataFrame([], "doc_id long, text string, lang string, source string")).count() == 0
 
 
+def _prose(rng, n):
+    return " ".join("".join(rng.choice("abcdefghijklmnop") for _ in range(rng.randint(3, 7))) for _ in range(n))
+
+
+def test_quality_hot_source_of_junk(spark):
+    rng = random.Random(4)
+    rows = [(i, _prose(rng, 40), "en", f"s{i % 3}", True) for i in range(600)]
+    for share, source in ((60, "hot"), (95, "hotter")):
+        for i in range(150):
+            junk = i * 100 < share * 150
+            text = _prose(rng, 40)
+            rows.append((len(rows), " ".join(f"{w}###" for w in text.split()) if junk else text, "en", source, not junk))
+    got = quality_verdicts(spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, fine boolean")).collect()
+    assert [r.doc_id for r in got if r["__kept"] != r.fine] == []
+
+
 # ----- urls
 
 
