@@ -8,7 +8,9 @@ A limit is the median plus a multiple of the spread of the clean half (median to
 upper limits, 90th percentile to median for lower ones) plus a slack that no clean document reaches;
 half of a group may be junk without moving it. Of a group's limits and those of its language and of the
 whole table the strictest holds, so a group that is mostly junk does not set its own; the price is that a
-source may not lie beyond what its language and the table allow.
+source may not lie beyond what its language and the table allow. Beside the constant slack a text's symbols,
+doubled words and word length keep to the group's own spread: the median plus a multiple of median to 75th percentile plus one bucket, and
+what chance adds to a text of its length. A quarter of a group may be junk without moving that one.
 """
 
 from __future__ import annotations
@@ -106,6 +108,24 @@ def feature_values(c: str = "__counts") -> dict[str, Column]:
     return {"symbols": per("n_symbols", "word_chars", 1000), "dup_lines": per("n_dup_lines", "n_lines", 1000), "adjacent": per("n_adjacent", "n_words", 1000), "caps": per("n_caps", "word_chars", 1000), "word_length": per("word_chars", "n_words", 10)}
 
 
+#: The two counts behind a feature, and its units. Repeated lines and capitals are left out: between clean
+#: documents they vary by more than chance, so that this rule drops labelled clean ones.
+PARTS = {"symbols": ("n_symbols", "word_chars", 1000), "adjacent": ("n_adjacent", "n_words", 1000), "word_length": ("word_chars", "n_words", 10)}
+
+
+def by_chance(feature: str, near: Column, c: str = "__counts") -> Column:
+    """Whether a text whose rate is near may have its count by chance: three deviations, and one more.
+
+    Counts of events spread like the root of their mean, sums of word lengths like the mean length times
+    the root of the number of words: short texts pass with what would be junk in long ones.
+    """
+    k, n, unit = PARTS[feature]
+    n = F.col(f"{c}.{n}")
+    mean = near * n / unit
+    wide = near / unit * F.sqrt(n) if feature == "word_length" else F.sqrt(mean)
+    return F.col(f"{c}.{k}") <= mean + 3 * wide + 1
+
+
 def bucket(v: Column) -> Column:
     """Log-linear bucket, named by its smallest value: exact below 128, then 64 to an octave."""
     shift = F.greatest(F.length(F.conv(v.cast("string"), 10, 2)) - 7, F.lit(0))
@@ -125,7 +145,7 @@ def limits(counted: DataFrame, p: QualityParams, lang: str = "lang", source: str
         merged = sketch.groupBy(*keys, "feature", "bucket").agg(F.sum("n").alias("n"))
         lists = merged.groupBy(*keys, "feature").agg(F.sum("n").alias("total"), F.array_sort(F.collect_list(F.struct("bucket", "n"))).alias("s"))
         at = lambda q: F.expr(f"aggregate(s, named_struct('c', 0L, 'v', cast(null as bigint)), (a, x) -> named_struct('c', a.c + x.n, 'v', case when a.v is null and 100 * (a.c + x.n) >= {q} * total then x.bucket else a.v end), a -> a.v)")
-        return lists.select(*keys, "feature", "total", F.struct(at(10).alias("q10"), at(50).alias("q50"), at(90).alias("q90")).alias("q"))
+        return lists.select(*keys, "feature", "total", F.struct(at(10).alias("q10"), at(50).alias("q50"), at(75).alias("q75"), at(90).alias("q90")).alias("q"))
 
     own, by_lang, whole = quantiles(["lang", "source"]), quantiles(["lang"]), quantiles([])
     j = own.join(by_lang.select("lang", "feature", F.col("total").alias("lang_total"), F.col("q").alias("lang_q")), ["lang", "feature"]).join(whole.select("feature", F.col("q").alias("all_q")), "feature")
@@ -136,7 +156,8 @@ def limits(counted: DataFrame, p: QualityParams, lang: str = "lang", source: str
     levels = [F.col(k) for k in ("q", "lang_q", "all_q")]
     up = F.least(*[x["q50"] + p.spread * (x["q50"] - x["q10"]) for x in levels]) + high[F.col("feature")]
     down = F.greatest(*[x["q50"] - p.spread * (x["q90"] - x["q50"]) for x in levels]) - low[F.col("feature")]
-    return j.groupBy("lang", "source").agg(F.map_from_entries(F.collect_list(F.struct("feature", F.struct(up.alias("up"), down.alias("down"))))).alias("limits"))
+    near = F.col("q.q50") + p.spread * (F.col("q.q75") - F.col("q.q50")) + 1
+    return j.groupBy("lang", "source").agg(F.map_from_entries(F.collect_list(F.struct("feature", F.struct(up.alias("up"), down.alias("down"), near.alias("near"))))).alias("limits"))
 
 
 def quality_verdicts(docs: DataFrame, params: QualityParams | None = None, text_col: str = "text", lang_col: str = "lang", source_col: str = "source") -> DataFrame:
@@ -155,6 +176,7 @@ def quality_verdicts(docs: DataFrame, params: QualityParams | None = None, text_
     for k, v in feature_values().items():
         x = F.col("__limits")[k]
         fine &= (v <= x["up"]) & (v >= F.coalesce(x["down"], F.lit(-1)))
+        fine &= by_chance(k, x["near"]) if k in PARTS else F.lit(True)
     j = d.join(lim, on, "left").withColumn("__kept", ~F.col("__base_failed") & F.coalesce(fine, F.lit(True)))
     return j.drop("__lang", "__source", "__limits")
 

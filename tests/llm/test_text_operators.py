@@ -130,6 +130,19 @@ def test_quality_hot_source_of_junk(spark):
     assert [r.doc_id for r in got if r["__kept"] != r.fine] == []
 
 
+def test_quality_junk_just_above_clean(spark):
+    rng = random.Random(5)
+    rows = [(i, _prose(rng, 300), "en", "s", True) for i in range(200)]
+    for i in range(10):
+        words = _prose(rng, 300).split()
+        some = " ".join(w + "#" if k % 8 == 0 else w for k, w in enumerate(words))  # 25 symbols per 1000
+        twice = " ".join(f"{w} {w}" if k % 3 == 0 else w for k, w in enumerate(words))  # 250 doubled words per 1000
+        rows += [(len(rows), some, "en", "s", False), (len(rows) + 1, twice, "en", "s", False)]
+    short = [(len(rows) + i, _prose(rng, 9) + " no no", "en", "s", True) for i in range(3)]
+    got = quality_verdicts(spark.createDataFrame(rows + short, "doc_id long, text string, lang string, source string, fine boolean")).collect()
+    assert [r.doc_id for r in got if r["__kept"] != r.fine] == []
+
+
 # ----- urls
 
 
