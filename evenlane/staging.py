@@ -37,6 +37,28 @@ def stage(df: DataFrame, tag: str) -> DataFrame:
     return out
 
 
+#: Plan nodes that give the same rows in the same partitions at each reading, so long as the files stay.
+_STEADY = ("Project", "Filter", "LogicalRelation", "DataSourceV2ScanRelation", "Range", "LocalRelation", "Union", "Generate", "LogicalRDD", "OneRowRelation", "SubqueryAlias")
+
+
+def steady(df: DataFrame) -> bool:
+    """Whether df is a plain scan: places of rows in its partitions can be computed again."""
+
+    def plain(node) -> bool:
+        name = node.nodeName().split()[0]
+        if name == "InMemoryRelation":
+            return "Exchange" not in node.cachedPlan().toString()
+        kids = node.children()
+        return (name in _STEADY or "Scan" in name) and all(plain(kids.apply(i)) for i in range(kids.size()))
+
+    return plain(df._jdf.queryExecution().optimizedPlan())
+
+
+def stable(df: DataFrame, tag: str) -> DataFrame:
+    """df itself where it is a plain scan, else a table of it: for what reads rows by their places more than once."""
+    return df if steady(df) else stage(df, tag)
+
+
 def _delete(spark: SparkSession, path: str) -> None:
     sc = spark.sparkContext
     where = sc._jvm.org.apache.hadoop.fs.Path(path)
