@@ -1,10 +1,10 @@
 """Exact top-k by distributed histogram selection.
 
-Queries and candidates are packed into blocks; each pass scores every query block against every
-candidate block. A pass builds, per query, a histogram over the score range still in question; a block
-reports only the topmost buckets that reach k, since lower ones cannot hold the kth value. Summed
-histograms locate the bucket of each query's kth value, the next pass refines that bucket, and once it
-is one value wide a last pass keeps what is above it and the smallest ids of what equals it.
+Queries and candidates are packed into blocks; every query block meets every candidate block once and
+scores all of it. A block hands on each query's k best scores of its own, since no other of its rows can
+be among the k best of all. Per query, a histogram of these scores over the range still in question is summed over
+all blocks; it locates the bucket of the kth value, the next level refines that bucket, and once it is one
+value wide all rows above it are kept, with as many of those equal to it, by smallest id, as are missing.
 """
 
 from __future__ import annotations
@@ -21,15 +21,20 @@ LEVEL_BITS = 12
 
 
 def quantised(rows: DataFrame, id_col: str, vector_col: str, scale: int = 256) -> DataFrame:
-    """Rows (id, v): floor(scale * x) of each component; vectors null, empty or with null or non-finite parts are left out."""
+    """A table of rows (row, id, v): v is floor(scale * x) of each component, row a number of the row's own.
+
+    Vectors null or with null or non-finite parts are left out; empty ones, and rows that share an id or have
+    none, stay.
+    """
     v = F.col(vector_col)
     fine = ~F.exists(v, lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf")))
-    return rows.where(F.col(id_col).isNotNull() & v.isNotNull() & (F.size(v) > 0) & fine).select(F.col(id_col).cast("long").alias("id"), F.transform(v, lambda x: F.floor(x.cast("double") * scale)).alias("v"))
+    whole = rows.where(v.isNotNull() & fine)
+    return stage(whole.select(F.monotonically_increasing_id().alias("row"), F.col(id_col).cast("long").alias("id"), F.transform(v, lambda x: F.floor(x.cast("double") * scale)).alias("v")), "top-vectors")
 
 
 def _matrix(column: pa.Array) -> np.ndarray:
     flat = column.flatten().to_numpy(zero_copy_only=False)
-    return flat.reshape(len(column), -1)
+    return flat.reshape(len(column), -1) if len(flat) else np.zeros((len(column), 0), np.int64)
 
 
 def _scores(q: np.ndarray, c: np.ndarray) -> np.ndarray:
@@ -39,91 +44,77 @@ def _scores(q: np.ndarray, c: np.ndarray) -> np.ndarray:
     return q @ c.T
 
 
-def _pairs(batches):
-    """(query ids, lo, rem, candidate ids, scores) of each row of blocks."""
-    for b in batches:
-        for i in range(b.num_rows):
-            qs, cs = b.column("qs").slice(i, 1).flatten(), b.column("cs").slice(i, 1).flatten()
-            q_ids, lo, rem, q = (qs.field(k) for k in range(4))
-            c_ids, c = cs.field(0), cs.field(1)
-            yield q_ids.to_numpy(), lo.to_numpy(), rem.to_numpy(), c_ids.to_numpy(), _scores(_matrix(q), _matrix(c))
-
-
-def _histogram(range_bits: int, width_bits: int):
-    """Bucket counts of the range [lo, lo + 2^range_bits), each bucket 2^width_bits wide."""
-    schema = pa.schema([("id", pa.int64()), ("bucket", pa.int64()), ("n", pa.int64())])
+def _best(k: int):
+    """Each query's k best candidates of a block: by score, then smallest id (null last), then row."""
+    schema = pa.schema([("q", pa.int64()), ("row", pa.int64()), ("id", pa.int64()), ("score", pa.int64())])
 
     def run(batches):
-        for q_ids, lo, rem, c_ids, s in _pairs(batches):
-            for i in range(len(q_ids)):
-                row = s[i][c_ids != q_ids[i]] - lo[i]
-                b = row[(row >= 0) & (row < 1 << range_bits)] >> width_bits
-                if len(b) > rem[i]:
-                    b = b[b >= np.partition(b, len(b) - rem[i])[len(b) - rem[i]]]
-                v, n = np.unique(b, return_counts=True)
-                if len(v):
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(v), q_ids[i])), pa.array(v), pa.array(n)], schema=schema)
+        for b in batches:
+            for i in range(b.num_rows):
+                qs, cs = b.column("qs").slice(i, 1).flatten(), b.column("cs").slice(i, 1).flatten()
+                asked, rows, ids = qs.field(0).to_numpy(), cs.field(0).to_numpy(), cs.field(1)
+                none = np.asarray(ids.is_null())
+                names = ids.fill_null(0).to_numpy()
+                order = np.lexsort((rows, names, none))  # ties fall in this order
+                place = np.empty(len(order), np.int64)
+                place[order] = np.arange(len(order))
+                s = _scores(_matrix(qs.field(1)), _matrix(cs.field(2)))
+                out_q, out_at = [], []
+                for j, q in enumerate(asked):
+                    at = np.flatnonzero(rows != q)
+                    if len(at) > k:
+                        least = np.partition(s[j][at], len(at) - k)[len(at) - k]
+                        over, tie = at[s[j][at] > least], at[s[j][at] == least]
+                        at = np.concatenate([over, tie[np.argsort(place[tie], kind="stable")[: k - len(over)]]])
+                    out_q.append(np.full(len(at), j))
+                    out_at.append(at)
+                j, at = np.concatenate(out_q), np.concatenate(out_at)
+                yield pa.RecordBatch.from_arrays([pa.array(asked[j]), pa.array(rows[at]), ids.take(pa.array(at)), pa.array(s[j, at])], schema=schema)
 
     return trimmed(run)
 
 
-def _above(batches):
-    """Every score over the kth value, and of those equal to it the smallest ids that can be wanted."""
-    schema = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.int64())])
-    for q_ids, lo, rem, c_ids, s in _pairs(batches):
-        for i in range(len(q_ids)):
-            own = c_ids != q_ids[i]
-            row, ids = s[i][own], c_ids[own]
-            over, tie = row > lo[i], np.flatnonzero(row == lo[i])
-            tie = tie[np.argsort(ids[tie], kind="stable")[: rem[i]]]
-            at = np.concatenate([np.flatnonzero(over), tie])
-            if len(at):
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), q_ids[i])), pa.array(ids[at]), pa.array(row[at])], schema=schema)
-
-
 def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, query_block: int = 256, block: int = 2048) -> DataFrame:
-    """Rows (query_id, rank, vec_id, score): for each query its k highest inner products.
+    """Rows (query_id, rank, vec_id, score): for each query row its k highest inner products.
 
-    Both inputs have rows (id, v) from quantised(). Rows with the query's own id are not candidates; fewer
-    than k candidates give fewer rows; ties go to the smaller id; vectors of unlike length are never
-    compared. Repeated queries count once; repeated candidates of one id count once.
+    Both inputs are tables from quantised(), queries usually a part of vectors: a row is no candidate for
+    itself, and every other row is, whatever its id. Fewer than k candidates give fewer rows; ties go to
+    the smaller id, null ids last; vectors of unlike length are never compared. Empty vectors score 0.
     """
     spark = vectors.sparkSession
     ship(spark)
-    cands = stage(vectors.dropDuplicates(["id"]), "top-vectors")
-    asked = stage(queries.dropDuplicates(["id"]), "top-queries")
-    facts = cands.agg(F.count("*").alias("n"), F.max(F.aggregate("v", F.lit(0).cast("long"), lambda s, x: s + x * x)).alias("norm")).first()
-    asked_facts = asked.agg(F.count("*").alias("n"), F.max(F.aggregate("v", F.lit(0).cast("long"), lambda s, x: s + x * x)).alias("norm")).first()
-    reach = int((int(facts["norm"] or 0) * int(asked_facts["norm"] or 0)) ** 0.5) + 2  # no product is larger (Cauchy-Schwarz)
-    n_blocks, n_groups = max(1, -(-facts["n"] // block)), max(1, -(-asked_facts["n"] // query_block))
-    packed = cands.groupBy(F.pmod(F.xxhash64("id"), F.lit(n_blocks)).alias("g"), F.size("v").alias("dim")).agg(F.collect_list(F.struct("id", "v")).alias("cs"))
-    packed = stage(packed, "top-blocks")
-    tasks = max(1, min(20_000, n_blocks * n_groups // 16))
-
-    def met(state: DataFrame) -> DataFrame:
-        """Each query block beside each candidate block, dealt evenly over tasks."""
-        rows = asked.join(state, "id")
-        blocks = rows.groupBy(F.pmod(F.xxhash64("id"), F.lit(n_groups)).alias("h"), F.size("v").alias("dim")).agg(F.collect_list(F.struct("id", "lo", "rem", "v")).alias("qs"))
-        sent = blocks.withColumn("g", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n_blocks - 1).cast("long"))))
-        return sent.join(packed, ["g", "dim"]).repartition(tasks, "g", "h").select("qs", "cs")
-
-    state = asked.select("id", F.lit(-reach).cast("long").alias("lo"), F.lit(k).alias("rem"))
-    bits = max(1, (2 * reach).bit_length())
+    n, m = vectors.count(), queries.count()
+    n_blocks, n_groups = max(1, -(-n // block)), max(1, -(-m // query_block))
+    # a block's name holds its dimension; blocks of candidates stay where they are, and the smaller blocks of queries go to each of them
+    named = lambda number: F.concat_ws("/", number.cast("string"), F.size("v").cast("string"))
+    packed = vectors.groupBy(named(F.pmod(F.xxhash64("row"), F.lit(n_blocks))).alias("g")).agg(F.collect_list(F.struct("row", "id", "v")).alias("cs"))
+    asked = queries.groupBy(F.pmod(F.xxhash64("row"), F.lit(n_groups)).alias("h"), F.size("v").alias("dim")).agg(F.collect_list(F.struct("row", "v")).alias("qs"))
+    sent = asked.withColumn("b", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n_blocks - 1).cast("long")))).select(F.concat_ws("/", F.col("b").cast("string"), F.col("dim").cast("string")).alias("g"), "qs")
+    tasks = max(1, min(20_000, 2 * n_blocks))
+    met = sent.repartition(tasks, "g").join(packed.repartition(tasks, "g"), "g").select("qs", "cs")
+    best = stage(met.mapInArrow(_best(k), "q long, row long, id long, score long"), "top-best")
+
+    reach = best.agg(F.min("score").alias("lo"), F.max("score").alias("hi")).first()
+    low = reach["lo"] or 0
+    bits = max(1, ((reach["hi"] or 0) - low + 1).bit_length())
+    state = queries.select(F.col("row").alias("q"), F.lit(low).cast("long").alias("lo"), F.lit(k).alias("rem"))
     while bits > 0:
         width = max(0, bits - LEVEL_BITS)
-        counts = met(state).mapInArrow(_histogram(bits, width), "id long, bucket long, n long").groupBy("id", "bucket").agg(F.sum("n").alias("n"))
-        lists = counts.groupBy("id").agg(F.sort_array(F.collect_list(F.struct("bucket", "n")), asc=False).alias("h"))
+        inside = best.join(state, "q").where((F.col("score") >= F.col("lo")) & (F.col("score") - F.col("lo") < F.lit(1 << bits)))
+        counts = inside.groupBy("q", F.shiftright(F.col("score") - F.col("lo"), width).alias("bucket")).agg(F.count("*").alias("n"))
+        lists = counts.groupBy("q").agg(F.sort_array(F.collect_list(F.struct("bucket", "n")), asc=False).alias("h"))  # at most 2^LEVEL_BITS a query
         # walk down the buckets: the one where the count reaches rem, and what is left to find in it
         found = F.expr("aggregate(h, named_struct('left', cast(rem as bigint), 'b', cast(null as bigint)), (a, x) -> case when a.b is not null then a when a.left - x.n <= 0 then named_struct('left', a.left, 'b', x.bucket) else named_struct('left', a.left - x.n, 'b', cast(null as bigint)) end)")
         old = state
-        j = state.join(lists, "id", "left").withColumn("f", found)
+        j = state.join(lists, "q", "left").withColumn("f", found)
         # without a bucket there are too few candidates: everything from the bottom of the range on is wanted
-        state = stage(j.select("id", F.when(F.col("f.b").isNotNull(), F.col("lo") + F.col("f.b") * F.lit(1 << width)).otherwise(F.col("lo")).cast("long").alias("lo"), F.when(F.col("f.b").isNotNull(), F.col("f.left")).otherwise(F.col("rem")).cast("int").alias("rem")), "top-state")
+        hit = F.col("f.b").isNotNull()
+        state = stage(j.select("q", F.when(hit, F.col("lo") + F.col("f.b") * F.lit(1 << width)).otherwise(F.col("lo")).cast("long").alias("lo"), F.when(hit, F.col("f.left")).otherwise(F.col("rem")).cast("int").alias("rem")), "top-state")
         discard(old)
         bits = width
-    kept = met(state).mapInArrow(_above, "query_id long, vec_id long, score long")
-    w = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
-    return kept.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    kept = best.join(state, "q").where(F.col("score") >= F.col("lo")).join(queries.select(F.col("row").alias("q"), F.col("id").alias("query_id")), "q")
+    w = Window.partitionBy("q").orderBy(F.desc("score"), F.asc_nulls_last("id"), "row")
+    return kept.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("query_id", "rank", F.col("id").alias("vec_id"), "score")
 
 
 def top_k_query(spark, sf_dir: str) -> DataFrame:
@@ -132,10 +123,10 @@ def top_k_query(spark, sf_dir: str) -> DataFrame:
 
 
 TOP_K_SQL = """
-WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: CAST(floor(256 * CAST(x AS DOUBLE)) AS BIGINT)) AS e FROM embeddings
+WITH v AS (SELECT row_number() OVER () AS r, vec_id, list_transform(embedding, lambda x: CAST(floor(256 * CAST(x AS DOUBLE)) AS BIGINT)) AS e FROM embeddings
   WHERE embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0),
-s AS (SELECT q.vec_id AS query_id, c.vec_id AS vec_id, CAST(list_sum(list_transform(list_zip(q.e, c.e), lambda p: p[1] * p[2])) AS BIGINT) AS score
-  FROM v q JOIN v c ON q.vec_id <> c.vec_id WHERE q.vec_id % 50 = 0)
+s AS (SELECT q.r AS q, q.vec_id AS query_id, c.r, c.vec_id AS vec_id, CAST(coalesce(list_sum(list_transform(list_zip(q.e, c.e), lambda p: p[1] * p[2])), 0) AS BIGINT) AS score
+  FROM v q JOIN v c ON q.r <> c.r AND len(q.e) = len(c.e) WHERE q.vec_id % 50 = 0)
 SELECT query_id, CAST(rank AS INTEGER) AS rank, vec_id, score
-FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS rank FROM s) WHERE rank <= 5
+FROM (SELECT *, row_number() OVER (PARTITION BY q ORDER BY score DESC, vec_id NULLS LAST, r) AS rank FROM s) WHERE rank <= 5
 """
