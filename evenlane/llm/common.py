@@ -7,6 +7,7 @@ import ctypes
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -14,7 +15,6 @@ from evenlane.shipping import ship
 from evenlane.staging import discard, stage
 
 
-
 def trimmed(run):
     """run for mapInArrow, giving freed memory back to the system at the end of each partition."""
 
@@ -29,6 +29,19 @@ def trimmed(run):
     return inner
 
 
+def free_name(taken: list[str], name: str) -> str:
+    """name, with underscores added until no column of taken has it (Spark ignores case)."""
+    have = {c.lower() for c in taken}
+    while name.lower() in have:
+        name += "_"
+    return name
+
+
+def by_place(df: DataFrame) -> DataFrame:
+    """df with its columns named c0, c1, ...: names of one's own, beginning with "__", cannot clash with them."""
+    return df.toDF(*[f"c{i}" for i in range(len(df.columns))])
+
+
 def utf8(column: pa.Array) -> list[bytes]:
     """Values of a string column as UTF-8 bytes, null as empty."""
     if isinstance(column, pa.ChunkedArray):
@@ -37,6 +50,19 @@ def utf8(column: pa.Array) -> list[bytes]:
     return [x or b"" for x in column.cast(kind).to_pylist()]
 
 
+class _WordHash(dict):
+    """64-bit hashes of words, worked out at first sight."""
+
+    def __missing__(self, w: bytes) -> int:
+        if len(self) > 150_000:
+            self.clear()
+        h = self[w] = xxhash.xxh3_64_intdigest(w)
+        return h
+
+
+WORD_HASHES = _WordHash()
+
+
 def mix64(x: np.ndarray) -> np.ndarray:
     """A public 64-bit finaliser (splitmix64 step), elementwise over uint64."""
     x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
@@ -87,25 +113,23 @@ def components(edges: DataFrame, max_rounds: int = 50) -> DataFrame:
             return j.where(F.col("v") > F.col("u")).select(F.col("v").alias("u"), F.col("m").alias("v"))
         return j.select(F.col("v").alias("u"), F.col("m").alias("v")).union(low.select("u", F.col("m").alias("v"))).where("u <> v")
 
-    def mark(e: DataFrame) -> tuple:
-        r = e.agg(F.count("*").alias("n"), F.sum(F.xxhash64("u", "v") % 1_000_003).alias("h"), F.sum(F.col("v") % 1_000_003).alias("s")).first()
-        return (r["n"], r["h"], r["s"])
+    def same(a: DataFrame, b: DataFrame) -> bool:
+        """Whether two tables of distinct edges hold the same ones."""
+        return a.count() == b.count() and a.join(b, ["u", "v"], "left_anti").isEmpty()
 
     e = edges.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).where("u <> v")
-    e = stage(e.mapInArrow(_forest, schema), "cc")
-    before = mark(e)
+    e = stage(e.mapInArrow(_forest, schema).distinct(), "cc")
     for _ in range(max_rounds):
-        if not before[0]:
+        if e.isEmpty():
             break
         grown = stage(star(e, True).distinct().mapInArrow(_forest, schema), "cc")
         nxt = stage(star(grown.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")), False).distinct(), "cc")
         discard(grown)
+        settled = same(nxt, e)
         discard(e)
-        after = mark(nxt)
         e = nxt
-        if after == before:
+        if settled:
             break
-        before = after
     else:
         raise RuntimeError("components did not settle")
     return e.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("component"))

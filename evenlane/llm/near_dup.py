@@ -27,8 +27,8 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from evenlane.llm.common import components, mix64, ship, trimmed, utf8
-from evenlane.staging import discard, stage
+from evenlane.llm.common import WORD_HASHES, by_place, components, mix64, ship, trimmed, utf8
+from evenlane.staging import discard, stable, stage
 
 U64 = np.uint64
 
@@ -47,18 +47,7 @@ class NearDupParams:
     deep_screen: float = 0.705
     best: int = 4  # partners of a member and bucket in each of the first full searches
     tries: int = 2  # such searches
-    block: int = 20_000  # members of a bucket compared in one task
-
-
-class _WordHash(dict):
-    def __missing__(self, w: bytes) -> int:
-        if len(self) > 150_000:
-            self.clear()
-        h = self[w] = xxhash.xxh3_64_intdigest(w)
-        return h
-
-
-_WORDS = _WordHash()
+    block: int = 1_000  # members of a bucket compared in one task
 
 
 def shingles(text: bytes, k: int = 5) -> np.ndarray:
@@ -67,7 +56,7 @@ def shingles(text: bytes, k: int = 5) -> np.ndarray:
     n = len(words)
     if n == 0:
         return np.empty(0, U64)
-    h = np.fromiter(map(_WORDS.__getitem__, words), U64, n)
+    h = np.fromiter(map(WORD_HASHES.__getitem__, words), U64, n)
     if n < k:
         return np.array([xxhash.xxh3_64_intdigest(h.tobytes(), seed=n)], U64)
     acc = h[: n - k + 1].copy()
@@ -262,22 +251,14 @@ def _search(limit: int, best: int | None, mark: bool = False):
     return trimmed(run)
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", params: NearDupParams | None = None) -> DataFrame:
-    """Rows (doc_id, n_shingles, component_id, kept), one for each input row.
-
-    Null or wordless text: no shingles, linked with nothing, kept. Repeated ids count as one document
-    for links; each row is returned. A null id takes its class's component and is not kept. An
-    empty table gives an empty result. Other columns are ignored, whatever their names.
-    """
-    p = params or NearDupParams()
-    spark = docs.sparkSession
-    ship(spark)
-    src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+def groups(src: DataFrame, p: NearDupParams) -> DataFrame:
+    """Rows (doc_id, n, group) for rows (doc_id, text) of distinct long doc_ids: group is null where a text is like no other."""
+    ship(src.sparkSession)
     feats = stage(src.mapInArrow(_features(p), "doc_id long, n long, hi long, lo long, bands array<long>, sketch binary"), "dup-features")
 
-    classes = feats.where("n > 0 and doc_id is not null").groupBy("hi", "lo").agg(F.min("doc_id").alias("rep"), F.count("*").alias("rows"))
+    classes = feats.where("n > 0").groupBy("hi", "lo").agg(F.min("doc_id").alias("rep"), F.count("*").alias("rows"))
     many = stage(classes.where("rows > 1").select("hi", "lo", "rep"), "dup-classes")
-    reps = feats.where("n > 0 and doc_id is not null").join(many, ["hi", "lo"], "left").where("rep is null or rep = doc_id")
+    reps = feats.where("n > 0").join(many, ["hi", "lo"], "left").where("rep is null or rep = doc_id")
     banded = reps.select("doc_id", F.explode("bands").alias("key"))
 
     buckets = banded.groupBy("key").agg(F.min(F.struct(F.xxhash64("doc_id").alias("h"), F.col("doc_id").alias("center"))).alias("c"), F.count("*").alias("size"))
@@ -285,7 +266,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     members = stage(banded.join(buckets, "key"), "dup-members")
     busy = members.select("doc_id").distinct()
     words = [F.conv(F.hex(F.substring("sketch", 8 * i + 1, 8)), 16, -10).cast("long") for i in range(p.bits // 64)]
-    sketches = stage(reps.join(busy, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select("doc_id", "sketch", "bands", F.array(*words).alias("words")), "dup-sketches")
+    sketches = stage(reps.join(busy, "doc_id", "left_semi").select("doc_id", "sketch", "bands", F.array(*words).alias("words")), "dup-sketches")
 
     limit = largest_xor(p.samples, p.bits, p.screen)
     a, b = sketches.select(F.col("doc_id").alias("a"), F.col("words").alias("wa")), sketches.select(F.col("doc_id").alias("b"), F.col("words").alias("wb"))
@@ -298,7 +279,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         """Pairs whose full shingle sets reach the threshold, as (u, v)."""
         if "sets" not in full:
             text = src.join(busy, "doc_id", "left_semi")
-            full["sets"] = stage(text.mapInArrow(_sets(p), "doc_id long, shingles array<long>, deep binary").dropDuplicates(["doc_id"]), "dup-sets")
+            full["sets"] = stage(text.mapInArrow(_sets(p), "doc_id long, shingles array<long>, deep binary"), "dup-sets")
         s = full["sets"]
         j = pairs.join(s.select(F.col("doc_id").alias("a"), F.col("shingles").alias("sa")), "a").join(s.select(F.col("doc_id").alias("b"), F.col("shingles").alias("sb")), "b")
         both = F.size(F.array_intersect("sa", "sb")).cast("long")
@@ -338,15 +319,46 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
             labels = stage(components(links), "dup-labels")
             discard(old)
 
-    best_of = many.select("hi", "lo", "rep").join(labels, many.rep == labels.node, "left").select("hi", "lo", F.coalesce("component", "rep").alias("component"))
+    labels = labels.union(labels.select(F.col("component").alias("node"), "component").distinct())  # a component's smallest node is no node of labels
+    best_of = many.join(labels, many.rep == labels.node, "left").select("hi", "lo", F.coalesce("component", "rep").alias("component"))
     single = reps.where("rep is null").select("hi", "lo", "doc_id").join(labels, F.col("doc_id") == labels.node).select("hi", "lo", "component")
     root = stage(best_of.union(single).distinct(), "dup-root")
     for t in (full.get("sets"), members, sketches):
         if t is not None:
             discard(t)
-    out = feats.select("doc_id", "n", "hi", "lo").join(root, ["hi", "lo"], "left")
-    component = F.when(F.col("n") > 0, F.coalesce("component", "doc_id")).otherwise(F.col("doc_id"))
-    return out.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(False)).alias("kept"))
+    return feats.select("doc_id", "n", "hi", "lo").join(root, ["hi", "lo"], "left").select("doc_id", "n", F.when(F.col("n") > 0, F.col("component")).alias("group"))
+
+
+def with_row(docs: DataFrame) -> DataFrame:
+    """docs with a long __row of its own for each row: ids may be null or repeated. docs must read the same rows each time."""
+    return docs.withColumn("__row", F.monotonically_increasing_id())
+
+
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", params: NearDupParams | None = None) -> DataFrame:
+    """Rows (doc_id, n_shingles, component_id, kept), one for each input row.
+
+    Null or wordless text: no shingles, linked with nothing, kept. Every row is a document of its own, so
+    rows that repeat an id are judged by their own texts; the component is the smallest id among the
+    linked rows (null if all are null), and a row without an id is not kept. An empty table gives an empty
+    result. Other columns are ignored, whatever their names.
+    """
+    src = stable(with_row(docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))), "dup-rows")
+    found = stage(groups(src.select(F.col("__row").alias("doc_id"), "text"), params or NearDupParams()), "dup-groups")
+    named = found.withColumnRenamed("doc_id", "__row").join(src.select("__row", "id"), "__row")
+    low = named.where("group is not null").groupBy("group").agg(F.min("id").alias("low"))
+    out = named.join(low, "group", "left").withColumn("component", F.when(F.col("group").isNotNull(), F.col("low")).otherwise(F.col("id")))
+    return out.select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.col("component").alias("component_id"), F.coalesce(F.col("component") == F.col("id"), F.lit(False)).alias("kept"))
+
+
+def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", params: NearDupParams | None = None) -> DataFrame:
+    """docs with one row of each group of near copies: the one of the smallest id (null ids last), of equal ids any one row."""
+    inner = stable(with_row(by_place(docs)), "dup-rows")
+    at = {c: f"c{i}" for i, c in enumerate(docs.columns)}
+    found = stage(groups(inner.select(F.col("__row").alias("doc_id"), F.col(at[text_col]).alias("text")), params or NearDupParams()), "dup-groups")
+    linked = found.where("group is not null").withColumnRenamed("doc_id", "__row").join(inner.select("__row", F.col(at[id_col]).alias("id")), "__row")
+    first = linked.groupBy("group").agg(F.min(F.struct(F.col("id").isNull().alias("none"), "id", "__row")).alias("m"))
+    gone = linked.join(first, "group").where("__row <> m.__row").select("__row")
+    return inner.join(gone, "__row", "left_anti").drop("__row").toDF(*docs.columns)
 
 
 def near_dup_query(spark, sf_dir: str) -> DataFrame:
