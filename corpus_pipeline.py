@@ -9,24 +9,20 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from evenlane.staging import stage
-from evenlane.llm.near_dup import near_duplicates
+from evenlane.llm.near_dup import drop_near_duplicates
 from evenlane.llm.packing import pack
-from evenlane.llm.quality import quality_verdicts
+from evenlane.llm.quality import good_documents
 from evenlane.llm.secrets import redact
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The documents that the base rules and the limits of their language and source let through."""
-    return quality_verdicts(docs).where("__kept").select(*docs.columns)
+    return good_documents(docs)
 
 
 def near_dup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies; of rows with the same doc_id one; rows without a doc_id stay."""
-    ids = stage(near_duplicates(docs).where("kept").select("doc_id"), "pipeline-kept")
-    kept = docs.join(ids.distinct(), "doc_id", "left_semi")
-    if not ids.groupBy("doc_id").count().where("count > 1").isEmpty():
-        kept = kept.dropDuplicates(["doc_id"])
-    return kept.select(*docs.columns).union(docs.where("doc_id is null"))
+    """One document of each group of near copies, judged row by row: rows with one doc_id and unlike texts all stay."""
+    return drop_near_duplicates(docs)
 
 
 def secret_scan(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
