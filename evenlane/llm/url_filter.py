@@ -13,6 +13,8 @@ from functools import lru_cache
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from evenlane.llm.common import by_place, free_name
+
 BUCKETS = 4096
 MAX_LABELS = 10_000  # rows of the labelled table that a fit may take: it runs on the driver
 SCALE = 1000
@@ -21,13 +23,41 @@ _PRIMES = (7919, 104_729, 1_299_709, 15_485_863)
 # The rules (host, path, verdict).
 RULES = (("com", "/en/", "block"), ("example.com", "/en/7", "allow"), ("net", "/de/", "allow"), ("example.net", "/de/8", "block"), ("org", "/es/", "block"))
 
-_BAD = ("spam-farm", "spam-links", "casino-bonus", "cheap-pills", "free-porn", "xxx-cams", "poker-jackpot", "replica-watch", "click-ads", "link-farm", "free-warez", "adult-chat", "payday-loans", "seo-spam")
-_GOOD = ("blog", "www", "m", "news", "docs", "wiki", "library", "school", "city", "garden", "music", "science", "forum", "kitchen", "therha", "tionsh", "ouan", "enting")
-_ENDS = (".example.com/en/12", ".example.org/fr/825?page=2", ".example.net/de/474.html", ".example.org/en/685", ".example.net/es/533/", ".example.com/fr/59")
-#: The labelled table: (url, 1 for bad). Hosts only differ; both kinds share all paths.
-LABELS: tuple[tuple[str, int], ...] = tuple((f"https://{h}{e}", y) for y, hosts in ((1, _BAD), (0, _GOOD)) for i, h in enumerate(hosts) for e in _ENDS[i % 2 :: 2]) + tuple(
-    (f"http://{h}.{g}{e}", y) for y, hosts in ((1, _BAD), (0, _GOOD)) for i, h in enumerate(hosts) for g, e in ((_GOOD[(5 * i + 14) % len(_GOOD)], _ENDS[i % 6]),)
-)
+# The labelled table: common words of the names of advertising, adult, gambling, drug, piracy, fraud and link-selling sites, and of other sites.
+BAD_WORDS = (
+    "ads", "adserver", "adclick", "banner", "popup", "popunder", "tracker", "tracking", "clicks", "affiliate", "sponsor", "adult", "porn", "xxx", "sex", "sexy", "nude", "cams", "webcam", "escort", "dating", "hookup",
+    "casino", "poker", "jackpot", "slots", "betting", "bets", "gamble", "roulette", "lotto", "pills", "viagra", "cialis", "pharma", "pharmacy", "steroid", "cheap", "discount", "replica", "warez", "crack", "cracked", "keygen", "serial",
+    "torrent", "pirate", "phish", "malware", "hacked", "spam", "spammer", "linkfarm", "backlink", "seo", "payday", "loans", "credit", "rich", "bitcoin", "doubler", "giveaway", "winner", "prize", "freebie",
+)
+GOOD_WORDS = (
+    "news", "daily", "times", "journal", "post", "herald", "press", "university", "college", "school", "campus", "library", "museum", "archive", "gallery", "theatre", "wiki", "docs", "manual", "help", "support", "developer", "code", "open",
+    "forum", "community", "blog", "diary", "recipes", "kitchen", "cooking", "garden", "flowers", "travel", "hotel", "railway", "airport", "music", "concert", "film", "cinema", "books", "reading", "poetry", "science", "physics", "nature",
+    "health", "clinic", "hospital", "city", "town", "council", "gov", "parks", "weather", "sports", "football", "tennis", "cycling", "auto", "design", "photo", "studio", "craft", "furniture", "bakery", "coffee", "family", "parents",
+)
+_FRONTS, _ENDS = ("", "www.", "m.", "blog.", "shop."), (".com/", ".org/index.html", ".net/page/3", ".info/a?id=7", ".com/2019/04/title", ".org/en/")
+
+
+def invented(n: int) -> list[str]:
+    """n names of no meaning, syllable by syllable from a fixed sequence: most sites have such a name, and they are good."""
+    out, x = [], 12_345
+    for i in range(n):
+        name = ""
+        for _ in range(2 + i % 3):
+            x = (1_103_515_245 * x + 12_345) % 2**31
+            name += "bcdfghjklmnprstvwyz"[(x >> 16) % 19] + "aeiou"[(x >> 8) % 5] + ("", "n", "r", "s", "l")[(x >> 24) % 5]
+        out.append(name)
+    return out
+
+
+def labelled(bad: tuple[str, ...] = BAD_WORDS, good: tuple[str, ...] = GOOD_WORDS, names: int = 240) -> tuple[tuple[str, int], ...]:
+    """(url, 1 for bad): hosts of one word, of two, and of an invented name with a word; fronts and ends fall on both kinds alike."""
+    made = invented(names)
+    hosts = []
+    for words, y in ((bad, 1), (good, 0)):
+        for i, w in enumerate(words):
+            hosts += [(w, y), (f"{w}-{words[(i + 7) % len(words)]}", y), (f"{w}{words[(i + 17) % len(words)]}", y), (f"{made[(3 * i + 1) % names]}-{w}", y), (f"{w}{made[(5 * i + 2) % names]}", y)]
+    hosts += [(h, 0) for h in made] + [(f"{a}-{b}", 0) for a, b in zip(made, made[9:], strict=False)]
+    return tuple((f"https://{_FRONTS[i % 5]}{h}{_ENDS[i % 6]}", y) for i, (h, y) in enumerate(hosts))
 
 
 def split_url(url: str | None) -> tuple[str, str]:
@@ -64,8 +94,9 @@ class UrlModel:
 
 
 @lru_cache(maxsize=8)
-def fit(labels: tuple[tuple[str, int], ...] = LABELS, epochs: int = 200, rate: float = 40.0, decay: float = 1e-5) -> UrlModel:
+def fit(labels: tuple[tuple[str, int], ...] | None = None, epochs: int = 120, rate: float = 40.0, decay: float = 1e-5) -> UrlModel:
     """Logistic regression on mean trigram counts by full gradient steps, both classes weighing alike."""
+    labels = labelled() if labels is None else labels
     if not 0 < len(labels) <= MAX_LABELS:
         raise ValueError(f"the labelled table must hold 1 to {MAX_LABELS} rows")
     rows = []
@@ -114,24 +145,31 @@ def model_score(host: Column, path: Column, m: UrlModel) -> Column:
     return part(host, 1) + part(path, 2)
 
 
-def filter_urls(pages: DataFrame, url_col: str = "url", rules=RULES, model: UrlModel | None = None) -> DataFrame:
-    """pages with __host, __path, __rule and __verdict.
-
-    Null URLs and those without "://" have an empty host and path and go to the model. Among fitting
-    rules the longest (host and path together) wins. Repeated rows are judged alike; columns that start with
-    "__" are the only ones not allowed in the input; an empty table gives an empty result.
-    """
-    host, path = host_path(F.col(url_col))
+def judged(pages: DataFrame, url: Column, rules, model: UrlModel) -> DataFrame:
+    """pages (names without "__") with __host, __path, __rule and __verdict."""
+    host, path = host_path(url)
     d = pages.withColumns({"__host": F.coalesce(host, F.lit("")), "__path": F.coalesce(path, F.lit(""))})
     fitting = [(h + p, v, ((F.col("__host") == h) | F.col("__host").endswith("." + h)) & F.col("__path").startswith(p)) for h, p, v in sorted(rules, key=lambda r: (-len(r[0] + r[1]), r))]
     pick = lambda k: F.coalesce(*[F.when(x[2], F.lit(x[k])) for x in fitting]) if fitting else F.lit(None).cast("string")
     d = d.withColumn("__rule", pick(0))
-    learnt = F.when(model_score(F.col("__host"), F.col("__path"), model or fit()) > 0, "block").otherwise("allow")
+    learnt = F.when(model_score(F.col("__host"), F.col("__path"), model) > 0, "block").otherwise("allow")
     return d.withColumn("__verdict", F.coalesce(pick(1), learnt))
 
 
+def filter_urls(pages: DataFrame, url_col: str = "url", rules=RULES, model: UrlModel | None = None) -> DataFrame:
+    """pages with __host, __path, __rule and __verdict.
+
+    Null URLs and those without "://" have an empty host and path and go to the model. Among fitting
+    rules the longest (host and path together) wins. Repeated rows are judged alike; an empty table gives an
+    empty result. Input columns pass through whatever their names; a new name that the input has gets
+    underscores at its end.
+    """
+    out = judged(by_place(pages), F.col(f"c{pages.columns.index(url_col)}"), rules, model or fit())
+    return out.toDF(*pages.columns, *[free_name(pages.columns, c) for c in ("__host", "__path", "__rule", "__verdict")])
+
+
 def url_filter_query(spark, sf_dir: str) -> DataFrame:
-    d = filter_urls(spark.read.parquet(f"{sf_dir}/pages.parquet").select("page_id", "url"))
+    d = judged(spark.read.parquet(f"{sf_dir}/pages.parquet").select("page_id", "url"), F.col("url"), RULES, fit())
     return d.select("page_id", F.col("__host").alias("host"), F.col("__path").alias("path"), F.col("__rule").alias("rule"), F.col("__verdict").alias("verdict"))
 
 
