@@ -1,8 +1,8 @@
 """Token-id files compressed by a Re-Pair grammar, a block at a time, with random access.
 
 A shard is one range of doc_id, its bounds approximate quantiles of that column; its blocks hold whole runs of ids in doc_id order.
-In each block the frequent adjacent pairs become nonterminals, round after round: a round counts all
-pairs, gives the most frequent ones names, and replaces every occurrence that no more frequent pair
+In each block the frequent adjacent pairs become nonterminals, round after round until none is left: a round counts
+all pairs, gives the frequent ones names, and replaces every occurrence that no more frequent pair
 overlaps. A block stores the rules, how many ids each nonterminal stands for, and the remaining
 symbols, so that ids [a, b) are decoded from the symbols that cover them alone.
 """
@@ -24,66 +24,84 @@ from evenlane.staging import fresh_path
 
 MAGIC = b"RPB1"
 HEAD = struct.Struct("<4sIIIIB")  # magic, ids, terminals, rules, symbols, bytes a symbol
-LEAST = 6  # a pair must occur so often to get a rule
-ROUNDS = 3
-ROUND_RULES = 4096
+#: A pair must occur so often to get a rule: a rule costs 12 bytes, each replacement saves a symbol of 2.
+LEAST = 6
 COUNTER_BITS = 20
-
-
-def re_pair(ids: np.ndarray, rounds: int = ROUNDS, least: int = LEAST, most: int = ROUND_RULES) -> tuple[int, np.ndarray, np.ndarray]:
+_MULTIPLIERS = (0x9E3779B1, 0x85EBCA77, 0xC2B2AE3D, 0x27D4EB2F, 0x165667B1)
+
+
+def _pairs_exactly(a: np.ndarray, b: np.ndarray, least: int) -> tuple[np.ndarray, int]:
+    """(rank of the pair at each place, number of pairs): ranks by falling count; places of rarer pairs have the number of pairs."""
+    key = (a.astype(np.uint64) << np.uint64(32)) | b
+    pairs, inverse, counts = np.unique(key, return_inverse=True, return_counts=True)
+    good = np.flatnonzero(counts >= least)
+    order = good[np.lexsort((good, -counts[good]))]
+    rank = np.full(len(pairs), len(order), np.int32)
+    rank[order] = np.arange(len(order), dtype=np.int32)
+    return rank[inverse], len(order)
+
+
+def _pairs_by_hash(a: np.ndarray, b: np.ndarray, least: int, turn: int) -> tuple[np.ndarray, int]:
+    """The same from 2^COUNTER_BITS hashed counters: of pairs that share a counter one has the rank and the others wait."""
+    m = [np.uint32(_MULTIPLIERS[(turn + i) % len(_MULTIPLIERS)]) for i in (0, 1)]
+    h = ((a * m[0] + b * m[1]) >> np.uint32(32 - COUNTER_BITS)).astype(np.int32)
+    counts = np.bincount(h, minlength=1 << COUNTER_BITS)
+    good = np.flatnonzero(counts >= least)
+    good = good[np.lexsort((good, -counts[good]))]
+    none = len(good)
+    rank_of = np.full(1 << COUNTER_BITS, none, np.int32)
+    rank_of[good] = np.arange(none, dtype=np.int32)
+    rank = rank_of[h]
+    at = np.flatnonzero(rank < none)
+    stands = np.zeros(none, np.int64)
+    stands[rank[at]] = at
+    rep = stands[rank[at]]
+    rank[at[(a[at] != a[rep]) | (b[at] != b[rep])]] = none
+    return rank, none
+
+
+def re_pair(ids: np.ndarray, least: int = LEAST, rounds: int | None = None) -> tuple[int, np.ndarray, np.ndarray]:
     """(first nonterminal, rules as rows of two symbols, remaining symbols) of ids.
 
-    Pairs are counted by a hash into 2^COUNTER_BITS counters; of pairs that share a counter the last one
-    stands for it, so a rule may miss a better rival in its counter but never replaces a wrong pair.
+    Rounds go on until no pair occurs least times or more. A round takes all frequent pairs at once: an
+    occurrence is replaced where its pair ranks before both neighbours' pairs. Pairs are counted by hashes that
+    change from round to round; where these find nothing, by exact counts, which also decide that none is left.
+    rounds, if given, ends the grammar earlier.
     """
     first = int(ids.max()) + 1 if len(ids) else 0
     seq = ids.astype(np.uint32)
     rules: list[np.ndarray] = []
-    name = first
-    for _ in range(rounds):
-        n = len(seq) - 1
-        if n < 1:
-            break
+    name, turn, exact = first, 0, False
+    while len(seq) > 1 and (rounds is None or turn < rounds):
         a, b = seq[:-1], seq[1:]
-        h = ((a * np.uint32(0x9E3779B1) + b * np.uint32(0x85EBCA77)) >> np.uint32(32 - COUNTER_BITS)).astype(np.int32)
-        counts = np.bincount(h, minlength=1 << COUNTER_BITS)
-        good = np.flatnonzero(counts >= least)
-        if not len(good):
-            break
-        order = np.lexsort((good, -counts[good]))[:most]
-        good = good[order]
-        none = len(good)
-        rank_of = np.full(1 << COUNTER_BITS, none, np.int32)
-        rank_of[good] = np.arange(none, dtype=np.int32)
-        rank = rank_of[h]
+        rank, none = _pairs_exactly(a, b, least) if exact else _pairs_by_hash(a, b, least, turn)
         at = np.flatnonzero(rank < none)
-        stands = np.zeros(none, np.int64)
-        stands[rank[at]] = at
-        rep = stands[rank[at]]
-        wrong = (a[at] != a[rep]) | (b[at] != b[rep])
-        rank[at[wrong]] = none
-        at = at[~wrong]
-        # an occurrence is taken where its pair ranks before both neighbours; of a run of one pair, the first
-        left = np.full(n + 2, none, np.int32)
+        # an occurrence is taken where its pair ranks before both neighbours; of a run of one pair, every second from the first
+        left = np.full(len(a) + 2, none, np.int32)
         left[1:-1] = rank
         ok = at[(rank[at] < left[at]) & (rank[at] <= left[at + 2])]
         ok = ok[np.concatenate([[True], np.diff(ok) > 1])] if len(ok) else ok
-        keep = np.bincount(rank[ok], minlength=none) >= 3
+        keep = np.bincount(rank[ok], minlength=none) >= (least + 1) // 2
         ok = ok[keep[rank[ok]]]
+        turn += 1
         if not len(ok):
-            break
-        new = np.full(none, 0, np.uint32)
+            if exact:
+                break
+            exact = True
+            continue
+        stands = np.zeros(none, np.int64)
+        stands[rank[ok]] = ok
+        new = np.zeros(none, np.uint32)
         new[keep] = name + np.arange(int(keep.sum()), dtype=np.uint32)
         rules.append(np.stack([a[stands[keep]], b[stands[keep]]], 1))
-        seq = seq.copy()
-        seq[ok] = new[rank[ok]]
-        stays = np.ones(len(seq), bool)
-        stays[ok + 1] = False
-        before = len(seq)
-        seq = seq[stays]
         name += int(keep.sum())
-        if before - len(seq) < before // 50:
-            break
+        nxt = seq.copy()
+        nxt[ok] = new[rank[ok]]
+        stays = np.ones(len(nxt), bool)
+        stays[ok + 1] = False
+        # late rounds replace little: exact counts cost more than they find, so hashes are tried first again
+        exact = exact and len(ok) < least
+        seq = nxt[stays]
     table = np.concatenate(rules) if rules else np.empty((0, 2), np.uint32)
     return first, table, seq
 
@@ -201,12 +219,17 @@ def _blocks(block_ids: int):
     return trimmed(run)
 
 
+BLOCKS = "shard int, block int, block_start long, n_ids long, doc_ids array<long>, lengths array<long>, data binary"
+INDEX = "doc_id long, shard int, block int, at long, n_tokens long"
+
+
 def write_token_files(docs: DataFrame, out_path: str, tokenizer_path: str | None = None, end: int = 2, shard_docs: int = 4_096, block_ids: int = 1 << 20, id_col: str = "doc_id", text_col: str = "text") -> None:
-    """Write the ids of docs to out_path in ascending doc_id order, nulls first.
+    """Write the ids of docs to out_path/blocks in ascending doc_id order, nulls first, and an index to out_path/index.
 
-    One row of the files is one block (its shard, number, first id within the shard, ids, documents and
-    their lengths, and the packed data). A document never spans blocks; one longer than block_ids makes
-    a larger block. Repeated doc_ids keep one entry for each row. An empty table writes no blocks.
+    One row of the blocks is one block (its shard, number, first id within the shard, ids, documents and
+    their lengths, and the packed data); one row of the index says where a document begins in its block. A document
+    never spans blocks; one longer than block_ids makes a larger block. Repeated doc_ids keep one entry for
+    each row. Other columns are ignored, whatever their names. An empty table writes no blocks.
     """
     ship(docs.sparkSession)
     src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
@@ -215,8 +238,17 @@ def write_token_files(docs: DataFrame, out_path: str, tokenizer_path: str | None
     bounds = src.agg(F.percentile_approx("doc_id", cuts, 10 * n).alias("b")).first()["b"] if cuts else None
     rows = src.mapInArrow(_ids(tokenizer_path or default_path("byte_bpe_50k.json"), end, np.unique(np.array(bounds or [], np.int64))), "shard int, doc_id long, ids binary")
     dealt = rows.repartitionById(n, "shard").sortWithinPartitions("shard", "doc_id")
-    schema = "shard int, block int, block_start long, n_ids long, doc_ids array<long>, lengths array<long>, data binary"
-    dealt.mapInArrow(_blocks(block_ids), schema).write.parquet(out_path)
+    dealt.mapInArrow(_blocks(block_ids), BLOCKS).write.parquet(f"{out_path}/blocks")
+    files = docs.sparkSession.read.schema(BLOCKS).parquet(f"{out_path}/blocks")
+    files.select("shard", "block", "doc_ids", "lengths").mapInArrow(_index, INDEX).write.parquet(f"{out_path}/index")
+
+
+def _index(batches):
+    schema = pa.schema([("doc_id", pa.int64()), ("shard", pa.int32()), ("block", pa.int32()), ("at", pa.int64()), ("n_tokens", pa.int64())])
+    for b in batches:
+        for shard, block, docs, sizes in zip(*(b.column(i).to_pylist() for i in range(4)), strict=True):
+            n = np.array(sizes, np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(docs, pa.int64()), pa.array([shard] * len(docs), pa.int32()), pa.array([block] * len(docs), pa.int32()), pa.array(np.cumsum(n) - n), pa.array(n)], schema=schema)
 
 
 def _read(batches):
@@ -234,7 +266,7 @@ def _read(batches):
 def read_token_files(spark, path: str) -> DataFrame:
     """Rows (doc_id, start, n_tokens, ids_crc32) decoded from the files; start counts all ids before."""
     ship(spark)
-    files = spark.read.schema("shard int, block int, block_start long, n_ids long, doc_ids array<long>, lengths array<long>, data binary").parquet(path)
+    files = spark.read.schema(BLOCKS).parquet(f"{path}/blocks")
     shards = files.groupBy("shard").agg(F.sum("n_ids").alias("ids"))
     before = F.sum("ids").over(Window.orderBy("shard").rowsBetween(Window.unboundedPreceding, -1))  # at most one row a shard
     offsets = shards.select("shard", F.coalesce(before, F.lit(0)).alias("base"))
@@ -243,12 +275,18 @@ def read_token_files(spark, path: str) -> DataFrame:
 
 
 def ids_of(spark, path: str, doc_id: int) -> list[np.ndarray]:
-    """Random access: the ids of every entry of one document, decoded from its part of its block."""
-    files = spark.read.schema("shard int, block int, block_start long, n_ids long, doc_ids array<long>, lengths array<long>, data binary").parquet(path)
-    out = []
-    for r in files.where(F.array_contains("doc_ids", doc_id)).orderBy("shard", "block").collect():
-        ends = np.cumsum(r.lengths)
-        out += [unpack_block(bytes(r.data), int(e - n), int(e)) for d, n, e in zip(r.doc_ids, r.lengths, ends, strict=True) if d == doc_id]
+    """Random access: the ids of every entry of one document, each expanded from the symbols of its block that cover it.
+
+    The index names the blocks, its files' ranges of doc_id skip those without the document, and only these blocks are read.
+    """
+    hits = spark.read.schema(INDEX).parquet(f"{path}/index").where(F.col("doc_id") == doc_id).orderBy("shard", "block", "at").collect()
+    blocks = spark.read.schema(BLOCKS).parquet(f"{path}/blocks").select("shard", "block", "data")
+    out, name, data = [], None, b""
+    for r in hits:
+        if (r.shard, r.block) != name:
+            name = (r.shard, r.block)
+            data = bytes(blocks.where((F.col("shard") == r.shard) & (F.col("block") == r.block)).first().data)
+        out.append(unpack_block(data, r["at"], r["at"] + r.n_tokens))
     return out
 
 

@@ -13,7 +13,7 @@ from tokenizers import Tokenizer
 from evenlane.llm import token_counts as tc
 from evenlane.llm.packing import hilbert_key, pack
 from evenlane.llm.sentence_pieces import MARK, PieceModel, decode_pieces, encode_pieces, sentence_pieces_query
-from evenlane.llm.token_files import ids_of, pack_block, read_token_files, unpack_block, write_token_files
+from evenlane.llm.token_files import LEAST, ids_of, pack_block, re_pair, read_token_files, unpack_block, write_token_files
 from evenlane.llm.tokenizing import PieceTable
 from evenlane.staging import fresh_path
 
@@ -53,6 +53,18 @@ def test_blocks_round_trip(n, top):
         assert (unpack_block(block, a, b) == ids[a:b]).all()
 
 
+@pytest.mark.parametrize(("n", "top"), [(50_000, 40), (200_000, 2000), (30_000, 2)])
+def test_grammar_leaves_no_frequent_pair(n, top):
+    ids = (np.random.default_rng(top).zipf(1.2, n) % top).astype(np.uint32)
+    _, rules, body = re_pair(ids)
+    pairs, places = {}, {}
+    for i, ab in enumerate(zip(body[:-1].tolist(), body[1:].tolist(), strict=True)):
+        if places.get(ab) != i - 1:  # occurrences that do not overlap
+            pairs[ab], places[ab] = pairs.get(ab, 0) + 1, i
+    assert len(rules) and max(pairs.values()) < LEAST
+    assert len(re_pair(ids, rounds=3)[2]) > len(body)
+
+
 def test_token_files(spark):
     texts = odd_texts(200)
     rng = random.Random(4)
