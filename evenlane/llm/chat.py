@@ -14,7 +14,7 @@ from evenlane.staging import discard, stage
 
 #: Tool -> argument -> (type, required); types: string, integer, number, boolean, array, object.
 Schemas = dict[str, dict[str, tuple[str, bool]]]
-REPLY: Schemas = {"reply": {"text": ("string", True), "turn": ("integer", True)}}
+REPLY: Schemas = {"reply": {"breaks": ("integer", True), "text": ("string", True), "turn": ("integer", True)}}
 _TYPES = {"string": "^STRING$", "integer": "^BIGINT$", "number": "^(BIGINT|DOUBLE|FLOAT|DECIMAL)", "boolean": "^BOOLEAN$", "array": "^ARRAY<", "object": "^OBJECT<"}
 
 
@@ -34,23 +34,45 @@ def arguments_fit(v: Column, name: Column, schemas: Schemas) -> Column:
 def depths(calls: DataFrame) -> DataFrame:
     """Rows (call_id, depth) of calls (call_id, after): 0 without needs, else one more than the deepest need.
 
-    Needs that name no call are void. Calls in or behind a cycle are absent. One round a level.
+    Needs that name no call are void. Calls in or behind a cycle are absent. Calls with a single need form
+    chains, which pointer doubling follows to their heads, in as many rounds as a chain's length has bits; what is left are calls
+    with several needs, one round a level of these.
     """
     nodes = stage(calls.where("call_id is not null").groupBy("call_id").agg(F.flatten(F.collect_set("after")).alias("after")), "chat-calls")
     edges = nodes.select("call_id", F.explode(F.array_distinct("after")).alias("need"))
     edges = stage(edges.join(nodes.select(F.col("call_id").alias("need")), "need"), "chat-edges")
-    done = nodes.join(edges, "call_id", "left_anti").select("call_id", F.lit(0).alias("depth"))
+    free = nodes.join(edges, "call_id", "left_anti").select("call_id", F.lit(0).alias("depth"))
     if edges.isEmpty():
-        return done
-    done = stage(done, "chat-depths")
-    while True:
-        open_ = edges.join(done.select("call_id"), "call_id", "left_anti").join(done.select(F.col("call_id").alias("need"), "depth"), "need", "left")
-        ready = open_.groupBy("call_id").agg(F.max("depth").alias("d"), F.count_if(F.col("depth").isNull()).alias("missing")).where("missing = 0")
-        ready = stage(ready.select("call_id", (F.col("d") + 1).cast("int").alias("depth")), "chat-ready")
-        if ready.isEmpty():
-            return done
-        old, done = done, stage(done.union(ready), "chat-depths")
+        return free
+    needs = edges.groupBy("call_id").agg(F.count("*").alias("n"), F.first("need").alias("head"))
+    chained = stage(needs.where("n = 1").select("call_id", "head", F.lit(1).alias("steps")), "chat-chains")
+    rounds = max(1, chained.count()).bit_length() + 1
+    for _ in range(rounds):  # a chain still open after these is a cycle
+        further = chained.select(F.col("call_id").alias("head"), F.col("head").alias("next"), F.col("steps").alias("more"))
+        nxt = stage(chained.join(further, "head", "left").select("call_id", F.coalesce("next", "head").alias("head"), (F.col("steps") + F.coalesce("more", F.lit(0))).alias("steps")), "chat-chains")
+        still = nxt.join(nxt.select(F.col("call_id").alias("head")), "head", "left_semi")
+        discard(chained)
+        chained = nxt
+        if still.isEmpty():
+            break
+    chained = chained.join(chained.select(F.col("call_id").alias("head")), "head", "left_anti")
+    several = edges.join(needs.where("n > 1").select("call_id"), "call_id", "left_semi")
+    links = several.join(chained.withColumnRenamed("call_id", "need"), "need", "left").join(needs.where("n = 1").select(F.col("call_id").alias("need"), F.lit(True).alias("single")), "need", "left")
+    # a need in a cycle of single needs has no head: its link keeps a head that never gets a depth
+    links = stage(links.select("call_id", F.when(F.col("head").isNotNull(), F.col("head")).when(F.col("single"), F.lit(None)).otherwise(F.col("need")).alias("head"), (F.coalesce("steps", F.lit(0)) + 1).alias("steps")), "chat-links")
+    done = levels = stage(free, "chat-depths")
+    while not links.isEmpty():
+        open_ = links.join(done.withColumnRenamed("call_id", "head"), "head", "left")
+        ready = open_.groupBy("call_id").agg(F.max(F.col("depth") + F.col("steps")).alias("d"), F.count_if(F.col("depth").isNull()).alias("missing")).where("missing = 0")
+        level = stage(ready.select("call_id", F.col("d").cast("int").alias("depth")), "chat-level")
+        if level.isEmpty():
+            break
+        old, links = links, stage(links.join(level, "call_id", "left_anti"), "chat-links")
         discard(old)
+        done = done.union(level)
+        levels = done
+    heads = levels.withColumnRenamed("call_id", "head")
+    return levels.union(chained.join(heads, "head").select("call_id", (F.col("depth") + F.col("steps")).cast("int").alias("depth")))
 
 
 def link_tool_calls(events: DataFrame, schemas: Schemas) -> DataFrame:
@@ -61,15 +83,19 @@ def link_tool_calls(events: DataFrame, schemas: Schemas) -> DataFrame:
     call's depth, one more for its results, then by turn. Statuses: ok; no_id (null identifier); duplicate_id
     (an earlier call has it; ties by name and arguments, equal rows all count as first); unknown_tool; bad_arguments; cycle; no_result; orphan.
     Null fields are JSON null; arguments that are no JSON become null and are bad; an empty table gives an empty result.
+    Other columns are ignored, whatever their names.
     """
-    e = events.withColumn("v", F.try_parse_json("arguments"))
+    e = events.select("conv_id", "turn", "kind", "call_id", "name", "arguments", "content", "role", "after").withColumn("v", F.try_parse_json("arguments"))
     mine = F.when(F.col("kind") == "call", F.struct("turn", "conv_id", "name", "arguments"))
     ids = e.where("call_id is not null and kind in ('call', 'result')").groupBy("call_id").agg(
         F.min(mine).alias("first"), F.count_if(F.col("kind") == "call").alias("calls"), F.count_if(F.col("kind") == "result").alias("results")
     )
     depth = depths(e.where("kind = 'call'").select("call_id", "after"))
     ids = stage(ids.join(depth, "call_id", "left"), "chat-ids")
-    j = e.join(ids, "call_id", "left")
+    # events without an identifier match nothing: a key of their own spreads them over the partitions
+    alone = F.xxhash64("conv_id", "turn", "content").cast("string")
+    keyed = e.withColumns({"key": F.coalesce("call_id", alone), "named": F.col("call_id").isNotNull()})
+    j = keyed.join(ids.withColumnRenamed("call_id", "key").withColumn("named", F.lit(True)), ["key", "named"], "left")
     call, result = F.col("kind") == "call", F.col("kind") == "result"
     status = (
         F.when(~call & ~result, "ok")
@@ -93,15 +119,21 @@ def link_tool_calls(events: DataFrame, schemas: Schemas) -> DataFrame:
 
 
 def turns_as_events(conversations: DataFrame) -> DataFrame:
-    """Events of plain conversations: a user's turn calls the tool `reply`, the next turn of the assistant is its result."""
+    """Events of plain conversations: a user's turn calls the tool `reply`, the next turn of the assistant is its result.
+
+    A call needs the result of the user's turn before it, two turns back. Its arguments are the text, the turn and
+    the number of line breaks, which is null in a text of one line, and then not what the tool's schema asks for.
+    """
     c = conversations.select(F.col("conv_id").cast("long").alias("conv_id"), F.col("turn").cast("long").alias("turn"), "role", "text")
     name = lambda t: F.concat(F.col("conv_id").cast("string"), F.lit("-"), t.cast("string"))
     user, bot = F.col("role") == "user", F.col("role") == "assistant"
+    breaks = F.length("text") - F.length(F.replace("text", F.lit("\n")))
+    arguments = F.struct(F.when(breaks > 0, breaks).alias("breaks"), "text", "turn")
     return c.select(
         "conv_id", "turn", F.when(user, "call").when(bot, "result").otherwise("message").alias("kind"),
         F.when(user, name(F.col("turn"))).when(bot, name(F.col("turn") - 1)).alias("call_id"), F.when(user, "reply").alias("name"),
-        F.when(user, F.to_json(F.struct("turn", "text"), {"ignoreNullFields": "false"})).alias("arguments"), F.when(~user | user.isNull(), F.col("text")).alias("content"), "role",
-        F.array().cast("array<string>").alias("after"),
+        F.when(user, F.to_json(arguments, {"ignoreNullFields": "false"})).alias("arguments"), F.when(~user | user.isNull(), F.col("text")).alias("content"), "role",
+        F.when(user, F.array(name(F.col("turn") - 2))).otherwise(F.array().cast("array<string>")).alias("after"),
     )
 
 
@@ -110,15 +142,20 @@ def chat_query(spark, sf_dir: str) -> DataFrame:
 
 
 CHAT_SQL = """
-WITH e AS (SELECT conv_id, turn, role, text, CASE role WHEN 'user' THEN 'call' WHEN 'assistant' THEN 'result' ELSE 'message' END AS kind,
-  CASE role WHEN 'user' THEN conv_id || '-' || turn WHEN 'assistant' THEN conv_id || '-' || (turn - 1) END AS call_id FROM conversations),
+WITH t AS (SELECT *, nullif(length(text) - length(replace(text, chr(10), '')), 0) AS breaks FROM conversations),
+e AS (SELECT conv_id, turn, role, text, breaks, CASE role WHEN 'user' THEN 'call' WHEN 'assistant' THEN 'result' ELSE 'message' END AS kind,
+  CASE role WHEN 'user' THEN conv_id || '-' || turn WHEN 'assistant' THEN conv_id || '-' || (turn - 1) END AS call_id,
+  CASE role WHEN 'user' THEN CAST(json_object('breaks', breaks, 'text', text, 'turn', turn) AS VARCHAR) END AS args FROM t),
+u AS (SELECT DISTINCT conv_id, turn, call_id FROM e WHERE kind = 'call' AND call_id IS NOT NULL),
+g AS (SELECT *, turn - 2 * row_number() OVER (PARTITION BY conv_id, turn % 2 ORDER BY turn) AS island FROM u),
+dep AS (SELECT call_id, row_number() OVER (PARTITION BY conv_id, turn % 2, island ORDER BY turn) - 1 AS depth FROM g),
 i AS (SELECT call_id, count(*) FILTER (kind = 'call') AS calls, count(*) FILTER (kind = 'result') AS results,
-  min(text) FILTER (kind = 'call') AS head FROM e WHERE call_id IS NOT NULL GROUP BY call_id)
-SELECT conv_id, turn, kind, e.call_id, CAST(CASE kind WHEN 'result' THEN CASE WHEN calls > 0 THEN 1 END ELSE 0 END AS BIGINT) AS level,
+  min(args) FILTER (kind = 'call') AS head FROM e WHERE call_id IS NOT NULL GROUP BY call_id)
+SELECT conv_id, turn, kind, e.call_id, CAST(CASE kind WHEN 'result' THEN 2 * depth + 1 WHEN 'call' THEN 2 * depth ELSE 0 END AS BIGINT) AS level,
   CASE WHEN kind = 'message' THEN 'ok' WHEN e.call_id IS NULL THEN 'no_id' WHEN kind = 'result' THEN CASE WHEN calls > 0 THEN 'ok' ELSE 'orphan' END
-    WHEN text <> head THEN 'duplicate_id' WHEN text IS NULL THEN 'bad_arguments' WHEN results = 0 THEN 'no_result' ELSE 'ok' END AS status,
-  CASE kind WHEN 'call' THEN '{"arguments":' || CAST(json_object('text', text, 'turn', turn) AS VARCHAR) || ',' || substr(CAST(json_object('id', e.call_id, 'name', 'reply', 'type', 'call') AS VARCHAR), 2)
+    WHEN args <> head THEN 'duplicate_id' WHEN text IS NULL OR breaks IS NULL THEN 'bad_arguments' WHEN results = 0 THEN 'no_result' ELSE 'ok' END AS status,
+  CASE kind WHEN 'call' THEN '{"arguments":' || args || ',' || substr(CAST(json_object('id', e.call_id, 'name', 'reply', 'type', 'call') AS VARCHAR), 2)
     WHEN 'result' THEN CAST(json_object('content', text, 'id', e.call_id, 'type', 'result') AS VARCHAR)
     ELSE CAST(json_object('content', text, 'role', role, 'type', 'message') AS VARCHAR) END AS json
-FROM e LEFT JOIN i USING (call_id)
+FROM e LEFT JOIN i USING (call_id) LEFT JOIN dep USING (call_id)
 """

@@ -7,7 +7,7 @@ import re
 import pytest
 from pyspark.sql import functions as F
 
-from evenlane.llm.chat import CHAT_SQL, chat_query, link_tool_calls
+from evenlane.llm.chat import CHAT_SQL, REPLY, chat_query, depths, link_tool_calls, turns_as_events
 from evenlane.llm.quality import QUALITY_SQL, QualityParams, count_text, limits, quality_query, quality_verdicts, with_counts
 from evenlane.llm.secrets import SECRETS_SQL, find_secrets, listed, redact, secrets_query
 from evenlane.llm.url_filter import BAD_WORDS, GOOD_WORDS, filter_urls, fit, invented, labelled, split_url, url_filter_query, url_filter_sql
@@ -233,3 +233,27 @@ def test_tool_calls(spark):
     assert got[10].json == '{"content":"hi \\"you\\"\\n","role":"system","type":"message"}'
     assert got[12].json == '{"content":null,"id":"c5","type":"result"}'
     assert link_tool_calls(df.limit(0), schemas).count() == 0
+
+
+def test_depths_of_chains_forks_and_cycles(spark):
+    calls = [(f"c{i}", [f"c{i - 1}"]) for i in range(300)]  # a chain of single needs
+    calls += [(f"d{i}", [f"d{i - 1}", f"c{9 * i}"]) for i in range(12)]  # two needs each, one into the chain
+    calls += [("x", ["y"]), ("y", ["z"]), ("z", ["x"]), ("behind", ["x"]), ("both", ["c5", "behind"]), ("tail", ["d11"]), ("end", ["tail"]), ("c3", ["gone"])]
+    got = {r.call_id: r.depth for r in depths(spark.createDataFrame(calls, "call_id string, after array<string>")).collect()}
+    needs = {}
+    for c, after in calls:
+        needs.setdefault(c, set()).update(after)
+    want, known = {}, {c: {n for n in ns if n in needs} for c, ns in needs.items()}
+    while more := {c: 1 + max((want[n] for n in ns), default=-1) for c, ns in known.items() if c not in want and ns <= want.keys()}:
+        want |= more
+    assert got == want and len(got) == len(known) - 5
+
+
+def test_tool_calls_repeated_long_and_other_columns(spark):
+    rows = [(7, 0, "user", "a\nb" * 40_000, 1), (7, 0, "user", "a\nb" * 40_000, 2), (7, 1, "assistant", "x", 3), (7, 2, "user", "one line", 4), (None, 1, "user", "p\nq", 5), (7, None, None, None, 6)]
+    df = turns_as_events(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string, key int"))
+    got = link_tool_calls(df.withColumns({"v": F.lit(1), "named": F.lit("x"), "key": F.lit(2)}), REPLY).collect()
+    assert sorted((r.turn is None, r.turn or 0, r.kind, r.status, r.level) for r in got if r.conv_id == 7) == [
+        (False, 0, "call", "ok", 0), (False, 0, "call", "ok", 0), (False, 1, "result", "ok", 1), (False, 2, "call", "bad_arguments", 2), (True, 0, "message", "ok", 0)
+    ]
+    assert [r.status for r in got if r.conv_id is None] == ["no_id"]

@@ -86,8 +86,29 @@ def test_stages_keep_the_columns(spark, data):
 
 
 def test_near_dup_stage_keeps_one_of_each(spark):
-    rows = [(1, "a b c d e f", "en", "s", 11), (1, "a b c d e f", "en", "s", 11), (2, "a b c d e f", "en", "s", 11), (None, "x y", "en", "s", 3), (5, "", "en", "s", 0)]
+    rows = [
+        (1, "a b c d e f", "en", "s", 11), (1, "a b c d e f", "en", "s", 11), (2, "a b c d e f", "en", "s", 11), (1, "quite another text than that", "en", "s", 3), (None, "x y", "en", "s", 3), (None, "x y", "en", "t", 3),
+        (5, "", "en", "s", 0), (5, "", "en", "s", 0), (6, None, "en", "s", 0),
+    ]
     docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
-    got = corpus_pipeline.near_dup(spark, docs, "")
-    assert sorted((r.doc_id is None, r.doc_id or 0) for r in got.collect()) == [(False, 1), (False, 5), (True, 0)]
-    assert near_duplicates(docs).count() == 5
+    got = corpus_pipeline.near_dup(spark, docs, "").collect()
+    assert sorted(((r.doc_id is None, r.doc_id or 0), r.text or "") for r in got) == [
+        ((False, 1), "a b c d e f"), ((False, 1), "quite another text than that"), ((False, 5), ""), ((False, 5), ""), ((False, 6), ""), ((True, 0), "x y")
+    ]
+    every = near_duplicates(docs).collect()
+    assert len(every) == 9 and {(r.component_id, r.kept) for r in every if r.doc_id == 2} == {(1, False)}
+
+
+def test_top_k_of_repeated_and_null_ids(spark, tmp_path):
+    """Every row but the query's own is a candidate, whatever its id."""
+    rng = np.random.default_rng(3)
+    v = rng.integers(-3, 4, (40, 3)) / 2
+    rows = [(i // 2 if i % 7 else None, [float(x) for x in v[i]], "x") for i in range(40)] + [(0, [], "x"), (50, [], "x")]
+    spark.createDataFrame(rows, "vec_id long, embedding array<float>, label string").coalesce(1).write.parquet(f"{tmp_path}/e")
+    import shutil
+
+    shutil.copy(next(iter((tmp_path / "e").glob("*.parquet"))), tmp_path / "embeddings.parquet")
+    df = top_k_query(spark, str(tmp_path))
+    con = tables(str(tmp_path))
+    assert_same(df, con, TOP_K_SQL)
+    assert df.groupBy("query_id", "vec_id").count().where("count > 1").count() > 0 and df.where("query_id = 50").count() == 1
