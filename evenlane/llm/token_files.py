@@ -27,22 +27,24 @@ HEAD = struct.Struct("<4sIIIIB")  # magic, ids, terminals, rules, symbols, bytes
 #: A pair must occur so often to get a rule: a rule costs 12 bytes, each replacement saves a symbol of 2.
 LEAST = 6
 COUNTER_BITS = 20
+EXACT_BELOW = 60_000  # so few places are counted by sorting them
 _MULTIPLIERS = (0x9E3779B1, 0x85EBCA77, 0xC2B2AE3D, 0x27D4EB2F, 0x165667B1)
 
 
-def _pairs_exactly(a: np.ndarray, b: np.ndarray, least: int) -> tuple[np.ndarray, int]:
-    """(rank of the pair at each place, number of pairs): ranks by falling count; places of rarer pairs have the number of pairs."""
+def _pairs_exactly(a: np.ndarray, b: np.ndarray, least: int) -> tuple[np.ndarray, int, np.ndarray]:
+    """(rank of each pair, number of ranks, whether the pair is frequent): ranks by falling count; rarer pairs have the number of ranks."""
     key = (a.astype(np.uint64) << np.uint64(32)) | b
     pairs, inverse, counts = np.unique(key, return_inverse=True, return_counts=True)
     good = np.flatnonzero(counts >= least)
     order = good[np.lexsort((good, -counts[good]))]
     rank = np.full(len(pairs), len(order), np.int32)
     rank[order] = np.arange(len(order), dtype=np.int32)
-    return rank[inverse], len(order)
+    rank = rank[inverse]
+    return rank, len(order), rank < len(order)
 
 
-def _pairs_by_hash(a: np.ndarray, b: np.ndarray, least: int, turn: int) -> tuple[np.ndarray, int]:
-    """The same from 2^COUNTER_BITS hashed counters: of pairs that share a counter one has the rank and the others wait."""
+def _pairs_by_hash(a: np.ndarray, b: np.ndarray, least: int, turn: int) -> tuple[np.ndarray, int, np.ndarray]:
+    """The same from 2^COUNTER_BITS hashed counters: of pairs that share a counter one has the rank, the others wait and count as frequent."""
     m = [np.uint32(_MULTIPLIERS[(turn + i) % len(_MULTIPLIERS)]) for i in (0, 1)]
     h = ((a * m[0] + b * m[1]) >> np.uint32(32 - COUNTER_BITS)).astype(np.int32)
     counts = np.bincount(h, minlength=1 << COUNTER_BITS)
@@ -52,56 +54,67 @@ def _pairs_by_hash(a: np.ndarray, b: np.ndarray, least: int, turn: int) -> tuple
     rank_of = np.full(1 << COUNTER_BITS, none, np.int32)
     rank_of[good] = np.arange(none, dtype=np.int32)
     rank = rank_of[h]
-    at = np.flatnonzero(rank < none)
+    frequent = rank < none
+    at = np.flatnonzero(frequent)
     stands = np.zeros(none, np.int64)
     stands[rank[at]] = at
     rep = stands[rank[at]]
     rank[at[(a[at] != a[rep]) | (b[at] != b[rep])]] = none
-    return rank, none
+    return rank, none, frequent
 
 
 def re_pair(ids: np.ndarray, least: int = LEAST, rounds: int | None = None) -> tuple[int, np.ndarray, np.ndarray]:
     """(first nonterminal, rules as rows of two symbols, remaining symbols) of ids.
 
     Rounds go on until no pair occurs least times or more. A round takes all frequent pairs at once: an
-    occurrence is replaced where its pair ranks before both neighbours' pairs. Pairs are counted by hashes that
-    change from round to round; where these find nothing, by exact counts, which also decide that none is left.
+    occurrence is replaced where its pair ranks before both neighbours' pairs. Only places whose pair was frequent or has a
+    symbol of the last round are counted again, since other counts cannot grow. Many places are counted by hashes that
+    change from round to round; few, or those where hashes find nothing, exactly, which also decides that no pair is left.
     rounds, if given, ends the grammar earlier.
     """
     first = int(ids.max()) + 1 if len(ids) else 0
     seq = ids.astype(np.uint32)
     rules: list[np.ndarray] = []
-    name, turn, exact = first, 0, False
+    name, turn, stuck = first, 0, False
+    alive = np.ones(max(0, len(seq) - 1), bool)
     while len(seq) > 1 and (rounds is None or turn < rounds):
-        a, b = seq[:-1], seq[1:]
-        rank, none = _pairs_exactly(a, b, least) if exact else _pairs_by_hash(a, b, least, turn)
-        at = np.flatnonzero(rank < none)
+        at = np.flatnonzero(alive)
+        a, b = seq[at], seq[at + 1]
+        exact = stuck or len(at) < EXACT_BELOW
+        rank, none, frequent = _pairs_exactly(a, b, least) if exact else _pairs_by_hash(a, b, least, turn)
+        alive[at[~frequent]] = False
+        mine = rank < none
+        at, rank = at[mine], rank[mine]
         # an occurrence is taken where its pair ranks before both neighbours; of a run of one pair, every second from the first
-        left = np.full(len(a) + 2, none, np.int32)
-        left[1:-1] = rank
-        ok = at[(rank[at] < left[at]) & (rank[at] <= left[at + 2])]
-        ok = ok[np.concatenate([[True], np.diff(ok) > 1])] if len(ok) else ok
-        keep = np.bincount(rank[ok], minlength=none) >= (least + 1) // 2
-        ok = ok[keep[rank[ok]]]
+        place = np.full(len(seq) + 1, none, np.int32)
+        place[at + 1] = rank
+        taken = (rank < place[at]) & (rank <= place[at + 2])
+        ok, rank = at[taken], rank[taken]
+        if len(ok):
+            apart = np.concatenate([[True], np.diff(ok) > 1])
+            ok, rank = ok[apart], rank[apart]
+        keep = np.bincount(rank, minlength=none) >= (least + 1) // 2
+        ok, rank = ok[keep[rank]], rank[keep[rank]]
         turn += 1
         if not len(ok):
             if exact:
                 break
-            exact = True
+            stuck = True
             continue
+        stuck = False
         stands = np.zeros(none, np.int64)
-        stands[rank[ok]] = ok
+        stands[rank] = ok
         new = np.zeros(none, np.uint32)
         new[keep] = name + np.arange(int(keep.sum()), dtype=np.uint32)
-        rules.append(np.stack([a[stands[keep]], b[stands[keep]]], 1))
+        rules.append(np.stack([seq[stands[keep]], seq[stands[keep] + 1]], 1))
         name += int(keep.sum())
-        nxt = seq.copy()
-        nxt[ok] = new[rank[ok]]
-        stays = np.ones(len(nxt), bool)
+        seq[ok] = new[rank]
+        alive[ok] = True
+        alive[np.maximum(ok - 1, 0)] = True
+        stays = np.ones(len(seq), bool)
         stays[ok + 1] = False
-        # late rounds replace little: exact counts cost more than they find, so hashes are tried first again
-        exact = exact and len(ok) < least
-        seq = nxt[stays]
+        alive = alive[stays[:-1]] if stays[-1] else alive[stays[:-1]][:-1]
+        seq = seq[stays]
     table = np.concatenate(rules) if rules else np.empty((0, 2), np.uint32)
     return first, table, seq
 
@@ -141,13 +154,38 @@ def unpack_block(block: bytes, start: int = 0, stop: int | None = None) -> np.nd
     b = int(np.searchsorted(ends, stop, side="left")) + 1
     skip = start - (int(ends[a - 1]) if a else 0)
     seq = seq[a:b]
+    if (stop - start) * 8 > n:
+        return _expanded_by_table(seq, first, rules, sizes)[skip : skip + stop - start]
+    return _expanded(seq, first, rules)[skip : skip + stop - start]
+
+
+def _expanded(seq: np.ndarray, first: int, rules: np.ndarray) -> np.ndarray:
+    """The ids that symbols stand for, a level at a time."""
     while len(seq) and (big := seq >= first).any():
         out = np.repeat(seq, 1 + big)
         at = np.flatnonzero(big) + np.arange(int(big.sum()))
         pair = rules[seq[big] - first]
         out[at], out[at + 1] = pair[:, 0], pair[:, 1]
         seq = out
-    return seq[skip : skip + stop - start]
+    return seq
+
+
+def _expanded_by_table(seq: np.ndarray, first: int, rules: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """The same for long stretches: every rule is expanded once, and symbols copy their part."""
+    if not len(rules):
+        return seq
+    flat = _expanded(np.arange(first, first + len(rules), dtype=np.uint32), first, rules)
+    begin = np.cumsum(sizes, dtype=np.int64) - sizes
+    big = seq >= first
+    which = np.where(big, seq, first) - first
+    lengths = np.where(big, sizes[which], 1).astype(np.int64)
+    ends = np.cumsum(lengths)
+    source = np.repeat(np.where(big, begin[which], 0) - (ends - lengths), lengths)
+    source += np.arange(len(source))
+    out = np.repeat(seq, lengths)
+    inside = np.repeat(big, lengths)
+    out[inside] = flat[source[inside]]
+    return out
 
 
 def id_blobs(encoded: list[np.ndarray], end: int) -> tuple[pa.Array, pa.Array]:
