@@ -5,16 +5,18 @@ from __future__ import annotations
 import functools
 
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from evenlane.functions.spec import SortSpec
-from evenlane.operators import networks, sampling
-from evenlane.operators.fences import FenceSet, pick, ranked_sample
+from evenlane.functions.draws import draw31, text
+from evenlane.functions.spec import Key, SortSpec
+from evenlane.operators import networks
+from evenlane.operators.fences import FenceSet
 from evenlane.operators.layout import Lanes, Run, by_number, indexed, sorted_run, starts
-from evenlane.operators.sorts import SortResult, classic_random_sort, iterated_sort, local_run, regular_sort
+from evenlane.operators.sorts import SortResult, classic_random_sort, exchanges, iterated_sort, lane_fences, local_run, regular_from, regular_sort
 from evenlane.operators.split import with_bucket
 from evenlane.shipping import ship
+from evenlane.staging import stage
 
 
 def plain_regular(df: DataFrame, spec: SortSpec, lanes: Lanes) -> SortResult:
@@ -22,39 +24,25 @@ def plain_regular(df: DataFrame, spec: SortSpec, lanes: Lanes) -> SortResult:
     return regular_sort(df, spec, lanes, r=1, sample_sort="driver", dup=False)
 
 
-def _second_run(run: Run, dealt: DataFrame) -> Run:
-    """A run of run's rows in new lanes (column home), sorted there; the first tags stay as o_lane, o_pos."""
-    p = run.lanes.p
-    rows = dealt.withColumnsRenamed({"lane": "o_lane", "pos": "o_pos"})
-    t, counts = indexed(rows.repartitionById(p, "home").sortWithinPartitions(*run.spec.order("o_lane", "o_pos")).drop("home"), "round")
-    size = {r["__part"]: r["rows"] for r in counts.collect()}
-    return Run(t.withColumnsRenamed({"__part": "lane", "__at": "pos"}), run.spec, run.lanes, [size.get(i, 0) for i in range(p)])
-
-
-def _by_first_tags(second: Run, sample: DataFrame, s: int | None) -> FenceSet:
-    tags = second.df.select("lane", "pos", "o_lane", "o_pos")
-    named = sample.join(tags, ["lane", "pos"]).drop("lane", "pos").withColumnsRenamed({"o_lane": "lane", "o_pos": "pos"})
-    return pick(ranked_sample(named, second.spec), second.spec, second.lanes.p, s)
+def _two_rounds(run: Run, home: Column, s: int | None, how: str, seed: int, plan: dict) -> SortResult:
+    """Rows move to the lanes of home, are sampled and cut there, and move on to their buckets. First tags travel with every row."""
+    spec, p = run.spec, run.lanes.p
+    dealt = run.df.withColumn("home", home.cast("int")).repartitionById(p, "home").drop("home")
+    second = Run(stage(dealt, "round"), spec, Lanes(p, layout="inplace"), moves=run.moves + exchanges(dealt))
+    fences = lane_fences(second, s, how, seed) if p > 1 else FenceSet(spec, ())
+    return SortResult(second, fences, with_bucket(second.df, fences), plan)
 
 
 def two_round_regular(df: DataFrame, spec: SortSpec, lanes: Lanes, r: int = 4) -> SortResult:
-    """Two bulk exchanges: sorted runs are dealt round-robin over the lanes and merged, then sampled and routed."""
+    """Two bulk exchanges: sorted runs are dealt round-robin over the lanes and merged, then sampled regularly and routed."""
     run = sorted_run(df, spec, lanes)
-    second = _second_run(run, run.df.withColumn("home", (F.col("pos") % lanes.p).cast("int")))
-    s = r * lanes.p
-    fences = _by_first_tags(second, sampling.sample_regular(second, s), s if all(second.lengths) else None)
-    return SortResult(run, fences, with_bucket(run.df, fences), {"method": "two_round_regular", "p": lanes.p, "r": r}, rounds=2)
+    return _two_rounds(run, F.col("pos") % lanes.p, r * lanes.p, "regular", 0, {"method": "two_round_regular", "p": lanes.p, "r": r})
 
 
 def two_round_random(df: DataFrame, spec: SortSpec, lanes: Lanes, s: int | None = None, seed: int = 42) -> SortResult:
-    """Two bulk exchanges: rows go to random lanes, and the fences come from what lies there."""
-    from evenlane.functions.draws import draw31, text
-
+    """Two bulk exchanges: rows go to random lanes, and the fences come from random samples of what lies there."""
     run = sorted_run(df, spec, lanes)
-    second = _second_run(run, run.df.withColumn("home", (draw31(text(seed, "lane", "pos")) % lanes.p).cast("int")))
-    s = s or sampling.random_size(run.n)
-    fences = _by_first_tags(second, sampling.sample_random(second, s, "exact", seed + 1), s if min(second.lengths) >= s else None)
-    return SortResult(run, fences, with_bucket(run.df, fences), {"method": "two_round_random", "p": lanes.p, "s": s}, rounds=2)
+    return _two_rounds(run, draw31(text(seed, "lane", "pos")) % lanes.p, s, "random", seed + 1, {"method": "two_round_random", "p": lanes.p, "s": s})
 
 
 def sample_sort_untagged(df: DataFrame, spec: SortSpec, lanes: Lanes, s: int | None = None, seed: int = 42) -> SortResult:
@@ -63,10 +51,15 @@ def sample_sort_untagged(df: DataFrame, spec: SortSpec, lanes: Lanes, s: int | N
 
 
 def tag_all(df: DataFrame, spec: SortSpec, lanes: Lanes, r: int = 4) -> SortResult:
-    """Every key carries its address from the start: twice the words to compare and to move, the same order."""
-    out = regular_sort(df, spec, lanes, r=r)
-    out.split = out.split.withColumn("tagged_key", F.struct(*spec.names, "lane", "pos"))
-    out.plan |= {"method": "tag_all", "words_per_record": 2}
+    """Every key is made unlike all others before the sort by its address, one word that is a key of its own.
+
+    Runs, samples, fences and moved rows all carry and compare it: the same order with twice the words of a single key.
+    """
+    run = sorted_run(df, spec, lanes)
+    rows = run.df.withColumn(f"k{len(spec.keys)}", F.shiftleft(F.col("lane").cast("long"), 33).bitwiseOR(F.col("pos")))
+    tagged = Run(rows, SortSpec((*spec.keys, Key("address"))), lanes, run.sizes)
+    out = regular_from(tagged, r, dup=False)
+    out.plan |= {"method": "tag_all"}
     return out
 
 
@@ -147,3 +140,6 @@ def sketch_fences(df: DataFrame, key: str, p: int, accuracy: int = 10_000) -> li
     return df.agg(F.percentile_approx(F.expr(key), cuts, accuracy).alias("b")).first()["b"] if cuts else []
 
 
+def sketch_bucket(key: str, cuts: list) -> Column:
+    """The bucket of a key among fences without tags: those strictly below it."""
+    return F.size(F.filter(F.array(*map(F.lit, cuts)), lambda c: c < F.expr(key))) if cuts else F.lit(0)

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from evenlane.functions.spec import SortSpec
@@ -12,10 +12,19 @@ from evenlane.functions.spec import SortSpec
 
 @dataclass(frozen=True)
 class FenceSet:
-    """p - 1 records in order, each a dict of k0.., lane, pos; a row's bucket is the number of fences strictly below it."""
+    """Records in order, each a dict of k0.., lane, pos; a row's bucket is the number of fences strictly below it.
+
+    With names, one for what lies below all fences and one for what lies above each, the bucket is that name.
+    """
 
     spec: SortSpec
     records: tuple[dict, ...]
+    names: tuple[int, ...] | None = None
+
+    def table(self, like: DataFrame) -> Column:
+        """array<struct<k0.., lane, pos>> of the records in order, with the key types of like: the value of a subquery."""
+        rows = self.to_df(like.sparkSession, like)
+        return rows.agg(F.sort_array(F.collect_list(F.struct("rank", *self.spec.names, "lane", "pos"))).alias("f")).scalar()
 
     def __len__(self) -> int:
         return len(self.records)
@@ -50,3 +59,20 @@ def pick(ranked: DataFrame, spec: SortSpec, p: int, s: int | None = None) -> Fen
         at = [i * s for i in range(1, p)]
     rows = {r["rank"]: r for r in ranked.where(F.col("rank").isin(at) & (F.col("pad") == 0)).collect()} if at else {}
     return FenceSet(spec, tuple({n: rows[i][n] for n in [*spec.names, "lane", "pos"]} for i in at if i in rows))
+
+
+def weighed_fences(sample: DataFrame, spec: SortSpec, k: int) -> dict[int, tuple[int, dict[int, dict]]]:
+    """group -> (its rows, its k - 1 fences by number) from weighted samples: fence i is where i/k of the group's rows lie at or below.
+
+    One window a group, each over a sample. At most one row a fence comes back.
+    """
+    w = Window.partitionBy("group").orderBy(*spec.order("lane", "pos"))
+    upto = sample.withColumns({"upto": F.sum("weight").over(w.rowsBetween(Window.unboundedPreceding, 0)), "rows": F.sum("weight").over(Window.partitionBy("group"))})
+    upto = upto.withColumns({"hi": F.expr(f"upto * {k} div rows"), "lo": F.expr(f"(upto - weight) * {k} div rows")})
+    some = upto.where("hi > lo").select("group", "rows", *spec.names, "lane", "pos", F.explode(F.sequence(F.col("lo") + 1, "hi")).alias("i"))
+    out: dict[int, tuple[int, dict[int, dict]]] = {}
+    for r in some.collect():
+        found = out.setdefault(r["group"], (r["rows"], {}))[1]
+        if r["i"] < k:
+            found[r["i"]] = {n: r[n] for n in [*spec.names, "lane", "pos"]}
+    return out

@@ -4,11 +4,11 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from evenlane.functions.spec import SortSpec
-from evenlane.staging import discard, stage
+from evenlane.staging import discard, stable, stage
 
 MASK = (1 << 33) - 1
 
@@ -18,8 +18,9 @@ class Lanes:
     """p buckets, and the lanes that rows start in.
 
     block, deal and hash place rows in p lanes by content order over ids. physical deals them over p partitions
-    and writes the runs. inplace takes the input's own partitions as lanes, however many, and moves and
-    writes nothing: the way for large inputs, whose partitions must hold the same rows at each reading.
+    and writes the runs. inplace takes the input's own partitions as lanes, however many and however unlike, and
+    moves and writes nothing: the way for large inputs. An input that is no plain scan is written to a table first,
+    so that its partitions hold the same rows at each reading.
     """
 
     p: int
@@ -33,9 +34,18 @@ class Lanes:
             raise ValueError("a layout by content needs identity columns")
 
 
+LITERALS = 512  # values one generated expression holds; longer lists come as the value of a subquery
+
+
 def by_number(values: list[int], at: Column) -> Column:
-    """values[at] from a literal array: for as many values as there are partitions or lanes."""
-    return F.array(*[F.lit(v).cast("long") for v in values])[at]
+    """values[at]: one value a partition, lane or bucket."""
+    if len(values) <= LITERALS:
+        return F.array(*[F.lit(v).cast("long") for v in values])[at]
+    return SparkSession.active().createDataFrame([(values,)], "a array<bigint>").scalar()[at]
+
+
+def partitions(df: DataFrame) -> int:
+    return df._jdf.queryExecution().toRdd().getNumPartitions()
 
 
 def indexed(df: DataFrame, tag: str) -> tuple[DataFrame, DataFrame]:
@@ -82,34 +92,54 @@ def lane_of(layout: str, p: int, n: int, ids: tuple[str, ...]) -> Column:
 
 @dataclass
 class Run:
-    """The locally sorted, tagged input: a staged table with k0.., lane, pos, and the rows of each lane."""
+    """The tagged input: rows with k0.., lane, pos, and the rows of each lane.
+
+    Layouts by content and physical ones hold sorted runs in a table, pos being the place in the run. In
+    place, pos is the place in the input partition: nothing is sorted before the sample asks for it, and (key, lane, pos)
+    is the same stable order. moves counts the exchanges of rows since they lay in their first lanes.
+    """
 
     df: DataFrame
     spec: SortSpec
     lanes: Lanes
-    lengths: list[int]
+    sizes: list[int] | None = None
+    moves: int = 0
+    total: int | None = None
+
+    @property
+    def lengths(self) -> list[int]:
+        if self.sizes is None:
+            counts = {r["lane"]: r["rows"] for r in self.df.groupBy("lane").agg(F.count("*").alias("rows")).collect()}  # one a lane
+            self.sizes = [counts.get(i, 0) for i in range(max(counts, default=0) + 1)]
+        return self.sizes
+
+    @property
+    def inplace(self) -> bool:
+        return self.lanes.layout == "inplace"
 
     @property
     def n(self) -> int:
-        return sum(self.lengths)
+        return sum(self.lengths) if self.total is None else self.total
 
     def discard(self) -> None:
         discard(self.df)
 
 
+def in_place(keyed: DataFrame) -> DataFrame:
+    """Rows with lane and pos: the partition and the place in it."""
+    d = keyed.withColumn("__id", F.monotonically_increasing_id())
+    return d.withColumns({"lane": F.shiftright("__id", 33).cast("int"), "pos": F.col("__id").bitwiseAND(F.lit(MASK))}).drop("__id")
+
+
 def sorted_run(df: DataFrame, spec: SortSpec, lanes: Lanes, presort: bool = True) -> Run:
     """Place the rows in lanes, sort each lane stably, and tag every row with (lane, pos).
 
-    A layout in place takes no shuffle, a physical one takes one, one by content two. Without presort, pos is
+    A layout in place takes no shuffle and defers the sort, a physical one takes one shuffle, one by content two. Without presort, pos is
     the input order of the lane.
     """
-    keyed = spec.add(df)
     if lanes.layout == "inplace":
-        counts = {r["lane"]: r["rows"] for r in keyed.groupBy(F.spark_partition_id().alias("lane")).agg(F.count("*").alias("rows")).collect()}
-        order = spec.order() if presort else []
-        tagged = (keyed.sortWithinPartitions(*order) if order else keyed).withColumn("__id", F.monotonically_increasing_id())
-        out = tagged.withColumns({"lane": F.shiftright("__id", 33).cast("int"), "pos": F.col("__id").bitwiseAND(F.lit(MASK))}).drop("__id")
-        return Run(out, spec, lanes, [counts.get(i, 0) for i in range(max(counts, default=0) + 1)])
+        return Run(in_place(spec.add(stable(df, "input"))), spec, lanes)
+    keyed = spec.add(df)
     if lanes.layout == "physical":
         placed, order = keyed.repartition(lanes.p), spec.order() if presort else []
         dealt = placed.sortWithinPartitions(*order) if order else placed

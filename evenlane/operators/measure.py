@@ -29,9 +29,11 @@ def sample_share(n: int, p: int, r: int) -> tuple[int, float]:
     return p * p * r, p * p * r / n if n else 0.0
 
 
-def tag_words(n: int, p: int, s: int, key_words: int = 1, tag_all: bool = False) -> int:
-    """Words moved: keys once, plus tags of the sample alone (3 words a sample in all) or of every key."""
-    return 2 * n * key_words if tag_all else n * key_words + 2 * p * s
+def tag_words(result: SortResult, samples: int) -> int:
+    """Words of keys and addresses that the sort moves: what its routed rows carry without the payload, and the tags of its samples."""
+    moved = result.by_keys.columns
+    carried = sum(1 for c in moved if c in result.spec.names)
+    return result.run.n * carried + (2 * samples if result.tagged else 0)
 
 
 def dup_overhead(with_s: float, without_s: float) -> float:

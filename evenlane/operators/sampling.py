@@ -3,12 +3,17 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from evenlane.functions.draws import text
-from evenlane.operators.layout import Run, by_number
+from evenlane.operators.layout import Run, by_number, partitions
+from evenlane.shipping import ship
 
 
 def regular_ratio(n: int, p: int) -> int:
@@ -34,6 +39,56 @@ def claim_size(total: int, k: int, eps: float, rho: float) -> int:
     return math.ceil(s)
 
 
+#: Of a lane in place at most one row in SHARE is sampled, or its part of FEW rows in all, whichever is more.
+SHARE, FEW = 100, 200_000
+
+
+def lane_sample_size(rows: int, s: int | None, lanes: int) -> int:
+    """Samples of a lane of so many rows among so many lanes: s, or the random method's size for all rows as the lane suggests, within SHARE and FEW."""
+    want = random_size(rows * lanes) if s is None else s
+    return max(1, min(want, rows, max(rows // SHARE, FEW // max(1, lanes))))
+
+
+def _lane_sampler(s: int | None, lanes: int, how: str, seed: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = [b for b in batches if b.num_rows]  # the keys of one partition
+        if not held:
+            return
+        t = pa.Table.from_batches(held)
+        group = t.column("group").to_numpy()
+        cuts = [0, *(np.flatnonzero(group[1:] != group[:-1]) + 1).tolist(), len(group)]
+        places, weights = [], []
+        for a, b in zip(cuts, cuts[1:], strict=False):
+            m = lane_sample_size(b - a, s, lanes)
+            ends = (np.arange(1, m + 1, dtype=np.int64) * (b - a)) // m
+            if how == "regular":
+                at = ends - 1
+            else:
+                draw = np.random.default_rng([seed, t.column("lane")[a].as_py(), t.column("pos")[a].as_py()])
+                at = np.sort(draw.choice(b - a, m, replace=False))
+            places.append(a + at)
+            weights.append(np.diff(ends, prepend=0))
+        out = t.take(pa.array(np.concatenate(places))).append_column("weight", pa.array(np.concatenate(weights), pa.int64()))
+        yield from out.combine_chunks().to_batches()
+
+    return run
+
+
+def sample_lanes(run: Run, s: int | None, how: str = "regular", seed: int = 42, presort: bool = True, group: str | None = None) -> DataFrame:
+    """Samples of the partitions as they lie: rows (k0.., lane, pos, group, weight), weight the rows a sample stands for.
+
+    regular: the ends of even segments of the partition in key order, the last its largest key; random: as many places
+    at random. Each group in a partition is sampled apart. Only keys are read and sorted; of n rows at most n / SHARE, or FEW, are taken.
+    """
+    ship(run.df.sparkSession)
+    keys = run.df.select(*sample_keys(run), (F.col(group) if group else F.lit(0)).cast("int").alias("group"))
+    lanes = partitions(keys)
+    if presort:
+        keys = keys.sortWithinPartitions("group", *run.spec.order("lane", "pos"))
+    schema = T.StructType([*keys.schema.fields, T.StructField("weight", T.LongType())])
+    return keys.mapInArrow(_lane_sampler(s, lanes, how, seed), schema)
+
+
 def sample_keys(run: Run) -> list[str]:
     return [*run.spec.names, "lane", "pos"]
 
@@ -44,6 +99,8 @@ def sample_regular(run: Run, s: int, spacing: str = "even") -> DataFrame:
     even: sample j stands at floor((j+1) len / s) - 1, and short lanes give fewer. padded: lanes count as
     equally long and segments as x = ceil(ceil(n/p)/s); positions past the run are pads, which sort last.
     """
+    if run.inplace:
+        raise ValueError("lanes in place are sampled by sample_lanes")
     p, n = len(run.lengths), run.n
     size = by_number(run.lengths, F.col("lane"))
     keys = run.df.select(*sample_keys(run))
@@ -82,6 +139,8 @@ def sample_random(run: Run, s: int, mode: str = "exact", seed: int = 42) -> Data
     exact: the s smallest hashes of a lane. two_step: each of p s draws first chooses a lane, then that many
     of the lane's smallest hashes are taken. bernoulli: every row whose hash is under s / len.
     """
+    if run.inplace:
+        raise ValueError("lanes in place are sampled by sample_lanes")
     p = len(run.lengths)
     h = F.md5(text(seed, "lane", "pos"))
     keys = run.df.select(*sample_keys(run))

@@ -2,24 +2,34 @@
 
 from __future__ import annotations
 
+import contextlib
 import time
 import warnings
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evenlane.functions.spec import SortSpec
+from evenlane.functions.spec import Key, SortSpec
 from evenlane.operators import networks, prefix, sampling
-from evenlane.operators.fences import FenceSet, pick, ranked_sample
+from evenlane.operators.fences import FenceSet, pick, ranked_sample, weighed_fences
 from evenlane.operators.layout import Lanes, Run, by_number, indexed, sorted_run, starts
 from evenlane.operators.split import count_matrix, with_bucket
-from evenlane.plans import bounds
+from evenlane.plans import advisor, bounds
+from evenlane.plans.model import MACHINES, MachineModel
+from evenlane.staging import stage
 
 #: Samples up to this many rows are sorted by one small window; larger ones by the engine's own distributed sort.
 SMALL_SAMPLE = 2_000_000
 
 
+def exchanges(df: DataFrame) -> int:
+    """Exchanges of rows in df's plan; those inside subqueries and cached or staged inputs are not df's own."""
+    plan = df._jdf.queryExecution().executedPlan().toString()
+    return sum(1 for line in plan.split("Subqueries")[0].splitlines() if " Exchange " in f" {line.lstrip(' :+-*()0123456789')}")
+
+
 @dataclass
 class SortResult:
     """What a sort made: the run with its buckets, the fences, and what is derived from them."""
@@ -28,7 +38,6 @@ class SortResult:
     fences: FenceSet
     split: DataFrame  # the run's rows with bucket
     plan: dict
-    rounds: int = 1
     phases: dict[str, float] = field(default_factory=dict)
     tagged: bool = True
 
@@ -40,6 +49,11 @@ class SortResult:
     def p(self) -> int:
         return self.run.lanes.p
 
+    @property
+    def rounds(self) -> int:
+        """Exchanges of all rows from their first lanes to their buckets, as the plans have them."""
+        return self.run.moves + exchanges(self.routed)
+
     @property
     def counts(self) -> DataFrame:
         """Rows (bucket, lane, cnt)."""
@@ -52,7 +66,7 @@ class SortResult:
         return spark.range(self.p).select(F.col("id").cast("int").alias("bucket")).join(have, "bucket", "left").select("bucket", F.coalesce("size", F.lit(0)).cast("long").alias("size"))
 
     def bucket_sizes(self) -> list[int]:
-        size = {r["bucket"]: r["size"] for r in self.sizes().collect()}  # one a bucket
+        size = {r["bucket"]: r["size"] for r in self.split.groupBy("bucket").agg(F.count("*").alias("size")).collect()}  # one a bucket
         return [size.get(i, 0) for i in range(self.p)]
 
     def offsets(self) -> DataFrame:
@@ -66,7 +80,24 @@ class SortResult:
     @property
     def df(self) -> DataFrame:
         """The sorted table: partition b holds bucket b in order of (keys, lane, pos)."""
-        return self.routed.sortWithinPartitions(*self.spec.order("lane", "pos"))
+        return self.routed.sortWithinPartitions(*self.order)
+
+    @property
+    def by_keys(self) -> DataFrame:
+        """The sorted table without tags: they choose a row's bucket and stay behind, so that keys alone are moved and compared.
+
+        Equal keys come in any order. A single key of fixed width is sorted by radix where the session allows.
+        """
+        return self.split.drop("lane", "pos").repartitionById(self.p, "bucket").sortWithinPartitions(*self.spec.order())
+
+    @property
+    def order(self) -> list[Column]:
+        return self.spec.order("lane", "pos")
+
+    @property
+    def windowed(self) -> DataFrame:
+        """The sorted table ordered for windows over buckets, which then take no exchange of their own."""
+        return self.routed.sortWithinPartitions("bucket", *self.order)
 
     def with_rank(self, name: str = "rank") -> DataFrame:
         """The sorted table with its 1-based position: the bucket's start plus the local index."""
@@ -77,14 +108,19 @@ class SortResult:
 
 
 def sort_sample(sample: DataFrame, run: Run, how: str, s: int) -> DataFrame:
-    """The sample ranked: by the driver's window, Spark's distributed sort, a network, or the method itself."""
+    """The sample ranked: by the driver's window, Spark's distributed sort, a network, or the method itself, whose own sample is small."""
     p, spec = run.lanes.p, run.spec
     if how == "driver" and s * p <= SMALL_SAMPLE:
         return ranked_sample(sample, spec)
     if how in ("bitonic", "odd_even"):
         schedule = networks.bitonic_schedule(p) if how == "bitonic" else networks.odd_even_schedule(p)
         return networks.network_sort(sample, spec, p, schedule)
-    if how in ("spark", "driver", "recursive"):
+    if how == "recursive":
+        t = stage(sample, "sample")
+        keyed = SortSpec((Key("pad"), *[Key(n, k.asc, k.nulls_first) for n, k in zip(spec.names, spec.keys, strict=True)], Key("lane"), Key("pos"), Key("j")))
+        inner = regular_sort(t, keyed, Lanes(p, layout="inplace"), dup=False).with_rank("rank")
+        return inner.select("rank", "pad", "j", *[F.col(f"k{i + 1}").alias(n) for i, n in enumerate(spec.names)], F.col(f"k{len(spec.keys) + 1}").alias("lane"), F.col(f"k{len(spec.keys) + 2}").alias("pos"))
+    if how in ("spark", "driver"):
         t, counts = indexed(sample.repartitionByRange(max(1, p), "pad", *spec.order("lane", "pos")).sortWithinPartitions("pad", *spec.order("lane", "pos", "j")), "sample")
         rows = [(r["__part"], r["rows"]) for r in counts.collect()]
         base = starts(rows, max([r[0] for r in rows], default=0) + 1)
@@ -92,12 +128,33 @@ def sort_sample(sample: DataFrame, run: Run, how: str, s: int) -> DataFrame:
     raise ValueError(f"unknown sample sort {how}")
 
 
+def lane_fences(run: Run, s: int | None, how: str, seed: int = 42, presort: bool = True) -> FenceSet:
+    """p - 1 fences from weighted samples of the run's partitions; the run learns its number of rows."""
+    found = weighed_fences(sampling.sample_lanes(run, s, how, seed, presort), run.spec, run.lanes.p).get(0, (0, {}))
+    run.total = found[0]
+    return FenceSet(run.spec, tuple(found[1][i] for i in sorted(found[1])))
+
+
 def _timed(phases: dict[str, float], name: str, since: float) -> float:
     now = time.perf_counter()
     phases[name] = phases.get(name, 0.0) + now - since
     return now
 
 
+@contextlib.contextmanager
+def local_sort(spark: SparkSession, local: str) -> Iterator[None]:
+    """Spark's radix sort of single fixed-width keys on or off for what runs inside."""
+    if local not in ("radix", "cmp"):
+        raise ValueError(f"unknown local sort {local}")
+    name = "spark.sql.sort.enableRadixSort"
+    old = spark.conf.get(name)
+    spark.conf.set(name, "true" if local == "radix" else "false")
+    try:
+        yield
+    finally:
+        spark.conf.set(name, old)
+
+
 def regular_sort(
     df: DataFrame, spec: SortSpec, lanes: Lanes, r: int | None = None, split: str = "tree", sample_sort: str = "driver", dup: bool = True, spacing: str = "even", local: str = "radix"
 ) -> SortResult:
@@ -105,120 +162,136 @@ def regular_sort(
 
     No bucket is larger than (s + p - 1) x, x the segment length, whatever the keys: repeated keys are told
     apart by (lane, pos), which only samples and fences carry. dup=False compares keys alone. Empty and
-    short inputs give empty buckets.
+    short inputs give empty buckets. In place, one job sorts and samples the keys of each input partition, samples
+    weigh as many rows as they stand for, and r is at most 6, the method's ratio for fewer than 2^64 rows.
     """
-    phases: dict[str, float] = {}
+    with local_sort(df.sparkSession, local):
+        t = time.perf_counter()
+        run = sorted_run(df, spec, lanes)
+        phases: dict[str, float] = {}
+        _timed(phases, "local sort", t)
+        return regular_from(run, r, split, sample_sort, dup, spacing, phases)
+
+
+def regular_from(run: Run, r: int | None = None, split: str = "tree", sample_sort: str = "driver", dup: bool = True, spacing: str = "even", phases: dict[str, float] | None = None) -> SortResult:
+    """The deterministic method from a run on."""
+    phases = {} if phases is None else phases
     t = time.perf_counter()
-    p = lanes.p
-    run = local_run(df, spec, lanes, local)
-    t = _timed(phases, "local sort", t)
-    r = r or sampling.regular_ratio(run.n, p)
+    p, spec = run.lanes.p, run.spec
+    r = r or (6 if run.inplace else sampling.regular_ratio(run.n, p))
     if r < 1:
         raise ValueError("the oversampling ratio must be at least 1")
-    for w in bounds.regular_conditions(run.n, p, r):
-        warnings.warn(w, stacklevel=2)
     s = r * p
-    sample = sampling.sample_regular(run, s, spacing)
-    whole = len(run.lengths) == p and (spacing == "padded" or all(run.lengths))
-    fences = pick(sort_sample(sample, run, sample_sort, s), spec, p, s if whole else None) if p > 1 and run.n else FenceSet(spec, ())
-    t = _timed(phases, "sampling", t)
-    out = SortResult(run, fences, with_bucket(run.df, fences, split, dup), {"method": "regular", "p": p, "r": r, "s": s, "spacing": spacing, "split": split, "sample_sort": sample_sort, "dup": dup}, tagged=dup)
-    out.phases = phases
-    return out
+    if p == 1:
+        fences, count = FenceSet(spec, ()), p
+    elif run.inplace:
+        fences, count = lane_fences(run, s, "regular"), sampling.partitions(run.df)
+    else:
+        sample, count = sampling.sample_regular(run, s, spacing), p
+        whole = len(run.lengths) == p and (spacing == "padded" or all(run.lengths))
+        fences = pick(sort_sample(sample, run, sample_sort, s), spec, p, s if whole else None) if run.n else FenceSet(spec, ())
+    if p > 1:
+        for w in bounds.regular_conditions(run.n, p, r, count):
+            warnings.warn(w, stacklevel=3)
+    _timed(phases, "sampling", t)
+    plan = {"method": "regular", "p": p, "r": r, "s": s, "spacing": spacing, "split": split, "sample_sort": sample_sort, "dup": dup}
+    return SortResult(run, fences, with_bucket(run.df, fences, split, dup), plan, phases, dup)
 
 
 def local_run(df: DataFrame, spec: SortSpec, lanes: Lanes, local: str, presort: bool = True) -> Run:
-    """The sorted run, with Spark's radix sort of key prefixes on or off while it is written (a run in place is not)."""
-    if local not in ("radix", "cmp"):
-        raise ValueError(f"unknown local sort {local}")
-    conf, name = df.sparkSession.conf, "spark.sql.sort.enableRadixSort"
-    old = conf.get(name)
-    conf.set(name, "true" if local == "radix" else "false")
-    try:
+    """The run, with Spark's radix sort of key prefixes on or off while it is written."""
+    with local_sort(df.sparkSession, local):
         return sorted_run(df, spec, lanes, presort)
-    finally:
-        conf.set(name, old)
 
 
 def presorted_random_sort(
     df: DataFrame, spec: SortSpec, lanes: Lanes, s: int | None = None, mode: str = "exact", seed: int = 42, split: str = "tree", sample_sort: str = "driver", dup: bool = True, local: str = "radix"
 ) -> SortResult:
     """The deterministic sort's skeleton with s random samples of each lane's sorted run."""
-    phases: dict[str, float] = {}
-    t = time.perf_counter()
-    p = lanes.p
-    run = local_run(df, spec, lanes, local)
-    t = _timed(phases, "local sort", t)
-    s = s or sampling.random_size(run.n)
-    fences = random_fences(run, s, mode, seed, sample_sort)
-    t = _timed(phases, "sampling", t)
-    out = SortResult(run, fences, with_bucket(run.df, fences, split, dup), {"method": "presorted_random", "p": p, "s": s, "mode": mode, "seed": seed, "split": split, "sample_sort": sample_sort, "dup": dup}, tagged=dup)
-    out.phases = phases
-    return out
-
-
-def random_fences(run: Run, s: int, mode: str, seed: int, sample_sort: str = "driver") -> FenceSet:
+    with local_sort(df.sparkSession, local):
+        phases: dict[str, float] = {}
+        t = time.perf_counter()
+        run = sorted_run(df, spec, lanes)
+        t = _timed(phases, "local sort", t)
+        s = s or (None if run.inplace else sampling.random_size(run.n))
+        fences = random_fences(run, s, mode, seed, sample_sort)
+        _timed(phases, "sampling", t)
+    plan = {"method": "presorted_random", "p": lanes.p, "s": s, "mode": mode, "seed": seed, "split": split, "sample_sort": sample_sort, "dup": dup}
+    return SortResult(run, fences, with_bucket(run.df, fences, split, dup), plan, phases, dup)
+
+
+def random_fences(run: Run, s: int | None, mode: str, seed: int, sample_sort: str = "driver", presort: bool = True) -> FenceSet:
     p = run.lanes.p
-    if p == 1 or not run.n:
+    if p == 1:
+        return FenceSet(run.spec, ())
+    if run.inplace:
+        return lane_fences(run, s, "random", seed, presort)
+    if not run.n:
         return FenceSet(run.spec, ())
     sample = sampling.sample_random(run, s, mode, seed)
     whole = mode == "exact" and len(run.lengths) == p and min(run.lengths) >= s
     return pick(sort_sample(sample, run, sample_sort, s), run.spec, p, s if whole else None)
 
 
-def classic_random_sort(df: DataFrame, spec: SortSpec, lanes: Lanes, s: int | None = None, seed: int = 42, dup: bool = True) -> SortResult:
+def classic_random_sort(df: DataFrame, spec: SortSpec, lanes: Lanes, s: int | None = None, seed: int = 42, dup: bool = True, split: str = "tree") -> SortResult:
     """Traditional sample sort: rows are sampled and routed unsorted, each by its own search among the fences, and sorted after.
 
-    A row's address is its input position in its lane.
+    A row's address is its input position in its lane. split="integer" forms the buckets in each lane first.
     """
     run = sorted_run(df, spec, lanes, presort=False)
-    s = s or sampling.random_size(run.n)
-    fences = random_fences(run, s, "exact", seed)
-    return SortResult(run, fences, with_bucket(run.df, fences, "tree", dup), {"method": "classic_random", "p": lanes.p, "s": s, "seed": seed, "dup": dup}, tagged=dup)
+    s = s or (None if run.inplace else sampling.random_size(run.n))
+    fences = random_fences(run, s, "exact", seed, presort=False)
+    rows = with_bucket(run.df, fences, "tree", dup)
+    if split == "integer":
+        rows = formed_buckets(rows)
+    return SortResult(run, fences, rows, {"method": "classic_random", "p": lanes.p, "s": s, "seed": seed, "dup": dup, "split": split}, tagged=dup)
+
+
+def formed_buckets(split: DataFrame) -> DataFrame:
+    """Each lane's rows ordered by bucket alone, a small integer that is sorted by radix: blocks before the route, each in input order."""
+    return split.sortWithinPartitions("bucket")
 
 
 def iterated_sort(df: DataFrame, spec: SortSpec, lanes: Lanes, k: int, rounds: int, r: int = 4, method: str = "regular", seed: int = 42) -> SortResult:
-    """p = k^rounds buckets in rounds of k: each round splits every group of lanes by k - 1 fences of its own.
+    """p = k^rounds buckets in rounds of k, each of which moves all rows: for p beyond what one round's sample and blocks allow.
 
-    After a round a group's rows are dealt in contiguous blocks to its lanes; rows keep their first tags,
-    so the order and stability are those of one round.
+    A round samples every lane, finds k - 1 fences for each group of lanes in one pass over all samples, and sends
+    a lane's k blocks to one lane each of their new groups, so a lane writes k blocks and not p. Moved rows are written to a table;
+    the last round's exchange is the result's. Rows keep their first tags, so order and stability are those of one round.
     """
     p = lanes.p
     if k**rounds != p:
         raise ValueError("p must be k to the number of rounds")
-    run = sorted_run(df, spec, lanes)
+    first = run = sorted_run(df, spec, lanes)
     cur = run.df.withColumn("group", F.lit(0))
-    last = FenceSet(spec, ())
+    known: dict[int, dict] = {}  # bucket of this level -> the fence it lies above
+    s = r * k if method == "regular" else None
     for level in range(rounds):
-        groups, width = k**level, p // k**level
-        # lanes of this round: contiguous blocks of the group's rows in the order of their tags
-        sizes = {x["group"]: x["count"] for x in cur.groupBy("group").count().collect()}  # at most p
-        fences: dict[int, FenceSet] = {}
-        for g in range(groups):
-            if not sizes.get(g):
-                continue
-            part = cur.where(F.col("group") == g)
-            lanes_g = part.withColumn("home", F.col("lane") % width) if level else part.withColumn("home", F.col("lane"))
-            counts = {x["home"]: x["count"] for x in lanes_g.groupBy("home").count().collect()}
-            lens = [counts.get(i, 0) for i in range(max(counts, default=0) + 1)]
-            if level:
-                t, c = indexed(lanes_g.repartitionById(len(lens), "home").sortWithinPartitions(*spec.order("lane", "pos")), "round")
-                lens_by = {x["__part"]: x["rows"] for x in c.collect()}
-                lens = [lens_by.get(i, 0) for i in range(len(lens))]
-                view = t.select(*spec.names, F.col("lane").alias("o_lane"), F.col("pos").alias("o_pos"), F.col("__part").alias("lane"), F.col("__at").alias("pos"))
-            else:
-                view = part.select(*spec.names, F.col("lane").alias("o_lane"), F.col("pos").alias("o_pos"), "lane", "pos")
-            sub = Run(view, spec, Lanes(len(lens), layout="physical"), lens)
-            s = r * k
-            smp = sampling.sample_regular(sub, s) if method == "regular" else sampling.sample_random(sub, s, "exact", seed + level)
-            smp = smp.join(view.select("lane", "pos", "o_lane", "o_pos"), ["lane", "pos"]).drop("lane", "pos").withColumnsRenamed({"o_lane": "lane", "o_pos": "pos"})
-            fences[g] = pick(ranked_sample(smp, spec), spec, k)
-        bucket = F.lit(0)
-        for g, f in fences.items():
-            from evenlane.operators.split import tree
-
-            bucket = F.when(F.col("group") == g, F.lit(g * k) + (tree(f) if len(f) else F.lit(0))).otherwise(bucket)
-        cur = cur.withColumn("group", bucket.cast("int"))
-        last = fences.get(0, last)
-    split = cur.withColumn("bucket", F.col("group")).drop("group")
-    return SortResult(run, last, split, {"method": "iterated", "p": p, "k": k, "rounds": rounds, "r": r}, rounds=rounds)
+        found = weighed_fences(sampling.sample_lanes(Run(cur, spec, lanes), s, method, seed + level, group="group"), spec, k)
+        first.total = sum(x[0] for x in found.values()) if not level else first.total
+        known = {b * k: f for b, f in known.items()} | {g * k + i: f for g, (_, fences) in found.items() for i, f in fences.items()}
+        names = sorted(known)
+        fences = FenceSet(spec, tuple(known[b] for b in names), (0, *names))
+        cur = with_bucket(cur.drop("group"), fences).withColumnRenamed("bucket", "group")
+        if level < rounds - 1:
+            width = p // k ** (level + 1)
+            home = (F.col("group") * width + F.pmod(F.spark_partition_id(), F.lit(width))).cast("int")
+            moved = cur.withColumn("home", home).repartitionById(p, "home").drop("home")
+            run = Run(stage(moved, "round"), spec, lanes, moves=run.moves + exchanges(moved))
+            cur = run.df
+    run = Run(run.df.drop("group"), spec, lanes, moves=run.moves, total=first.n)
+    return SortResult(run, fences, cur.withColumnRenamed("group", "bucket"), {"method": "iterated", "p": p, "k": k, "rounds": rounds, "r": r})
+
+
+def balanced_sort(df: DataFrame, spec: SortSpec, p: int, machine: MachineModel | None = None, rows: int | None = None) -> SortResult:
+    """The sort that the advisor chooses for the input in place: method, ratio, rounds and arity from its rows, partitions and the machine.
+
+    rows is counted where it is not given. With rounds, p grows to the next power of the arity.
+    """
+    n = df.count() if rows is None else rows
+    plan = advisor.choose(machine or MachineModel(p, *MACHINES[min(3, max(0, p.bit_length() - 5))][1:]), n, lanes=sampling.partitions(df), p=p)
+    if plan.rounds > 1:
+        return iterated_sort(df, spec, Lanes(plan.k**plan.rounds, layout="inplace"), plan.k, plan.rounds, r=max(1, min(6, plan.ratio)))
+    if plan.method == "regular":
+        return regular_sort(df, spec, Lanes(p, layout="inplace"), r=plan.ratio, split=plan.split)
+    return presorted_random_sort(df, spec, Lanes(p, layout="inplace"), s=plan.ratio, split=plan.split)

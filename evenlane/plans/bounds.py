@@ -28,18 +28,29 @@ def claim_probability(n: int, rho: float) -> float:
     return float(n) ** -rho
 
 
-def regular_conditions(n: int, p: int, r: int) -> list[str]:
+def synchronisation_fits(n: int, p: int, l_ops: float) -> bool:
+    """L <= 2 n / (p lg^2 p): the work outweighs synchronisation."""
+    return p < 2 or l_ops <= 2 * n / (p * math.log2(p) ** 2)
+
+
+def regular_conditions(n: int, p: int, r: int, lanes: int | None = None, l_ops: float | None = None) -> list[str]:
+    """Which conditions of the deterministic method fail: on the sample of all lanes and, given L, on synchronisation."""
+    w = lanes or p
     out = []
-    if n > 2 and p * p * r * r > n / math.log2(n):
-        out.append(f"p^2 r^2 = {p * p * r * r} is over n / lg n = {n / math.log2(n):.0f}: the sample is no longer a small share of the work")
+    if n > 2 and w * p * r * r > n / math.log2(n):
+        out.append(f"lanes p r^2 = {w * p * r * r} is over n / lg n = {n / math.log2(n):.0f}: the sample is no longer a small share of the work")
+    if l_ops is not None and not synchronisation_fits(n, p, l_ops):
+        out.append("L is over 2 n / (p lg^2 p): synchronisation outweighs the work")
     return out
 
 
-def random_conditions(n: int, p: int, omega: float) -> list[str]:
+def random_conditions(n: int, p: int, omega: float, l_ops: float | None = None) -> list[str]:
     lg = math.log2(max(2, n))
     out = []
     if 2 * p * omega**2 * lg >= n / 2:
         out.append("the sample is half of the keys or more")
     if p * p > n / (omega * lg):
         out.append("p^2 is over n / (w lg n)")
+    if l_ops is not None and not synchronisation_fits(n, p, l_ops):
+        out.append("L is over 2 n / (p lg^2 p): synchronisation outweighs the work")
     return out

@@ -7,8 +7,12 @@ import time
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evenlane.operators.sorts import SortResult
+from evenlane.functions.spec import SortSpec
+from evenlane.operators.layout import Lanes, Run, sorted_run
+from evenlane.operators.sorts import SortResult, lane_fences, local_sort
+from evenlane.operators.split import with_bucket
 from evenlane.plans.model import MachineModel, lg
+from evenlane.staging import stable
 
 
 def _seconds(f) -> float:
@@ -30,19 +34,68 @@ def measure(spark: SparkSession, p: int = 8, rows: int = 400_000) -> MachineMode
     return MachineModel(p, sync * 1e6, g_us, max(1e-3, per * lg(per) / max(1e-6, (order - scan) * 1e6)))
 
 
-def profile(sort, df: DataFrame, spec, lanes, **options) -> tuple[SortResult, dict[str, float]]:
-    """(result, seconds by phase): local sort and sampling as the sort times them, then prefix, routing and merging."""
-    res: SortResult = sort(df, spec, lanes, **options)
-    phases = dict(res.phases)
-    phases["prefix"] = _seconds(lambda: res.offsets().collect())
-    phases["routing"] = _seconds(lambda: res.routed.write.format("noop").mode("overwrite").save())
-    phases["merging"] = max(0.0, _seconds(lambda: res.df.write.format("noop").mode("overwrite").save()) - phases["routing"])
-    return res, phases
+PHASES = ("init", "local sort", "sampling", "extra routing", "prefix", "routing", "merging", "termination")
+
+
+def _sink(df: DataFrame) -> float:
+    return _seconds(lambda: df.write.format("noop").mode("overwrite").save())
+
+
+def profile(method: str, df: DataFrame, spec: SortSpec, p: int, local: str = "radix", seed: int = 42) -> tuple[SortResult, dict[str, float]]:
+    """(result, seconds by phase) of regular, presorted_random or two_round_regular over the partitions of df as lanes.
+
+    Each phase starts from what the one before left in memory, and is its time less that of reading this: init reads
+    the lanes, local sort orders them, sampling finds the fences, extra routing is the first round of a method with two, prefix
+    counts blocks and adds them up, routing moves rows to their buckets, merging orders them there, termination gives the memory back.
+    """
+    spark = df.sparkSession
+    held: list[DataFrame] = []
+
+    def keep(d: DataFrame) -> tuple[DataFrame, float]:
+        """(d in memory, seconds to read it from there)"""
+        out = d.persist()
+        held.append(out)
+        out.count()
+        return out, min(_sink(out) for _ in range(2))
+
+    out = dict.fromkeys(PHASES, 0.0)
+    with local_sort(spark, local):
+        lanes, out["init"] = keep(stable(df, "lanes"))
+        run = sorted_run(lanes, spec, Lanes(p, layout="inplace"))
+        ordered = run.df.sortWithinPartitions(*spec.order())
+        _sink(ordered)
+        out["local sort"] = max(0.0, _sink(ordered) - out["init"])
+        run.df, scan = keep(ordered)
+        if method == "two_round_regular":
+            dealt = run.df.withColumn("home", (F.col("pos") % p).cast("int")).repartitionById(p, "home").drop("home").sortWithinPartitions(*spec.order())
+            out["extra routing"] = max(0.0, _sink(dealt) - scan)
+            second, scan = keep(dealt)
+            run = Run(second, spec, run.lanes, moves=1)
+        how = "random" if method == "presorted_random" else "regular"
+        t = _seconds(lambda: lane_fences(run, None if how == "random" else 6 * p, how, seed, presort=False))
+        fences = lane_fences(run, None if how == "random" else 6 * p, how, seed, presort=False)
+        out["sampling"] = t
+        split, read = keep(with_bucket(run.df, fences))
+        res = SortResult(run, fences, split, {"method": method, "p": p}, tagged=True)
+        out["prefix"] = _seconds(lambda: res.offsets().collect())
+        moved = split.drop("lane", "pos").repartitionById(p, "bucket")
+        _sink(moved)
+        out["routing"] = max(0.0, _sink(moved) - read)
+        routed, read = keep(moved)
+        out["merging"] = max(0.0, _sink(routed.sortWithinPartitions(*spec.order())) - read)
+
+        def release() -> None:
+            for d in held:
+                d.unpersist()
+
+        out["termination"] = _seconds(release)
+    res = SortResult(sorted_run(df, spec, Lanes(p, layout="inplace")), fences, res.split, res.plan)
+    return res, {k: v for k, v in out.items() if v or k != "extra routing"}
 
 
 def observed_g(routing_s: float, sizes: list[int]) -> float:
     """Microseconds a record that the fullest bucket's routing took."""
-    return routing_s * 1e6 / max(1, max(sizes))
+    return routing_s * 1e6 / max(1, *sizes)
 
 
 def efficiency(sequential_s: float, parallel_s: float, p: int) -> float:

@@ -10,22 +10,17 @@ from pyspark.sql import functions as F
 from evenlane.functions.spec import Key, SortSpec
 from evenlane.operators import baselines, networks, prefix, sampling
 from evenlane.operators.layout import Lanes, sorted_run
-from evenlane.operators.sorts import SortResult, classic_random_sort, iterated_sort, presorted_random_sort, regular_sort, sort_sample
+from evenlane.operators.sorts import SortResult, balanced_sort, classic_random_sort, iterated_sort, presorted_random_sort, regular_sort, sort_sample
 from evenlane.operators.split import count_matrix, with_bucket
 from evenlane.plans import oracle
 from evenlane.plans.oracle import Source
 from evenlane.sources.tables import IDS, read
+from evenlane.staging import stage
 
 P, R = 8, 4
 QUERIES: dict[str, Callable] = {}
 ORACLE_SQL: dict[str, str] = {}
 
-#: Rows of the random samples a lane, at the scale of the correctness tables: 2 lg^2 n.
-RANDOM_S = {"lineitem": 504, "orders": 385, "events": 353}
-
-
-
-
 def shown(df: DataFrame, table: str, spec: SortSpec, *more: str) -> DataFrame:
     return df.select(*IDS[table], *spec.names, F.col("lane").cast("int").alias("lane"), "pos", *more, "rank")
 
@@ -46,8 +41,9 @@ def regular_sql(table: str, spec: SortSpec, p: int = P, r: int = R, layout: str
     return oracle.runs(source(table), spec, p, layout) + oracle.regular_sample(r * p, p, spacing) + oracle.fences(p, r * p) + oracle.buckets(tagged) + (tail or oracle.ranks(source(table), spec))
 
 
-def random_sql(table: str, spec: SortSpec, s: int, seed: int = 42, tagged: bool = True, tail: str | None = None, unsorted: bool = False) -> str:
+def random_sql(table: str, spec: SortSpec, s: int | None = None, seed: int = 42, tagged: bool = True, tail: str | None = None, unsorted: bool = False) -> str:
     start = oracle.unsorted_runs if unsorted else oracle.runs
+    s = s or oracle.random_size(table)
     return start(source(table), spec, P) + oracle.random_sample(s, seed) + oracle.fences(P, s) + oracle.buckets(tagged) + (tail or oracle.ranks(source(table), spec))
 
 
@@ -102,28 +98,27 @@ for _n, (_t, _k, _o) in REGULAR.items():
     _regular(_n, _t, _k, _o)
 
 
-def _sized(sort: Callable, table: str) -> Callable:
-    """The sort with the query's sample size."""
+def _laid(sort: Callable, table: str, **options) -> Callable:
+    """The sort over the table's layout by content, its sample of the method's own size."""
 
     def run(df, spec):
-        return sort(df, spec, Lanes(P, IDS[table]), s=RANDOM_S[table])
+        return sort(df, spec, Lanes(P, IDS[table]), **options)
 
     return run
 
 
 for _n, _key in (("partkey", "l_partkey"), ("price", "l_extendedprice"), ("returnflag", "l_returnflag"), ("constant", "1")):
     _spec = SortSpec.of(_key)
-    rank_query(f"random_sort_{_n}", "lineitem", _spec, _sized(presorted_random_sort, "lineitem"), random_sql("lineitem", _spec, 504))
-    rank_query(f"classic_sort_{_n}", "lineitem", _spec, _sized(classic_random_sort, "lineitem"), random_sql("lineitem", _spec, 504, unsorted=True))
+    rank_query(f"random_sort_{_n}", "lineitem", _spec, _laid(presorted_random_sort, "lineitem"), random_sql("lineitem", _spec))
+    rank_query(f"classic_sort_{_n}", "lineitem", _spec, _laid(classic_random_sort, "lineitem"), random_sql("lineitem", _spec, unsorted=True))
+rank_query("classic_sort_integer", "lineitem", SortSpec.of("l_partkey"), _laid(classic_random_sort, "lineitem", split="integer"), random_sql("lineitem", SortSpec.of("l_partkey"), unsorted=True))
 
-_spec = SortSpec.of("o_totalprice")
+_spec, _s = SortSpec.of("o_totalprice"), oracle.random_size("orders")
 rank_query(
-    "random_sort_two_step", "orders", _spec, lambda df, spec: presorted_random_sort(df, spec, Lanes(P, IDS["orders"]), s=385, mode="two_step"),
-    oracle.runs(source("orders"), _spec, P) + oracle.two_step_sample(385, P, 42) + oracle.fences(P, None) + oracle.buckets() + oracle.ranks(source("orders"), _spec),
+    "random_sort_two_step", "orders", _spec, _laid(presorted_random_sort, "orders", mode="two_step"),
+    oracle.runs(source("orders"), _spec, P) + oracle.two_step_sample(_s, P, 42) + oracle.fences(P, None) + oracle.buckets() + oracle.ranks(source("orders"), _spec),
 )
-rank_query(
-    "random_sort_radix", "lineitem", SortSpec.of("l_linenumber"), lambda df, spec: presorted_random_sort(df, spec, Lanes(P, IDS["lineitem"]), s=504, local="radix"), random_sql("lineitem", SortSpec.of("l_linenumber"), 504)
-)
+rank_query("random_sort_radix", "lineitem", SortSpec.of("l_linenumber"), _laid(presorted_random_sort, "lineitem", local="radix"), random_sql("lineitem", SortSpec.of("l_linenumber")))
 
 
 def plain_rank(name: str, table: str, key: str, run_: Callable[[DataFrame, SortSpec, Lanes], SortResult | DataFrame], p: int = P, unsorted: bool = False, narrow: bool = False) -> None:
@@ -146,10 +141,10 @@ plain_rank("iterated_sort_m2", "lineitem", "l_partkey", lambda d, s, l: iterated
 plain_rank("binary_rounds_sort", "orders", "o_totalprice", baselines.binary_rounds)
 plain_rank("kway_rounds_sort", "orders", "o_totalprice", lambda d, s, l: baselines.kway_rounds(d, s, l, 4), p=16)
 plain_rank("two_round_sort", "lineitem", "l_partkey", baselines.two_round_regular)
-plain_rank("two_round_random_sort", "lineitem", "l_partkey", lambda d, s, l: baselines.two_round_random(d, s, l, 504))
+plain_rank("two_round_random_sort", "lineitem", "l_partkey", baselines.two_round_random)
 plain_rank("tag_all_sort", "lineitem", "l_returnflag", baselines.tag_all)
 plain_rank("plain_regular_sort", "orders", "o_orderkey", baselines.plain_regular)
-plain_rank("sample_sort_untagged", "orders", "o_orderkey", lambda d, s, l: baselines.sample_sort_untagged(d, s, l, 385), unsorted=True)
+plain_rank("sample_sort_untagged", "orders", "o_orderkey", baselines.sample_sort_untagged, unsorted=True)
 plain_rank("range_exchange_sort", "orders", "o_totalprice", baselines.range_exchange)
 plain_rank("comparator_sort", "orders", "o_totalprice", baselines.callback_sort)
 plain_rank("sequential_sort", "orders", "o_totalprice", lambda d, s, l: baselines.sequential(d, s, IDS["orders"]), p=1)
@@ -160,6 +155,24 @@ plain_rank("radix_sort_partkey", "lineitem", "l_partkey", lambda d, s, l: networ
 plain_rank("column_sort_events", "events", "value", lambda d, s, l: networks.column_sort(sorted_run(d, s, l), 4))
 
 
+def in_place_rank(name: str, table: str, keys: tuple, sort: Callable[[DataFrame, SortSpec], SortResult]) -> None:
+    """A query over the table's own partitions, spread over files first: keys that are unique have one rank whatever the lanes."""
+    spec = SortSpec.of(*keys)
+
+    def run(spark, sf_dir):
+        spread = stage(read(spark, sf_dir, table, list(IDS[table])).repartition(6), "spread")
+        return sort(spread, spec).with_rank().select(*IDS[table], "rank")
+
+    ids = ", ".join(IDS[table])
+    QUERIES[name], ORACLE_SQL[name] = run, f"SELECT {ids}, row_number() OVER (ORDER BY {spec.sql_order()}, {ids}) AS rank FROM {table}"
+
+
+in_place_rank("inplace_regular_sort", "events", ("event_id % 97", "event_id"), lambda d, s: regular_sort(d, s, Lanes(P, layout="inplace")))
+in_place_rank("inplace_random_sort", "events", ("event_id % 97", Key("event_id", False)), lambda d, s: presorted_random_sort(d, s, Lanes(P, layout="inplace")))
+in_place_rank("inplace_iterated_sort", "events", ("event_id % 97", "event_id"), lambda d, s: iterated_sort(d, s, Lanes(16, layout="inplace"), 4, 2))
+in_place_rank("advised_sort", "events", ("event_id % 97", "event_id"), lambda d, s: balanced_sort(d, s, 8))
+
+
 def step(name: str, table: str, key: str, run_: Callable, sql_tail: str, random: bool = False, spacing: str = "even", s: int = R * P) -> None:
     spec = SortSpec.of(key)
 
@@ -179,7 +192,7 @@ QUERIES["random_sample_quotas"] = lambda spark, sf_dir: _cols(sampling.sample_ra
 ORACLE_SQL["random_sample_quotas"] = oracle.runs(source("lineitem"), SortSpec.of("l_partkey"), P) + oracle.two_step_sample(504, P, 42) + _REAL
 
 _RANKED = oracle.fences(P, R * P) + " SELECT run.k0, ranked.lane, ranked.pos, ranked.rk AS rank FROM ranked JOIN run ON run.lane = ranked.lane AND run.pos = ranked.pos"
-for _how in ("driver", "spark", "bitonic", "odd_even"):
+for _how in ("driver", "spark", "bitonic", "odd_even", "recursive"):
     step(
         f"sample_sorted_{_how}", "lineitem", "l_partkey",
         lambda r, how=_how: sort_sample(sampling.sample_regular(r, R * P), r, how, R * P).select("k0", F.col("lane").cast("int").alias("lane"), "pos", F.col("rank").cast("long").alias("rank")), _RANKED,
@@ -199,8 +212,8 @@ def _fence_rows(table: str, key: str, sort: Callable):
 for _n, _key in (("partkey", "l_partkey"), ("returnflag", "l_returnflag")):
     QUERIES[f"fences_regular_{_n}"] = _fence_rows("lineitem", _key, lambda d, s: regular_sort(d, s, Lanes(P, IDS["lineitem"]), r=R))
     ORACLE_SQL[f"fences_regular_{_n}"] = oracle.runs(source("lineitem"), SortSpec.of(_key), P) + oracle.regular_sample(R * P, P) + oracle.fences(P, R * P) + _FENCES
-    QUERIES[f"fences_random_{_n}"] = _fence_rows("lineitem", _key, _sized(presorted_random_sort, "lineitem"))
-    ORACLE_SQL[f"fences_random_{_n}"] = oracle.runs(source("lineitem"), SortSpec.of(_key), P) + oracle.random_sample(504, 42) + oracle.fences(P, 504) + _FENCES
+    QUERIES[f"fences_random_{_n}"] = _fence_rows("lineitem", _key, _laid(presorted_random_sort, "lineitem"))
+    ORACLE_SQL[f"fences_random_{_n}"] = oracle.runs(source("lineitem"), SortSpec.of(_key), P) + oracle.random_sample(oracle.random_size("lineitem"), 42) + oracle.fences(P, oracle.random_size("lineitem")) + _FENCES
 
 _flag = SortSpec.of("l_returnflag")
 for _how in ("tree", "cuts", "merge", "search"):

@@ -77,6 +77,18 @@ c AS (SELECT step, stage, 1 << j AS d, i, xor(i, 1 << j) AS o, (i & (1 << stage)
 SELECT CAST(step AS INTEGER) AS step, CAST(stage AS INTEGER) AS stage, CAST(d AS INTEGER) AS distance, CAST(CASE WHEN up THEN i ELSE o END AS INTEGER) AS low_lane,
   CAST(CASE WHEN up THEN o ELSE i END AS INTEGER) AS high_lane FROM c WHERE i < o"""
 QUERIES["odd_even_schedule_table"] = _schedule(odd_even_schedule)
+ORACLE_SQL["odd_even_schedule_table"] = """
+WITH s AS (SELECT k, m, row_number() OVER (ORDER BY k, m DESC) - 1 AS step FROM (SELECT unnest(range(0, 4)) AS k), (SELECT unnest(range(0, 4)) AS m) WHERE m <= k),
+c AS (SELECT *, CAST(1 AS BIGINT) << k AS block, CAST(1 AS BIGINT) << m AS d FROM s, (SELECT unnest(range(0, 16)) AS lo))
+SELECT CAST(step AS INTEGER) AS step, CAST(k + 1 AS INTEGER) AS stage, CAST(d AS INTEGER) AS distance, CAST(lo AS INTEGER) AS low_lane, CAST(lo + d AS INTEGER) AS high_lane FROM c
+WHERE lo + d < 16 AND lo >= d % block AND (lo - d % block) % (2 * d) < d AND lo // (2 * block) = (lo + d) // (2 * block)"""
+ORACLE_SQL["broadcast_schedule_table"] = """
+SELECT CAST((CASE WHEN sender = 0 THEN 0 WHEN sender < 4 THEN 1 ELSE 2 END) + piece AS INTEGER) AS step, CAST(sender AS INTEGER) AS sender, CAST(receiver AS INTEGER) AS receiver, CAST(piece AS INTEGER) AS piece
+FROM (SELECT (c - 1) // 3 AS sender, c AS receiver FROM (SELECT unnest(range(1, 16)) AS c)), (SELECT unnest(range(0, 3)) AS piece)"""
+ORACLE_SQL["prefix_schedule_table"] = """
+WITH u AS (SELECT 0 AS s, i, i - i % 4 AS head FROM (SELECT unnest(range(0, 16)) AS i) WHERE i % 4 <> 0 UNION ALL SELECT 1, i, 0 FROM (SELECT unnest([4, 8, 12]) AS i))
+SELECT 'up' AS sweep, CAST(s AS INTEGER) AS step, CAST(i AS INTEGER) AS sender, CAST(head AS INTEGER) AS receiver FROM u
+UNION ALL SELECT 'down', CAST(3 - s AS INTEGER), CAST(head AS INTEGER), CAST(i AS INTEGER) FROM u"""
 QUERIES["broadcast_schedule_table"] = lambda spark, sf_dir: spark.createDataFrame([x for x in model.broadcast_schedule(15, 16, 3)], "step int, sender int, receiver int, piece int")
 QUERIES["prefix_schedule_table"] = lambda spark, sf_dir: spark.createDataFrame(model.prefix_schedule(16, 4), "sweep string, step int, sender int, receiver int")
 
@@ -87,19 +99,45 @@ def _claim(spark, sf_dir):
 
 
 QUERIES["claim_sample_size"] = _claim
+ORACLE_SQL["claim_sample_size"] = """
+WITH RECURSIVE g(k, eps, rho, i, s) AS (
+  SELECT CAST(k AS INTEGER), CAST(eps AS DOUBLE), CAST(rho AS DOUBLE), 0, CAST(1 AS DOUBLE) FROM (SELECT unnest([8, 32, 128]) AS k), (SELECT unnest([0.1, 0.2, 0.5]) AS eps), (SELECT unnest([1.0, 2.0]) AS rho)
+  UNION ALL SELECT k, eps, rho, i + 1, (1 + eps) / (eps * eps) * (2 * rho * ln(8388608) + ln(2 * pi() * k * k * (k * s - 1)) + 1 / (3 * (k * s - 1))) FROM g WHERE i < 100)
+SELECT k, eps, rho, CAST(ceil(s) AS INTEGER) AS s FROM g WHERE i = 100"""
 
 
 def _ledger(method: str):
     def run(spark, sf_dir):
         p, l, g = MACHINES[0]
         n = spark.read.parquet(f"{sf_dir}/lineitem.parquet").count()
-        return spark.createDataFrame(model.ledger(method, n, MachineModel(p, l, g)), "step int, name string, kind string, x_ops double, h_words double, predicted_charge double")
+        rows = [(*x[:3], *[round(float(y), 3) for y in x[3:]]) for x in model.ledger(method, n, MachineModel(p, l, g))]
+        return spark.createDataFrame(rows, "step int, name string, kind string, x_ops double, h_words double, predicted_charge double")
 
     return run
 
 
+def _ledger_sql(method: str) -> str:
+    """The supersteps of a sort on the first machine, from the table's rows: a lane's operations, its words, and what they cost."""
+    p, l, g = MACHINES[0]
+    lgp = p.bit_length() - 1
+    l, g = l * RATE, g * RATE
+    tree = lambda words, cost: f"(SELECT min({cost}) FROM (SELECT t, h, CAST(ceil({words} / h) AS BIGINT) AS x FROM (SELECT t, {{h}} AS h FROM (SELECT unnest(range(2, {p + 1})) AS t))))"
+    spread = tree(3 * (p - 1), f"(ceil({3 * (p - 1)} / x) + h - 1) * greatest({l}, {g} * t * x)").replace("{h}", f"(SELECT min(k) FROM (SELECT unnest(range(1, 9)) AS k) WHERE (CAST(t AS BIGINT) ** (k + 1) - 1) / (t - 1) >= {p})")
+    scan = tree(p, f"2 * (ceil({p} / x) + h - 1) * (greatest({l}, t * x) + greatest({l}, 2 * {g} * t * x))").replace("{h}", f"(SELECT min(k) FROM (SELECT unnest(range(1, 9)) AS k) WHERE CAST(t AS BIGINT) ** k >= {p})")
+    if method == "classic_random":
+        rows = [("sample", "comp", "s", "s"), ("gather sample", "comm", "0", f"s * {p}"), ("sort sample", "comp", f"s * {p} * log2(s * {p})", "0"), ("broadcast fences", "comm", "0", str(p)), ("split", "comp", f"per * {lgp + 1}", "0"), ("route", "comm", "0", "big"), ("final sort", "comp", "big * log2(per)", "0")]
+    else:
+        rows = [("local sort", "comp", "per * log2(per)", "0"), ("sample", "comp", "s", "0"), ("sample sort", "comp", "s * log2(s)", "0")] + [(f"compare-split {i + 1}", "comm", "2 * s", "3 * s") for i in range(lgp * (lgp + 1) // 2)]
+        rows += [("gather fences", "comm", "0", str(3 * (p - 1))), ("broadcast fences", "sync", "0", f"{spread} / {g}"), ("split", "comp", f"{p} * log2(per)", "0"), ("prefix", "sync", "0", f"{scan} / {g}"), ("route", "comm", "0", "big"), ("merge", "comp", f"big * {lgp}", "0")]
+    s, big = (f"{4 * p}", f"(1 + 1 / 4) * per + {4 * p}") if method == "regular" else ("ceil(2 * lgn ** 2)", "(1 + 1 / sqrt(lgn)) * per")
+    parts = " UNION ALL ".join(f"SELECT {i + 1} AS step, '{n}' AS name, '{k}' AS kind, CAST({x} AS DOUBLE) AS x, CAST({h} AS DOUBLE) AS h FROM f" for i, (n, k, x, h) in enumerate(rows))
+    return f"""WITH c AS (SELECT CAST(count(*) AS DOUBLE) AS n, log2(count(*)) AS lgn FROM lineitem), e AS (SELECT *, n / {p} AS per FROM c), f AS (SELECT *, CAST({s} AS DOUBLE) AS s, CAST({big} AS DOUBLE) AS big FROM e)
+SELECT CAST(step AS INTEGER) AS step, name, kind, round(x, 3) AS x_ops, round(h, 3) AS h_words, round(greatest({l}, x + {g} * h), 3) AS predicted_charge FROM ({parts})"""
+
+
 for _m in _TERMS:
     QUERIES[f"ledger_{_m}"] = _ledger(_m)
+    ORACLE_SQL[f"ledger_{_m}"] = _ledger_sql(_m)
 
 
 def _regimes(spark, sf_dir):
@@ -128,10 +166,27 @@ ORACLE_SQL["superstep_ledger"] = f"SELECT CAST(p AS INTEGER) AS p, CAST(x AS INT
 
 def _earlier(spark, sf_dir):
     rows = [(p, *r) for p, l, g in MACHINES for r in model.earlier_results(2**23, p, MachineModel(p, l, g))]
-    return spark.createDataFrame([(a, b, float(c), float(d), e) for a, b, c, d, e in rows], "p int, method string, computation double, communication double, note string")
+    return spark.createDataFrame([(a, b, round(float(c), 2), round(float(d), 2), e) for a, b, c, d, e in rows], "p int, method string, computation double, communication double, note string")
 
 
 QUERIES["earlier_results"] = _earlier
+_STAR = "CASE WHEN {x} <= 1 THEN 0 WHEN log2({x}) <= 1 THEN 1 WHEN log2(log2({x})) <= 1 THEN 2 WHEN log2(log2(log2({x}))) <= 1 THEN 3 WHEN log2(log2(log2(log2({x})))) <= 1 THEN 4 ELSE 5 END"
+_EARLIER = (
+    ("log-depth network", "per * lgn", "g * per * lgp + l * lgp", "constants of no practical size"),
+    ("column sort", "z ** 3.42 * per * log2(per)", "g * z ** 3.42 * per + l * z ** 3.42", "n at least p"),
+    ("cube sort", "cube * per * log2(per)", "cube * (g * per + l)", "the power of 25 can be avoided"),
+    ("first randomised", "per * lgn", "g * z * per + l * z", "with high probability"),
+    ("first deterministic", "(floor(z * (1 - 1 / z)) + 1) * per * lgn", "g * z * per + l * z", "bound with a floor factor"),
+    ("improved deterministic", "3 * per * lgn", "g * z * per + l * z", "alpha = 1"),
+    ("merge sort", "per * lgn", "g * z * per + l * z", "large constants"),
+    ("randomised for more lanes", "per * lgn", "g * z * per + l * z", "fails less often, needs low L and g"),
+    ("shared memory, a processor a key", "lgn", "0", "moves are free there; not optimal run as it is"),
+)
+ORACLE_SQL["earlier_results"] = f"""
+WITH m AS (SELECT CAST(p AS INTEGER) AS p, CAST(l AS DOUBLE) * {RATE} AS l, CAST(g AS DOUBLE) * {RATE} AS g, CAST(8388608 AS DOUBLE) AS n FROM (VALUES {_VALUES}) m(p, l, g)),
+b AS (SELECT *, n / p AS per, log2(n) AS lgn, log2(p) AS lgp, log2(n) / log2(n / p) AS z FROM m),
+c AS (SELECT *, 25.0::DOUBLE ** ({_STAR.format(x="n")} - {_STAR.format(x="per")}) * z ** 2 AS cube FROM b)
+""" + " UNION ALL ".join(f"SELECT p, '{a}' AS method, round(CAST({x} AS DOUBLE), 2) AS computation, round(CAST({y} AS DOUBLE), 2) AS communication, '{z}' AS note FROM c" for a, x, y, z in _EARLIER)
 
 
 def _advice(spark, sf_dir):
@@ -139,11 +194,25 @@ def _advice(spark, sf_dir):
     for p, l, g in MACHINES:
         for e in (20, 23, 30, 40):
             a = advisor.choose(MachineModel(p, l, g), 2**e)
-            rows.append((2**e, p, a.method, a.ratio, a.rounds, a.sample_sort, a.split, a.broadcast_t, a.prefix_t))
-    return spark.createDataFrame(rows, "n long, p int, method string, ratio int, rounds int, sample_sort string, split string, broadcast_t int, prefix_t int")
+            rows.append((2**e, p, a.method, a.ratio, a.rounds, a.k, a.sample_sort, a.split, a.broadcast_t, a.prefix_t, a.sync_ok))
+    return spark.createDataFrame(rows, "n long, p int, method string, ratio int, rounds int, k int, sample_sort string, split string, broadcast_t int, prefix_t int, sync_ok boolean")
 
 
 QUERIES["advisor_table"] = _advice
+ORACLE_SQL["advisor_table"] = f"""
+WITH m AS (SELECT CAST(p AS INTEGER) AS p, CAST(l AS DOUBLE) * {RATE} AS l, CAST(g AS DOUBLE) * {RATE} AS g, log2(p) AS lgp, CAST(2 AS BIGINT) << (e - 1) AS n, CAST(e AS DOUBLE) AS lgn FROM (VALUES {_VALUES}) m(p, l, g), (SELECT unnest([20, 23, 30, 40]) AS e)),
+a AS (SELECT *, greatest(1, ceil(log2(lgn))) AS r, ceil(2 * lgn * lgn) AS rs FROM m),
+b AS (SELECT *, p * p * r * r <= n / lgn AS reg, NOT (2 * p * lgn * lgn >= n / 2 OR p * p > n / (sqrt(lgn) * lgn)) AS rnd FROM a),
+c AS (SELECT *, CASE WHEN reg OR rnd THEN 1 WHEN CAST(p AS BIGINT) * p <= n THEN 2 ELSE greatest(2, ceil(lgn / log2(n / p))) END AS rounds, CASE WHEN reg THEN r * p ELSE rs END AS s FROM b),
+d AS (SELECT *, greatest(l, g * s * p) + s * p * log2(s * p) AS gather, lgp * (lgp + 1) / 2 * greatest(l, g * s + 2 * s) AS network FROM c),
+bt AS (SELECT p, arg_min(t, cost * 1000 + t * 1e-6) AS t FROM ({ORACLE_SQL["cost_broadcast_table"]}) GROUP BY p),
+pt AS (SELECT p, arg_min(t, cost * 1000 + t * 1e-6) AS t FROM ({ORACLE_SQL["cost_prefix_table"]}) GROUP BY p)
+SELECT n, d.p AS p, CASE WHEN reg OR rounds > 1 THEN 'regular' ELSE 'presorted_random' END AS method, CAST(CASE WHEN reg OR rounds > 1 THEN r ELSE s END AS INTEGER) AS ratio, CAST(rounds AS INTEGER) AS rounds,
+  CAST(CASE WHEN rounds = 1 THEN d.p ELSE greatest(2, round(d.p ** (1.0 / rounds) + 0.499)) END AS INTEGER) AS k, CASE WHEN gather <= network THEN 'driver' WHEN s * d.p > 2000000 THEN 'spark' ELSE 'bitonic' END AS sample_sort,
+  CASE WHEN d.p <= 257 THEN 'tree' ELSE 'search' END AS split, CAST(bt.t AS INTEGER) AS broadcast_t, CAST(pt.t AS INTEGER) AS prefix_t, l <= 2 * n / (d.p * lgp ** 2) AS sync_ok
+FROM d JOIN bt ON bt.p = d.p JOIN pt ON pt.p = d.p"""
+
+_GROWTH = (20, 60, 150, 400, 900)
 
 
 def _optimality(spark, sf_dir):
@@ -151,13 +220,18 @@ def _optimality(spark, sf_dir):
     p, l, g = MACHINES[1]
     rows = []
     for m in _TERMS:
-        t = [model.theory(m, 2**e, MachineModel(p, l, g)) for e in range(20, 61, 10)]
+        t = [model.theory(m, 2**e, MachineModel(p, l, g)) for e in _GROWTH]
         c, falls = model.optimality([x["pi"] for x in t], [x["mu"] for x in t])
         rows.append((m, round(c, 6), falls))
     return spark.createDataFrame(rows, "method string, last_pi double, mu_falls boolean")
 
 
 QUERIES["optimality_table"] = _optimality
+_p, _l, _g = MACHINES[1]
+ORACLE_SQL["optimality_table"] = " UNION ALL ".join(
+    f"SELECT '{m}' AS method, round(arg_max(pi, e), 6) AS last_pi, min(coalesce(mu <= before, true)) AND arg_max(mu, e) <= 0.1 * arg_min(mu, e) AS mu_falls FROM (SELECT e, pi, mu, lag(mu) OVER (ORDER BY e) AS before FROM (SELECT e, {pi} AS pi, {mu} AS mu FROM (SELECT *, {w} AS w FROM (SELECT e, CAST({_p} AS DOUBLE) AS p, {_l * RATE} AS l, {_g * RATE} AS g, CAST(2 AS DOUBLE) ** e AS n, log2({_p}) AS lgp, CAST(e AS DOUBLE) AS lgn FROM (SELECT unnest({list(_GROWTH)}) AS e)))))"
+    for m, (pi, mu, w) in _TERMS.items()
+)
 
 
 # Published phase seconds (local sort, sampling, prefix, routing, merging, total) on 64 lanes, 8M uniform keys.

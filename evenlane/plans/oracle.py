@@ -43,18 +43,23 @@ grid AS (SELECT CAST(lane AS INTEGER) AS lane, j, (j + 1) * x - 1 AS pos FROM se
 smp AS (SELECT r.kr, g.lane, g.pos, g.j, CASE WHEN r.kr IS NULL THEN 1 ELSE 0 END AS pad FROM grid g LEFT JOIN run r ON r.lane = g.lane AND r.pos = g.pos)"""
 
 
-def random_sample(s: int, seed: int) -> str:
+def random_size(table: str) -> str:
+    """The random method's samples a lane, from the table's own rows."""
+    return f"(SELECT CAST(ceil(2 * log2(count(*)) ** 2) AS BIGINT) FROM {table})"
+
+
+def random_sample(s: int | str, seed: int) -> str:
     return f""", smp AS (SELECT kr, lane, pos, j, 0 AS pad FROM (SELECT *, row_number() OVER (PARTITION BY lane ORDER BY md5('{seed}|' || lane || '|' || pos), pos) - 1 AS j FROM run) WHERE j < {s})"""
 
 
-def two_step_sample(s: int, p: int, seed: int) -> str:
-    return f""", quota AS (SELECT CAST(('0x' || substr(md5('{seed}|' || j), 1, 8))::BIGINT % 2147483648 % {p} AS INTEGER) AS lane, count(*) AS q FROM (SELECT unnest(range(0, {s * p})) AS j) GROUP BY 1),
+def two_step_sample(s: int | str, p: int, seed: int) -> str:
+    return f""", quota AS (SELECT CAST(('0x' || substr(md5('{seed}|' || j), 1, 8))::BIGINT % 2147483648 % {p} AS INTEGER) AS lane, count(*) AS q FROM (SELECT unnest(range(0, CAST({s} * {p} AS BIGINT))) AS j) GROUP BY 1),
 smp AS (SELECT kr, lane, pos, j, 0 AS pad FROM (SELECT *, row_number() OVER (PARTITION BY lane ORDER BY md5('{seed}|' || lane || '|' || pos), pos) - 1 AS j FROM run) JOIN quota USING (lane) WHERE j < q)"""
 
 
-def fences(p: int, s: int | None) -> str:
+def fences(p: int, s: int | str | None) -> str:
     """CTEs ranked and fence: i, kr, lane, pos."""
-    at = f"rk % {s} = 0 AND rk < {p * s}" if s else f"rk IN (SELECT greatest(1, (i * (SELECT count(*) FROM smp)) // {p}) FROM (SELECT unnest(range(1, {p})) AS i))"
+    at = f"rk % {s} = 0 AND rk < {p} * {s}" if s else f"rk IN (SELECT greatest(1, (i * (SELECT count(*) FROM smp)) // {p}) FROM (SELECT unnest(range(1, {p})) AS i))"
     return f""", ranked AS (SELECT *, row_number() OVER (ORDER BY pad, kr, lane, pos, j) AS rk FROM smp),
 fence AS (SELECT row_number() OVER (ORDER BY rk) AS i, kr, lane, pos FROM ranked WHERE {at} AND pad = 0)"""
 
