@@ -13,15 +13,16 @@ from collections.abc import Callable
 from pathlib import Path
 from statistics import mean
 
-from pyspark.sql import SparkSession
+from pyspark.sql import SparkSession, Window
 from pyspark.sql import functions as F
 
 from evenlane.functions.spec import SortSpec
 from evenlane.operators import baselines, measure
 from evenlane.operators.layout import Lanes
-from evenlane.operators.sorts import classic_random_sort, presorted_random_sort, regular_sort
+from evenlane.operators.sorts import classic_random_sort, local_sort, presorted_random_sort, regular_sort
 from evenlane.plans import calibrate
 from evenlane.plans.catalogue_relational import QUERIES as RELATIONAL
+from evenlane.staging import stage
 
 SF = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
 CPUS = int(os.environ.get("BENCH_CPUS", os.cpu_count() or 8))
@@ -55,35 +56,39 @@ def timed(f: Callable[[], None]) -> float:
 
 def main() -> None:
     spark = session()
-    # the input lies evenly spread over the lanes before the clock starts, as the sorts assume
-    lineitem = spark.read.parquet(f"{SF}/lineitem.parquet").select("l_orderkey", "l_partkey", "l_extendedprice", "l_returnflag").repartition(P).persist()
+    # the input lies evenly spread over the lanes, in memory, before the clock starts, as the sorts assume; keys are 32-bit integers
+    cents = F.round(F.col("l_extendedprice") * 100).cast("int").alias("cents")
+    lineitem = stage(spark.read.parquet(f"{SF}/lineitem.parquet").select("l_orderkey", "l_partkey", "l_extendedprice", "l_returnflag", cents).repartition(P), "bench").persist()
     n = lineitem.count()
-    spec, lanes = SortSpec.of("l_extendedprice"), Lanes(P, layout="inplace")
+    one = lineitem.coalesce(1)
+    spec, lanes = SortSpec.of("cents"), Lanes(P, layout="inplace")
 
-    def by_comparison(f: Callable[[], None]) -> Callable[[], None]:
+    def local(how: str, f: Callable[[], None]) -> Callable[[], None]:
         def run() -> None:
-            spark.conf.set("spark.sql.sort.enableRadixSort", "false")
-            try:
+            with local_sort(spark, how):
                 f()
-            finally:
-                spark.conf.set("spark.sql.sort.enableRadixSort", "true")
 
         return run
 
+    def sorts(sort, how: str, key: SortSpec = spec, **options) -> Callable[[], None]:
+        return local(how, lambda: sink(sort(lineitem, key, lanes, local=how, **options).by_keys))
+
+    flag = SortSpec.of("l_returnflag")
     runs: dict[str, Callable[[], None]] = {
-        "regular_radix": lambda: sink(regular_sort(lineitem, spec, lanes).df),
-        "regular_cmp": by_comparison(lambda: sink(regular_sort(lineitem, spec, lanes, local="cmp").df)),
-        "random_radix": lambda: sink(presorted_random_sort(lineitem, spec, lanes).df),
-        "random_cmp": by_comparison(lambda: sink(presorted_random_sort(lineitem, spec, lanes, local="cmp").df)),
-        "classic_random": lambda: sink(classic_random_sort(lineitem, spec, lanes).df),
-        "regular_duplicates": lambda: sink(regular_sort(lineitem, SortSpec.of("l_returnflag"), lanes).df),
-        "regular_duplicates_off": lambda: sink(regular_sort(lineitem, SortSpec.of("l_returnflag"), lanes, dup=False).df),
-        "plain_regular": lambda: sink(baselines.plain_regular(lineitem, spec, lanes).df),
-        "two_round_regular": lambda: sink(baselines.two_round_regular(lineitem, spec, lanes).df),
-        "two_round_random": lambda: sink(baselines.two_round_random(lineitem, spec, lanes).df),
-        "range_exchange": lambda: sink(lineitem.orderBy("l_extendedprice")),
-        "sequential": lambda: sink(lineitem.coalesce(1).sortWithinPartitions("l_extendedprice")),
-    }
+        "regular_radix": sorts(regular_sort, "radix"), "regular_cmp": sorts(regular_sort, "cmp"),
+        "random_radix": sorts(presorted_random_sort, "radix"), "random_cmp": sorts(presorted_random_sort, "cmp"),
+        "classic_random": lambda: sink(classic_random_sort(lineitem, spec, lanes).by_keys),
+        "regular_stable": lambda: sink(regular_sort(lineitem, spec, lanes).df),
+        "regular_duplicates": sorts(regular_sort, "radix", flag), "regular_duplicates_off": sorts(regular_sort, "radix", flag, dup=False),
+        "plain_regular": lambda: sink(baselines.plain_regular(lineitem, spec, lanes).by_keys),
+        "tag_all": lambda: sink(baselines.tag_all(lineitem, spec, lanes).by_keys),
+        "two_round_regular": lambda: sink(baselines.two_round_regular(lineitem, spec, lanes).by_keys),
+        "two_round_random": lambda: sink(baselines.two_round_random(lineitem, spec, lanes).by_keys),
+        "range_exchange": lambda: sink(lineitem.orderBy("cents")),
+        "sequential_radix": local("radix", lambda: sink(one.sortWithinPartitions("cents"))), "sequential_cmp": local("cmp", lambda: sink(one.sortWithinPartitions("cents"))),
+        "builtin_dedup": lambda: sink(spark.read.parquet(f"{SF}/lineitem.parquet").dropDuplicates(["l_partkey"])),
+        "builtin_rank": lambda: sink(spark.read.parquet(f"{SF}/lineitem.parquet").withColumn("rank", F.rank().over(Window.orderBy("l_shipdate")))),
+    }
     for name in ("fenced_merge_join", "global_rank", "exact_median", "dedup_first_by_key"):
         runs[name] = lambda q=RELATIONAL[name]: sink(q(spark, SF))
     queries = {name: round(timed(f), 4) for name, f in runs.items()}
@@ -91,11 +96,14 @@ def main() -> None:
     for label, key in (("price", "l_extendedprice"), ("returnflag", "l_returnflag"), ("constant", "1")):
         for method, sort in (("regular", regular_sort), ("random", presorted_random_sort)):
             balance[f"{method}_{label}"] = round(measure.imbalance(sort(lineitem, SortSpec.of(key), lanes).bucket_sizes()), 4)
-    _, phases = calibrate.profile(regular_sort, lineitem.withColumn("salt", F.lit(0)), spec, lanes)
-    total = sum(phases.values())
+    shares = {}
+    for method in ("regular", "presorted_random", "two_round_regular"):
+        _, phases = calibrate.profile(method, lineitem, spec, P)
+        total = sum(phases.values())
+        shares[method] = {k: round(100 * v / total, 1) for k, v in phases.items()}
     print(json.dumps({
         "metric": "total seconds of the headline queries, each a mean of its runs", "value": round(sum(queries.values()), 3), "unit": "sec", "queries": queries, "sf": SF, "rows": n, "lanes": P, "cpus": CPUS, "repeats": REPEATS,
-        "imbalance": balance, "phase_pct": {k: round(100 * v / total, 1) for k, v in phases.items()}, "rows_per_s": {k: round(n / queries[k]) for k in ("regular_radix", "random_radix", "range_exchange")},
+        "imbalance": balance, "phase_pct": shares, "rows_per_s": {k: round(n / queries[k]) for k in ("regular_radix", "random_radix", "range_exchange", "sequential_radix")},
     }))
     spark.stop()
 

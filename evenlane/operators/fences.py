@@ -33,7 +33,7 @@ class FenceSet:
         """The catalogue: rows (rank, k0.., lane, pos), with the key types of like."""
         fields = ", ".join(["rank int", *[f"{n} {like.schema[n].dataType.simpleString()}" for n in self.spec.names], "lane int", "pos long"])
         rows = [(i + 1, *[r[n] for n in self.spec.names], r["lane"], r["pos"]) for i, r in enumerate(self.records)]
-        return spark.createDataFrame(rows, fields)
+        return spark.createDataFrame(rows, fields, verifySchema=False)
 
     @staticmethod
     def of(spec: SortSpec, catalogue: DataFrame) -> FenceSet:
@@ -61,18 +61,16 @@ def pick(ranked: DataFrame, spec: SortSpec, p: int, s: int | None = None) -> Fen
     return FenceSet(spec, tuple({n: rows[i][n] for n in [*spec.names, "lane", "pos"]} for i in at if i in rows))
 
 
-def weighed_fences(sample: DataFrame, spec: SortSpec, k: int) -> dict[int, tuple[int, dict[int, dict]]]:
-    """group -> (its rows, its k - 1 fences by number) from weighted samples: fence i is where i/k of the group's rows lie at or below.
+def group_fences(sample: DataFrame, spec: SortSpec, k: int) -> dict[int, dict[int, dict]]:
+    """group -> its k - 1 fences by number, from samples that stand for equally many rows: fence i is the first with i/k of the group's samples at or below.
 
     One window a group, each over a sample. At most one row a fence comes back.
     """
-    w = Window.partitionBy("group").orderBy(*spec.order("lane", "pos"))
-    upto = sample.withColumns({"upto": F.sum("weight").over(w.rowsBetween(Window.unboundedPreceding, 0)), "rows": F.sum("weight").over(Window.partitionBy("group"))})
-    upto = upto.withColumns({"hi": F.expr(f"upto * {k} div rows"), "lo": F.expr(f"(upto - weight) * {k} div rows")})
-    some = upto.where("hi > lo").select("group", "rows", *spec.names, "lane", "pos", F.explode(F.sequence(F.col("lo") + 1, "hi")).alias("i"))
-    out: dict[int, tuple[int, dict[int, dict]]] = {}
+    w = Window.partitionBy("group")
+    ranked = sample.withColumns({"rank": F.row_number().over(w.orderBy(*spec.order("lane", "pos"))).cast("long"), "rows": F.count("*").over(w)})
+    ranked = ranked.withColumns({"hi": F.expr(f"least(rank * {k} div rows, {k - 1})"), "lo": F.expr(f"(rank - 1) * {k} div rows")})
+    some = ranked.where("hi > lo").select("group", *spec.names, "lane", "pos", F.explode(F.sequence(F.col("lo") + 1, "hi")).alias("i"))
+    out: dict[int, dict[int, dict]] = {}
     for r in some.collect():
-        found = out.setdefault(r["group"], (r["rows"], {}))[1]
-        if r["i"] < k:
-            found[r["i"]] = {n: r[n] for n in [*spec.names, "lane", "pos"]}
+        out.setdefault(r["group"], {})[r["i"]] = {n: r[n] for n in [*spec.names, "lane", "pos"]}
     return out

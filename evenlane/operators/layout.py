@@ -41,7 +41,7 @@ def by_number(values: list[int], at: Column) -> Column:
     """values[at]: one value a partition, lane or bucket."""
     if len(values) <= LITERALS:
         return F.array(*[F.lit(v).cast("long") for v in values])[at]
-    return SparkSession.active().createDataFrame([(values,)], "a array<bigint>").scalar()[at]
+    return SparkSession.active().createDataFrame([(values,)], "a array<bigint>", verifySchema=False).scalar()[at]
 
 
 def partitions(df: DataFrame) -> int:

@@ -3,17 +3,12 @@
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
 
-import numpy as np
-import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from evenlane.functions.draws import text
-from evenlane.operators.layout import Run, by_number, partitions
-from evenlane.shipping import ship
+from evenlane.operators.layout import MASK, Run, by_number
 
 
 def regular_ratio(n: int, p: int) -> int:
@@ -39,54 +34,38 @@ def claim_size(total: int, k: int, eps: float, rho: float) -> int:
     return math.ceil(s)
 
 
-#: Of a lane in place at most one row in SHARE is sampled, or its part of FEW rows in all, whichever is more.
+#: Of n rows in place at most n / SHARE are sampled, or FEW, whichever is more.
 SHARE, FEW = 100, 200_000
 
 
-def lane_sample_size(rows: int, s: int | None, lanes: int) -> int:
-    """Samples of a lane of so many rows among so many lanes: s, or the random method's size for all rows as the lane suggests, within SHARE and FEW."""
-    want = random_size(rows * lanes) if s is None else s
-    return max(1, min(want, rows, max(rows // SHARE, FEW // max(1, lanes))))
-
-
-def _lane_sampler(s: int | None, lanes: int, how: str, seed: int):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held = [b for b in batches if b.num_rows]  # the keys of one partition
-        if not held:
-            return
-        t = pa.Table.from_batches(held)
-        group = t.column("group").to_numpy()
-        cuts = [0, *(np.flatnonzero(group[1:] != group[:-1]) + 1).tolist(), len(group)]
-        places, weights = [], []
-        for a, b in zip(cuts, cuts[1:], strict=False):
-            m = lane_sample_size(b - a, s, lanes)
-            ends = (np.arange(1, m + 1, dtype=np.int64) * (b - a)) // m
-            if how == "regular":
-                at = ends - 1
-            else:
-                draw = np.random.default_rng([seed, t.column("lane")[a].as_py(), t.column("pos")[a].as_py()])
-                at = np.sort(draw.choice(b - a, m, replace=False))
-            places.append(a + at)
-            weights.append(np.diff(ends, prepend=0))
-        out = t.take(pa.array(np.concatenate(places))).append_column("weight", pa.array(np.concatenate(weights), pa.int64()))
-        yield from out.combine_chunks().to_batches()
-
-    return run
+def stride(n: int, lanes: int, s: int) -> int:
+    """Rows that a sample in place stands for: n / (lanes s), but no fewer than SHARE and FEW allow."""
+    return max(1, n // max(1, lanes * s), min(SHARE, -(-n // FEW)))
 
 
 def sample_lanes(run: Run, s: int | None, how: str = "regular", seed: int = 42, presort: bool = True, group: str | None = None) -> DataFrame:
-    """Samples of the partitions as they lie: rows (k0.., lane, pos, group, weight), weight the rows a sample stands for.
+    """About s samples a partition, as they lie, each for the same number x of rows: rows (k0.., lane, pos, group).
 
-    regular: the ends of even segments of the partition in key order, the last its largest key; random: as many places
-    at random. Each group in a partition is sampled apart. Only keys are read and sorted; of n rows at most n / SHARE, or FEW, are taken.
+    regular: every x-th row of a partition in key order, so that a partition gives samples by its length and leaves fewer
+    than x rows unseen. random: rows whose hash falls under 1 / x; s None is the method's own size. One job counts the partitions; only keys
+    are read and sorted. The run learns its number of rows.
     """
-    ship(run.df.sparkSession)
     keys = run.df.select(*sample_keys(run), (F.col(group) if group else F.lit(0)).cast("int").alias("group"))
-    lanes = partitions(keys)
+    lens = {r["at"]: r["rows"] for r in run.df.groupBy(F.spark_partition_id().alias("at")).agg(F.count("*").alias("rows")).collect()}  # one a partition
+    n = sum(lens.values())
+    run.total = n
+    if run.inplace and not run.moves and run.sizes is None:
+        run.sizes = [lens.get(i, 0) for i in range(max(lens, default=0) + 1)]
+    x = stride(n, len(lens), random_size(n) if s is None else s)
     if presort:
-        keys = keys.sortWithinPartitions("group", *run.spec.order("lane", "pos"))
-    schema = T.StructType([*keys.schema.fields, T.StructField("weight", T.LongType())])
-    return keys.mapInArrow(_lane_sampler(s, lanes, how, seed), schema)
+        keys = keys.sortWithinPartitions(*(["group"] if group else []), *run.spec.order("lane", "pos"))
+    if how == "random":
+        u = F.xxhash64(F.lit(seed), "lane", "pos")
+        return keys.where(u.bitwiseAND(F.lit(2**62 - 1)) < 2**62 // x)
+    if how != "regular":
+        raise ValueError(f"unknown sample {how}")
+    at = F.monotonically_increasing_id().bitwiseAND(F.lit(MASK))
+    return keys.withColumn("__at", at).where(F.col("__at") % x == x - 1).drop("__at")
 
 
 def sample_keys(run: Run) -> list[str]:

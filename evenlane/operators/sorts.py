@@ -13,8 +13,8 @@ from pyspark.sql import functions as F
 
 from evenlane.functions.spec import Key, SortSpec
 from evenlane.operators import networks, prefix, sampling
-from evenlane.operators.fences import FenceSet, pick, ranked_sample, weighed_fences
-from evenlane.operators.layout import Lanes, Run, by_number, indexed, sorted_run, starts
+from evenlane.operators.fences import FenceSet, group_fences, pick, ranked_sample
+from evenlane.operators.layout import Lanes, Run, by_number, indexed, partitions, sorted_run, starts
 from evenlane.operators.split import count_matrix, with_bucket
 from evenlane.plans import advisor, bounds
 from evenlane.plans.model import MACHINES, MachineModel
@@ -129,10 +129,14 @@ def sort_sample(sample: DataFrame, run: Run, how: str, s: int) -> DataFrame:
 
 
 def lane_fences(run: Run, s: int | None, how: str, seed: int = 42, presort: bool = True) -> FenceSet:
-    """p - 1 fences from weighted samples of the run's partitions; the run learns its number of rows."""
-    found = weighed_fences(sampling.sample_lanes(run, s, how, seed, presort), run.spec, run.lanes.p).get(0, (0, {}))
-    run.total = found[0]
-    return FenceSet(run.spec, tuple(found[1][i] for i in sorted(found[1])))
+    """p - 1 fences from samples of the run's partitions as they lie."""
+    sample = sampling.sample_lanes(run, s, how, seed, presort)
+    if run.total and run.total // SMALL_SAMPLE >= sampling.SHARE:  # the sample may be too large for one window
+        total = sample.count()
+        if total > SMALL_SAMPLE:
+            return pick(sort_sample(sample.withColumns({"pad": F.lit(0), "j": F.lit(0)}), run, "spark", total), run.spec, run.lanes.p)
+    found = group_fences(sample, run.spec, run.lanes.p).get(0, {})
+    return FenceSet(run.spec, tuple(found[i] for i in sorted(found)))
 
 
 def _timed(phases: dict[str, float], name: str, since: float) -> float:
@@ -162,8 +166,8 @@ def regular_sort(
 
     No bucket is larger than (s + p - 1) x, x the segment length, whatever the keys: repeated keys are told
     apart by (lane, pos), which only samples and fences carry. dup=False compares keys alone. Empty and
-    short inputs give empty buckets. In place, one job sorts and samples the keys of each input partition, samples
-    weigh as many rows as they stand for, and r is at most 6, the method's ratio for fewer than 2^64 rows.
+    short inputs give empty buckets. In place, one job counts the input's partitions and one samples their sorted keys; each
+    sample stands for equally many rows, and r is 6, the method's ratio for fewer than 2^64 rows.
     """
     with local_sort(df.sparkSession, local):
         t = time.perf_counter()
@@ -185,7 +189,8 @@ def regular_from(run: Run, r: int | None = None, split: str = "tree", sample_sor
     if p == 1:
         fences, count = FenceSet(spec, ()), p
     elif run.inplace:
-        fences, count = lane_fences(run, s, "regular"), sampling.partitions(run.df)
+        fences = lane_fences(run, s, "regular")
+        count = len(run.lengths)
     else:
         sample, count = sampling.sample_regular(run, s, spacing), p
         whole = len(run.lengths) == p and (spacing == "padded" or all(run.lengths))
@@ -267,9 +272,10 @@ def iterated_sort(df: DataFrame, spec: SortSpec, lanes: Lanes, k: int, rounds: i
     known: dict[int, dict] = {}  # bucket of this level -> the fence it lies above
     s = r * k if method == "regular" else None
     for level in range(rounds):
-        found = weighed_fences(sampling.sample_lanes(Run(cur, spec, lanes), s, method, seed + level, group="group"), spec, k)
-        first.total = sum(x[0] for x in found.values()) if not level else first.total
-        known = {b * k: f for b, f in known.items()} | {g * k + i: f for g, (_, fences) in found.items() for i, f in fences.items()}
+        part = Run(cur, spec, lanes, moves=level)
+        found = group_fences(sampling.sample_lanes(part, s, method, seed + level, group="group"), spec, k)
+        first.total = part.total
+        known = {b * k: f for b, f in known.items()} | {g * k + i: f for g, fences in found.items() for i, f in fences.items()}
         names = sorted(known)
         fences = FenceSet(spec, tuple(known[b] for b in names), (0, *names))
         cur = with_bucket(cur.drop("group"), fences).withColumnRenamed("bucket", "group")
@@ -289,7 +295,7 @@ def balanced_sort(df: DataFrame, spec: SortSpec, p: int, machine: MachineModel |
     rows is counted where it is not given. With rounds, p grows to the next power of the arity.
     """
     n = df.count() if rows is None else rows
-    plan = advisor.choose(machine or MachineModel(p, *MACHINES[min(3, max(0, p.bit_length() - 5))][1:]), n, lanes=sampling.partitions(df), p=p)
+    plan = advisor.choose(machine or MachineModel(p, *MACHINES[min(3, max(0, p.bit_length() - 5))][1:]), n, lanes=partitions(df), p=p)
     if plan.rounds > 1:
         return iterated_sort(df, spec, Lanes(plan.k**plan.rounds, layout="inplace"), plan.k, plan.rounds, r=max(1, min(6, plan.ratio)))
     if plan.method == "regular":
