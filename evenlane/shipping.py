@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import zipfile
 from pathlib import Path
@@ -17,7 +19,9 @@ def ship(spark: SparkSession) -> None:
     if sc.applicationId in _SHIPPED:
         return
     root = Path(__file__).resolve().parents[1]
-    target = Path(tempfile.mkdtemp()) / "evenlane_pkg.zip"
+    folder = tempfile.mkdtemp(prefix="evenlane-")  # the driver's own: Spark sends the file on
+    atexit.register(shutil.rmtree, folder, True)
+    target = Path(folder) / "evenlane_pkg.zip"
     with zipfile.ZipFile(target, "w") as z:
         for p in sorted((root / "evenlane").rglob("*.py")):
             z.write(p, p.relative_to(root))

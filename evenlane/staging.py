@@ -13,11 +13,13 @@ _OWN_DIRS: dict[str, str] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's shared folder (spark.checkpoint.dir); a temporary one where it is unset, as in tests."""
+    """The cluster's shared folder (spark.checkpoint.dir); where it is unset, as in tests, a temporary one, which only local sessions share."""
     base = spark.conf.get("spark.checkpoint.dir", "") or ""
     if base:
         return f"{base.rstrip('/')}/evenlane/{spark.sparkContext.applicationId}"
     app = spark.sparkContext.applicationId
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
     if app not in _OWN_DIRS:
         _OWN_DIRS[app] = tempfile.mkdtemp(prefix="evenlane-")
         atexit.register(shutil.rmtree, _OWN_DIRS[app], True)
