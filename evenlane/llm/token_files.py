@@ -1,6 +1,7 @@
 """Token-id files compressed by a Re-Pair grammar, a block at a time, with random access.
 
-A shard is one range of doc_id, its bounds approximate quantiles of that column; its blocks hold whole runs of ids in doc_id order.
+A shard is one range of doc_id, its bounds approximate quantiles of that column, nulls first; rows whose doc_id is a bound are dealt
+over all shards that it touches, so that a frequent doc_id fills several. Blocks hold whole runs of ids in doc_id order.
 In each block the frequent adjacent pairs become nonterminals, round after round until none is left: a round counts
 all pairs, gives the frequent ones names, and replaces every occurrence that no more frequent pair
 overlaps. A block stores the rules, how many ids each nonterminal stands for, and the remaining
@@ -199,18 +200,23 @@ def id_blobs(encoded: list[np.ndarray], end: int) -> tuple[pa.Array, pa.Array]:
     return pa.array(counts, pa.int64()), pa.array(blobs, pa.binary())
 
 
+NULL_ID = -(2**63)  # where rows without a doc_id stand among the bounds
+
+
 def _ids(path: str, end: int, bounds: np.ndarray):
     schema = pa.schema([("shard", pa.int32()), ("doc_id", pa.int64()), ("ids", pa.binary())])
 
     def run(batches):
         enc = encoder(path, 21)
+        turn = 0
         for whole in batches:
             for at in range(0, whole.num_rows, 1024):
                 b = whole.slice(at, 1024)
                 _, blobs = id_blobs(enc.encode_column(b.column(1)), end)
-                null = np.asarray(b.column(0).is_null())
-                shard = np.searchsorted(bounds, b.column(0).fill_null(0).to_numpy(zero_copy_only=False), side="left")
-                shard[null] = 0
+                ids = b.column(0).fill_null(NULL_ID).to_numpy(zero_copy_only=False)
+                low, high = np.searchsorted(bounds, ids, side="left"), np.searchsorted(bounds, ids, side="right")
+                shard = low + (turn + np.arange(len(ids))) % (high - low + 1)
+                turn += len(ids)
                 yield pa.RecordBatch.from_arrays([pa.array(shard.astype(np.int32)), b.column(0), blobs], schema=schema)
 
     return trimmed(run)
@@ -267,14 +273,15 @@ def write_token_files(docs: DataFrame, out_path: str, tokenizer_path: str | None
     One row of the blocks is one block (its shard, number, first id within the shard, ids, documents and
     their lengths, and the packed data); one row of the index says where a document begins in its block. A document
     never spans blocks; one longer than block_ids makes a larger block. Repeated doc_ids keep one entry for
-    each row. Other columns are ignored, whatever their names. An empty table writes no blocks.
+    each row. Other columns are ignored, whatever their names. An empty table writes no blocks. Beyond 20,000 shards' worth of
+    documents shards grow; a task still holds no more than one block.
     """
     ship(docs.sparkSession)
     src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     n = partitions_for(src.count(), shard_docs)
     cuts = [i / n for i in range(1, n)]
-    bounds = src.agg(F.percentile_approx("doc_id", cuts, 10 * n).alias("b")).first()["b"] if cuts else None
-    rows = src.mapInArrow(_ids(tokenizer_path or default_path("byte_bpe_50k.json"), end, np.unique(np.array(bounds or [], np.int64))), "shard int, doc_id long, ids binary")
+    bounds = src.agg(F.percentile_approx(F.coalesce("doc_id", F.lit(NULL_ID)), cuts, 10 * n).alias("b")).first()["b"] if cuts else None
+    rows = src.mapInArrow(_ids(tokenizer_path or default_path("byte_bpe_50k.json"), end, np.array(bounds or [], np.int64)), "shard int, doc_id long, ids binary")
     dealt = rows.repartitionById(n, "shard").sortWithinPartitions("shard", "doc_id")
     dealt.mapInArrow(_blocks(block_ids), BLOCKS).write.parquet(f"{out_path}/blocks")
     files = docs.sparkSession.read.schema(BLOCKS).parquet(f"{out_path}/blocks")

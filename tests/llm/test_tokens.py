@@ -89,6 +89,21 @@ def test_token_files(spark):
     assert read_token_files(spark, empty).count() == 0
 
 
+def test_token_files_of_hot_and_null_ids(spark):
+    """A doc_id with half of the rows, and a third of them null: several shards each, in order all the same."""
+    rows = [(None if i % 3 == 0 else 7 if i % 2 else i, f"text {i}") for i in range(600)]
+    path = fresh_path(spark, "files")
+    write_token_files(spark.createDataFrame(rows, "doc_id long, text string").repartition(3), path, shard_docs=50, block_ids=200)
+    got = sorted(read_token_files(spark, path).collect(), key=lambda r: r.start)
+    assert [r.doc_id for r in got] == sorted((d for d, _ in rows), key=lambda d: (d is not None, d or 0))
+    assert all(a.start + a.n_tokens == b.start for a, b in zip(got, got[1:], strict=False))
+    shards = {}
+    for r in spark.read.parquet(f"{path}/index").collect():
+        shards.setdefault(r.doc_id, set()).add(r.shard)
+    assert len(shards[7]) > 2 and len(shards[None]) > 2
+    assert len(ids_of(spark, path, 7)) == sum(d == 7 for d, _ in rows)
+
+
 # ----- packing
 
 
