@@ -40,6 +40,7 @@ class SortResult:
     plan: dict
     phases: dict[str, float] = field(default_factory=dict)
     tagged: bool = True
+    place: str = "pos"  # the column that orders a lane's rows of one key
 
     @property
     def spec(self) -> SortSpec:
@@ -92,7 +93,7 @@ class SortResult:
 
     @property
     def order(self) -> list[Column]:
-        return self.spec.order("lane", "pos")
+        return self.spec.order("lane", self.place)
 
     @property
     def windowed(self) -> DataFrame:
@@ -247,14 +248,15 @@ def classic_random_sort(df: DataFrame, spec: SortSpec, lanes: Lanes, s: int | No
     s = s or (None if run.inplace else sampling.random_size(run.n))
     fences = random_fences(run, s, "exact", seed, presort=False)
     rows = with_bucket(run.df, fences, "tree", dup)
+    out = SortResult(run, fences, rows, {"method": "classic_random", "p": lanes.p, "s": s, "seed": seed, "dup": dup, "split": split}, tagged=dup)
     if split == "integer":
-        rows = formed_buckets(rows)
-    return SortResult(run, fences, rows, {"method": "classic_random", "p": lanes.p, "s": s, "seed": seed, "dup": dup, "split": split}, tagged=dup)
+        out.split, out.place = formed_buckets(rows), "seat"
+    return out
 
 
 def formed_buckets(split: DataFrame) -> DataFrame:
-    """Each lane's rows ordered by bucket alone, a small integer that is sorted by radix: blocks before the route, each in input order."""
-    return split.sortWithinPartitions("bucket")
+    """Each lane's rows in blocks, one a bucket in input order, by a sort on the small integer alone; seat is the place after it."""
+    return split.sortWithinPartitions("bucket", "lane", "pos").withColumn("seat", F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1)))
 
 
 def iterated_sort(df: DataFrame, spec: SortSpec, lanes: Lanes, k: int, rounds: int, r: int = 4, method: str = "regular", seed: int = 42) -> SortResult:

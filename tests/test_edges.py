@@ -229,3 +229,11 @@ def test_advice_takes_lanes_into_account(spark):
     many = choose(MachineModel(128, 762.0, 0.34), 2**36, lanes=2**20, p=2**17)
     assert many.rounds > 1 and many.k**many.rounds >= 2**17
     assert measure.is_sorted(balanced_sort(df, SortSpec.of("v"), 16, rows=300))
+
+
+def test_buckets_formed_before_the_route(spark):
+    """The integer sort stands in the plan before the exchange, and keeps the order of equal keys."""
+    df = _spread(spark, 800, 4, "id % 9")
+    res = classic_random_sort(df, SortSpec.of("v"), Lanes(4, layout="inplace"), split="integer")
+    plan = res.df._jdf.queryExecution().executedPlan().toString()
+    assert "Sort [bucket" in plan.split("Exchange")[1] and measure.is_sorted(res) and measure.is_stable(res)
