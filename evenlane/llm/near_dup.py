@@ -31,6 +31,7 @@ from evenlane.llm.common import WORD_HASHES, by_place, components, mix64, ship,
 from evenlane.staging import discard, stable, stage
 
 U64 = np.uint64
+SALTS = 64
 
 
 @dataclass(frozen=True)
@@ -343,10 +344,13 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     result. Other columns are ignored, whatever their names.
     """
     src = stable(with_row(docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))), "dup-rows")
-    found = stage(groups(src.select(F.col("__row").alias("doc_id"), "text"), params or NearDupParams()), "dup-groups")
-    named = found.withColumnRenamed("doc_id", "__row").join(src.select("__row", "id"), "__row")
-    low = named.where("group is not null").groupBy("group").agg(F.min("id").alias("low"))
-    out = named.join(low, "group", "left").withColumn("component", F.when(F.col("group").isNotNull(), F.col("low")).otherwise(F.col("id")))
+    found = groups(src.select(F.col("__row").alias("doc_id"), "text"), params or NearDupParams())
+    named = stage(found.withColumnRenamed("doc_id", "__row").join(src.select("__row", "id"), "__row"), "dup-groups")
+    linked, alone = named.where("group is not null"), named.where("group is null").withColumn("component", F.col("id"))
+    low = linked.groupBy("group").agg(F.min("id").alias("component"))
+    # a large group meets its smallest id in as many places as there are salts
+    salted = low.withColumn("salt", F.explode(F.array(*map(F.lit, range(SALTS)))))
+    out = linked.withColumn("salt", F.pmod(F.xxhash64("__row"), F.lit(SALTS)).cast("int")).join(salted, ["group", "salt"]).select(*alone.columns).union(alone)
     return out.select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.col("component").alias("component_id"), F.coalesce(F.col("component") == F.col("id"), F.lit(False)).alias("kept"))
 
 
@@ -357,7 +361,7 @@ def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str
     found = stage(groups(inner.select(F.col("__row").alias("doc_id"), F.col(at[text_col]).alias("text")), params or NearDupParams()), "dup-groups")
     linked = found.where("group is not null").withColumnRenamed("doc_id", "__row").join(inner.select("__row", F.col(at[id_col]).alias("id")), "__row")
     first = linked.groupBy("group").agg(F.min(F.struct(F.col("id").isNull().alias("none"), "id", "__row")).alias("m"))
-    gone = linked.join(first, "group").where("__row <> m.__row").select("__row")
+    gone = linked.select("__row").join(first.select(F.col("m.__row").alias("__row")), "__row", "left_anti")  # by row: a large group is no hot key
     return inner.join(gone, "__row", "left_anti").drop("__row").toDF(*docs.columns)
 
 
