@@ -11,6 +11,7 @@ from tests.compare import assert_same, tables
 TABLES = (
     "advisor_table",
     "bitonic_schedule_table",
+    "broadcast_schedule_table",
 )
 
 
