@@ -12,6 +12,7 @@ TABLES = (
     "advisor_table",
     "bitonic_schedule_table",
     "broadcast_schedule_table",
+    "calibrate",
 )
 
 
