@@ -13,6 +13,7 @@ TABLES = (
     "bitonic_schedule_table",
     "broadcast_schedule_table",
     "calibrate",
+    "claim_sample_size",
 )
 
 
