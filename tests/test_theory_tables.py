@@ -14,6 +14,7 @@ TABLES = (
     "broadcast_schedule_table",
     "calibrate",
     "claim_sample_size",
+    "cost_broadcast_table",
 )
 
 
