@@ -15,6 +15,7 @@ TABLES = (
     "calibrate",
     "claim_sample_size",
     "cost_broadcast_table",
+    "cost_prefix_table",
 )
 
 
