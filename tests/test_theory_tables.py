@@ -16,6 +16,7 @@ TABLES = (
     "claim_sample_size",
     "cost_broadcast_table",
     "cost_prefix_table",
+    "earlier_results",
 )
 
 
