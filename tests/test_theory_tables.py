@@ -17,6 +17,7 @@ TABLES = (
     "cost_broadcast_table",
     "cost_prefix_table",
     "earlier_results",
+    "odd_even_schedule_table",
 )
 
 
