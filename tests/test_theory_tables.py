@@ -18,6 +18,7 @@ TABLES = (
     "cost_prefix_table",
     "earlier_results",
     "odd_even_schedule_table",
+    "optimality_table",
 )
 
 
