@@ -19,6 +19,7 @@ TABLES = (
     "earlier_results",
     "odd_even_schedule_table",
     "optimality_table",
+    "prefix_schedule_table",
 )
 
 
