@@ -20,6 +20,7 @@ TABLES = (
     "odd_even_schedule_table",
     "optimality_table",
     "prefix_schedule_table",
+    "published_phase_shares",
 )
 
 
