@@ -92,6 +92,11 @@ def regular(runs: list[list[tuple]]) -> list[int]:
     return bucket_sizes(runs, [run[(j + 1) * len(run) // s - 1] for run in runs for j in range(s)], s)
 
 
+def drawn(runs: list[list[tuple]], s: int, seed: int) -> list[int]:
+    sample = [row for run in runs for row in sorted(run, key=lambda row: (md5(f"{seed}|{row[1]}|{row[2]}".encode()).hexdigest(), row[2]))[:s]]
+    return bucket_sizes(runs, sample, s)
+
+
 def test_bound_of_all_rows(spark):
     got = {r.input: r for r in QUERIES["bound_regular_check"](spark, SMALL).collect()}
     assert len(got) == 10
@@ -102,3 +107,17 @@ def test_bound_of_all_rows(spark):
         assert (r.exact, r.safe, r.printed, r.ok) == ((R * P + P - 1) * x, (1 + 1 / R) * n / P + (R + 1) * P, (1 + 1 / R) * n / P + R * P, True)
         if kind == "worst":
             assert r.n_max == R * P * x + (P - 1) * (x - 1)
+
+
+def test_claim_rate_of_all_rows(spark):
+    prices = [x[0] for x in duckdb.execute(f"select o_totalprice from '{SMALL}/orders.parquet' order by o_orderkey").fetchall()]
+    runs, n, eps = lanes(list(enumerate(prices))), len(prices), 0.5
+
+    def enough(s: int) -> bool:
+        m = P * s - 1
+        return s >= (1 + eps) / eps**2 * (2 * math.log(n) + math.log(2 * math.pi * P * P * m) + 1 / (3 * m))
+
+    s = next(s for s in range(1, n) if enough(s))
+    over = sum(max(drawn(runs, s, seed)) > (1 + eps) * (n - P + 1) / P for seed in range(1, 21))
+    (r,) = QUERIES["claim_rate"](spark, SMALL).collect()
+    assert tuple(r) == (s, eps, 1.0, 20, over, round(1 / n, 9))
