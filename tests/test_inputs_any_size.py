@@ -7,6 +7,7 @@ import math
 from hashlib import md5
 
 import duckdb
+import pytest
 
 from evenlane.queries import QUERIES
 
@@ -71,6 +72,12 @@ def made(kind: str) -> list[tuple[int, int, int, int]]:
     return [(i + 1, i * P // n, i - first[i * P // n], key(kind, n, i + 1, i * P // n, i - first[i * P // n], first[i * P // n + 1] - first[i * P // n])) for i in range(n)]
 
 
+@pytest.mark.parametrize("kind", ["bucket"])
+def test_input_has_all_rows(spark, kind):
+    got = sorted(map(tuple, QUERIES[f"input_{kind}"](spark, SMALL).select("ord", "lane", "pos0", "key").collect()))
+    assert got == made(kind)
+
+
 def lanes(keyed: list[tuple]) -> list[list[tuple]]:
     """Sorted lanes of (key, lane, pos) over (place in the input, key)."""
     n = len(keyed)
