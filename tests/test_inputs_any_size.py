@@ -72,7 +72,7 @@ def made(kind: str) -> list[tuple[int, int, int, int]]:
     return [(i + 1, i * P // n, i - first[i * P // n], key(kind, n, i + 1, i * P // n, i - first[i * P // n], first[i * P // n + 1] - first[i * P // n])) for i in range(n)]
 
 
-@pytest.mark.parametrize("kind", ["bucket", "dupes", "equal", "gauss", "group", "random_dupes", "stagger", "uniform", "worst"])
+@pytest.mark.parametrize("kind", ["bucket", "dupes", "equal", "gauss", "group", "random_dupes", "stagger", "uniform", "worst", "zipf"])
 def test_input_has_all_rows(spark, kind):
     got = sorted(map(tuple, QUERIES[f"input_{kind}"](spark, SMALL).select("ord", "lane", "pos0", "key").collect()))
     assert got == made(kind)
