@@ -104,6 +104,14 @@ def drawn(runs: list[list[tuple]], s: int, seed: int) -> list[int]:
     return bucket_sizes(runs, sample, s)
 
 
+def test_sizes_of_all_rows(spark):
+    runs = lanes([(o - 1, k) for o, _, _, k in made("bucket")])
+    n = rows_of("lineitem")
+    want = {("regular", i): x for i, x in enumerate(regular(runs))} | {("random", i): x for i, x in enumerate(drawn(runs, math.ceil(2 * math.log2(n) ** 2), 42))}
+    got = {(r.method, r.bucket): r["size"] for r in QUERIES["sizes_input_bucket"](spark, SMALL).collect()}
+    assert got == want and sum(got.values()) == 2 * n
+
+
 def test_bound_of_all_rows(spark):
     got = {r.input: r for r in QUERIES["bound_regular_check"](spark, SMALL).collect()}
     assert len(got) == 10
